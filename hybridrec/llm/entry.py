@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hybridrec.llm import langid, quality
+from hybridrec.llm import langid, packing, pii, quality, token_counts, vptree
 from hybridrec.sources import table
 
 
@@ -16,8 +16,30 @@ def op10_quality_rules(spark, sf_dir):
     return quality.digest(table(spark, sf_dir, "documents"))
 
 
+def op1_nearest_neighbours(spark, sf_dir):
+    """Ten nearest vectors of every hundredth one, by vantage-point trees, exactly."""
+    vectors = table(spark, sf_dir, "embeddings")
+    return vptree.search(vectors, vectors.where(vptree.every(vectors["vec_id"], 100)), k=10, relax=1.0)
+
+
+def op2_pii(spark, sf_dir):
+    """Personal data spans of every whole text."""
+    return pii.digest(table(spark, sf_dir, "documents"))
+
+
+def op3_token_counts(spark, sf_dir):
+    """Tokens of every document before and after masking its e-mail addresses, by edits on its segment tree."""
+    docs = table(spark, sf_dir, "documents")
+    return token_counts.count(docs, token_counts.mask_edits(docs["text"], pii.PATTERNS["email"], "<email>"))
+
+
+def op6_packing(spark, sf_dir):
+    """All documents packed into sequences of 4096 tokens."""
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
 def queries():
-    return {f.__name__: f for f in (op4_language_id, op10_quality_rules)}
+    return {f.__name__: f for f in (op1_nearest_neighbours, op2_pii, op3_token_counts, op4_language_id, op6_packing, op10_quality_rules)}
 
 
 def oracle_sql():

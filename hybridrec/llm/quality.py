@@ -1,7 +1,7 @@
 """Quality rules by tokeniser fertility.
 
 A public vocabulary with byte fallback encodes each white-space word of a text. Three figures tell
-natural text from junk: characters per token, the share of tokens that are raw bytes, and the entropy
+natural text from junk: characters (letters and digits) per token, the share of tokens that are raw bytes, and the entropy
 of the token distribution. Each language or, failing that, script has a band; a text outside is rejected.
 Base counts (words, symbols, repeated lines, repeated three-word windows) come with it.
 
@@ -27,12 +27,14 @@ from hybridrec.llm.tokens import vocabulary_path
 
 @dataclass(frozen=True)
 class Band:
-    """Least and most characters per token, most byte share, least entropy in bits."""
+    """Least and most letters and digits per token, most byte share, least entropy and least min-entropy in bits."""
 
     low: float
     high: float
     bytes_most: float = 0.25
     entropy_least: float = 5.2
+    #: Entropy of order infinity: minus log2 of the commonest token's share.
+    min_entropy_least: float = 2.85
 
 
 @dataclass(frozen=True)
@@ -43,12 +45,14 @@ class Rules:
     max_repeat: int = 50
     #: Entropy of a short text cannot reach a long one's: the bound is this share of log2(tokens) at most.
     entropy_share: float = 0.72
-    by_lang: dict = field(default_factory=lambda: {"en": Band(1.8, 7.0), "de": Band(1.8, 7.0), "fr": Band(1.7, 7.0), "es": Band(1.65, 7.0)})
-    by_script: dict = field(default_factory=lambda: {"latin": Band(1.6, 7.0), "greek": Band(0.8, 5.0, 0.5), "cyrillic": Band(1.0, 5.0, 0.5), "han": Band(0.3, 3.0, 0.8, 4.5), "other": Band(0.25, 7.0, 0.95, 4.0)})
+    by_lang: dict = field(default_factory=lambda: {"en": Band(1.66, 7.0), "de": Band(1.8, 7.0), "fr": Band(1.5, 7.0), "es": Band(1.5, 7.0)})
+    by_script: dict = field(default_factory=lambda: {"latin": Band(1.45, 7.0), "greek": Band(0.8, 5.0, 0.5), "cyrillic": Band(1.0, 5.0, 0.5), "han": Band(0.3, 3.0, 0.8, 4.5, 2.0), "other": Band(0.25, 7.0, 0.95, 4.0, 1.5)})
 
 
 SYMBOLS = b"#*$%&|<>"
-SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_tokens long, chars_per_token double, byte_share double, token_entropy double, script string, base_failed boolean, kept boolean, reason string"
+#: ASCII that is neither letter nor digit: punctuation should not make a text look fertile.
+_MARKS = bytes(b for b in range(128) if not chr(b).isalnum())
+SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_tokens long, chars_per_token double, byte_share double, token_entropy double, min_entropy double, script string, base_failed boolean, kept boolean, reason string"
 
 
 @lru_cache(2)
@@ -90,14 +94,19 @@ def _repeated(words: list) -> int:
     return int(covered.sum())
 
 
+def _letters(words: bytes) -> int:
+    bare = words.translate(None, _MARKS)
+    return len(bare) if bare.isascii() else len(bare.decode("utf-8", "replace"))
+
+
 def _repeated_lines(text: bytes) -> int:
     lines = [x for x in text.split(b"\n") if x.strip(b" \t\n\r\x0b\x0c")]
     return len(lines) - len(set(lines))
 
 
-_NOT_LATIN = re.compile("[^\x00-ɏḀ-ỿ -⁯]")
-_SCRIPTS = (("greek", re.compile("[Ͱ-Ͽἀ-῿]")), ("cyrillic", re.compile("[Ѐ-ԯ]")), ("han", re.compile("[぀-ヿ㐀-鿿가-힯]")))
-_LATIN = re.compile("[A-Za-zÀ-ɏḀ-ỿ]")
+_NOT_LATIN = re.compile("[^\x00-\u024f\u1e00-\u1eff\u2000-\u206f]")
+_SCRIPTS = (("greek", re.compile("[\u0370-\u03ff\u1f00-\u1fff]")), ("cyrillic", re.compile("[\u0400-\u052f]")), ("han", re.compile("[\u3040-\u30ff\u3400-\u9fff\uac00-\ud7af]")))
+_LATIN = re.compile("[A-Za-z\u00c0-\u024f\u1e00-\u1eff]")
 
 
 def _script(text: bytes) -> str:
@@ -114,15 +123,15 @@ def _script(text: bytes) -> str:
     return best if most >= foreign or best != "latin" else "other"
 
 
-def _figures(ids: np.ndarray, raw: tuple[int, int]) -> tuple[int, float, float]:
-    """Tokens, share of raw bytes, entropy in bits."""
+def _figures(ids: np.ndarray, raw: tuple[int, int]) -> tuple[int, float, float, float]:
+    """Tokens, share of raw bytes, entropy and min-entropy in bits."""
     n = len(ids)
     if not n:
-        return 0, 0.0, 0.0
+        return 0, 0.0, 0.0, 0.0
     counts = np.bincount(ids)
     counts = counts[counts > 0]
     share = float(((ids >= raw[0]) & (ids < raw[1])).sum()) / n
-    return n, share, float(np.log2(n) - (counts * np.log2(counts)).sum() / n)
+    return n, share, float(np.log2(n) - (counts * np.log2(counts)).sum() / n), float(np.log2(n / counts.max()))
 
 
 def measure(docs: DataFrame, rules: Rules = Rules(), path: str | None = None) -> DataFrame:
@@ -140,13 +149,13 @@ def measure(docs: DataFrame, rules: Rules = Rules(), path: str | None = None) ->
                 joined = b"".join(words)
                 chars = len(joined) if joined.isascii() else len(joined.decode("utf-8", "replace"))
                 symbols = len(joined) - len(joined.translate(None, SYMBOLS))
-                n, share, entropy = _figures(np.frombuffer(b"".join([got[w] for w in words]), "<u4"), raw)
+                n, share, entropy, peak = _figures(np.frombuffer(b"".join([got[w] for w in words]), "<u4"), raw)
                 repeats, script = _repeated(words), _script(text)
                 failed = len(words) < rules.min_words or 100 * repeats > rules.max_repeat * len(words)
                 band = rules.by_lang.get(lang) or rules.by_script.get(script) or rules.by_script["other"]
                 if script != "latin" and lang in rules.by_lang:
                     band = rules.by_script.get(script, band)
-                fertility = chars / n if n else 0.0
+                fertility = _letters(joined) / n if n else 0.0
                 reason = None
                 if failed:
                     reason = "base"
@@ -154,16 +163,16 @@ def measure(docs: DataFrame, rules: Rules = Rules(), path: str | None = None) ->
                     reason = "characters per token"
                 elif share > band.bytes_most:
                     reason = "byte fallback"
-                elif entropy < min(band.entropy_least, rules.entropy_share * np.log2(max(n, 2))):
+                elif entropy < min(band.entropy_least, rules.entropy_share * np.log2(max(n, 2))) or peak < band.min_entropy_least:
                     reason = "token entropy"
-                out.append((doc, len(words), chars, symbols, _repeated_lines(text), repeats, n, fertility, share, entropy, script, failed, reason is None, reason))
+                out.append((doc, len(words), chars, symbols, _repeated_lines(text), repeats, n, fertility, share, entropy, peak, script, failed, reason is None, reason))
             yield _rows(out)
 
     cols = [F.col("doc_id"), F.col("text"), (F.col("lang") if "lang" in docs.columns else F.lit(None)).cast("string").alias("lang")]
     return docs.select(*cols).mapInArrow(run, SCHEMA)
 
 
-_ARROW = pa.schema([("doc_id", pa.int64()), *[(c, pa.int64()) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_tokens")], *[(c, pa.float64()) for c in ("chars_per_token", "byte_share", "token_entropy")], ("script", pa.string()), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("reason", pa.string())])
+_ARROW = pa.schema([("doc_id", pa.int64()), *[(c, pa.int64()) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_tokens")], *[(c, pa.float64()) for c in ("chars_per_token", "byte_share", "token_entropy", "min_entropy")], ("script", pa.string()), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("reason", pa.string())])
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
@@ -181,4 +190,4 @@ def keep(docs: DataFrame, rules: Rules = Rules(), path: str | None = None) -> Da
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    return slim(measure(docs), "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_tokens", "chars_per_token", "byte_share", "token_entropy", "reason")
+    return slim(measure(docs), "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_tokens", "chars_per_token", "byte_share", "token_entropy", "min_entropy", "reason")
