@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hybridrec.llm import langid, near_dedup, packing, pii, quality, token_counts, vptree
+from hybridrec.llm import langid, lm, near_dedup, packing, pii, quality, token_counts, vptree
 from hybridrec.sources import table
 
 
@@ -38,13 +38,18 @@ def op6_packing(spark, sf_dir):
     return packing.pack(table(spark, sf_dir, "documents"))
 
 
+def op7_lm_scores(spark, sf_dir):
+    """Base and model log-probabilities of every document."""
+    return lm.fit_and_score(table(spark, sf_dir, "documents"))
+
+
 def op8_near_duplicates(spark, sf_dir):
     """Groups of documents that share 85 % of their three-word shingles."""
     return near_dedup.groups(table(spark, sf_dir, "documents"), near_dedup.Near(words=3, percent=85))
 
 
 def queries():
-    return {f.__name__: f for f in (op1_nearest_neighbours, op2_pii, op3_token_counts, op4_language_id, op6_packing, op8_near_duplicates, op10_quality_rules)}
+    return {f.__name__: f for f in (op1_nearest_neighbours, op2_pii, op3_token_counts, op4_language_id, op6_packing, op7_lm_scores, op8_near_duplicates, op10_quality_rules)}
 
 
 def oracle_sql():
