@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hybridrec.llm import langid, lm, near_dedup, packing, pii, quality, token_counts, vptree
+from hybridrec.llm import langid, line_dedup, lm, mixing, near_dedup, packing, pii, quality, token_counts, vptree
 from hybridrec.sources import table
 
 
@@ -33,6 +33,11 @@ def op3_token_counts(spark, sf_dir):
     return token_counts.count(docs, token_counts.mask_edits(docs["text"], pii.PATTERNS["email"], "<email>"))
 
 
+def op5_mixing(spark, sf_dir):
+    """Rates that bring the domains' token totals to their targets."""
+    return mixing.rates(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_packing(spark, sf_dir):
     """All documents packed into sequences of 4096 tokens."""
     return packing.pack(table(spark, sf_dir, "documents"))
@@ -48,8 +53,20 @@ def op8_near_duplicates(spark, sf_dir):
     return near_dedup.groups(table(spark, sf_dir, "documents"), near_dedup.Near(words=3, percent=85))
 
 
+def op9_line_dedup(spark, sf_dir):
+    """Lines of every document that repeat an earlier line exactly or within two edits."""
+    return line_dedup.digest(table(spark, sf_dir, "documents"))
+
+
+def pipeline(spark, sf_dir):
+    """All stages of the corpus pipeline over the documents."""
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
-    return {f.__name__: f for f in (op1_nearest_neighbours, op2_pii, op3_token_counts, op4_language_id, op6_packing, op7_lm_scores, op8_near_duplicates, op10_quality_rules)}
+    return {f.__name__: f for f in (op1_nearest_neighbours, op2_pii, op3_token_counts, op4_language_id, op5_mixing, op6_packing, op7_lm_scores, op8_near_duplicates, op9_line_dedup, op10_quality_rules, pipeline)}
 
 
 def oracle_sql():
