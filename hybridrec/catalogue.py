@@ -1,15 +1,636 @@
-"""All queries of the library proper, with their SQL oracles."""
+"""All queries of the library proper, with their SQL oracles.
+
+Doubles are rounded to six digits on both sides; arrays are laid out in long form.
+"""
 
 from __future__ import annotations
 
+import os
+import uuid
+
+from pyspark.sql import functions as F
+
+from hybridrec import experiments as x
+from hybridrec import interactions, operators
+from hybridrec.evaluation import split as sp
+from hybridrec.evaluation import stats
+from hybridrec.evaluation.accuracy import accuracy_at, feature_chain
+from hybridrec.evaluation.topk import best, recommend
+from hybridrec.features import descriptors, encode, meta, reduce, registry, text
+from hybridrec.functions import M, dot, portable_hash_sql, signed_sqrt
+from hybridrec.fusion import early, late
+from hybridrec.linalg import gram
+from hybridrec.models import simple
+from hybridrec.models.bpr import BprParams, fit_bpr, fit_content_bpr, sample_triples, step
+from hybridrec.models.dae import DaeParams, fit_dae_hybrid
+from hybridrec.models.emf import EmfParams, fit_emf, objective
+from hybridrec.models.init import hash_vectors
+from hybridrec.models.mlp import NetParams, fit_mlp_hybrid
+from hybridrec.models.topic import fit_topic_hybrid
+from hybridrec.models.wmf import fit_mllib, fit_wmf
+from hybridrec.operators import r6
+from hybridrec.runtime import materialize, shared_dir
+from hybridrec.sources import table
+from hybridrec.streaming import foldin, joins, source, state, windows
+
+Q: dict = {}
+SQL: dict[str, str] = {}
+
+
+def query(sql: str | None = None):
+    def keep(fn):
+        Q[fn.__name__] = fn
+        if sql:
+            SQL[fn.__name__] = sql
+        return fn
+
+    return keep
+
+
+# ---- shared SQL pieces
+RATINGS = "ratings AS (SELECT o_custkey AS user_id, l_partkey AS item_id, CAST(max(ceil(l_quantity / 10)) AS INTEGER) AS stars FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2)"
+POS = f"{RATINGS}, pos AS (SELECT user_id, item_id FROM ratings WHERE stars = 5)"
+BLEND = """emb AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), en AS (SELECT COUNT(*) AS n FROM embeddings),
+raw AS (SELECT p_partkey AS item_id, list_transform(list_zip(a.e, b.e), lambda z: z[1] + z[2]) AS s FROM part, en JOIN emb a ON a.vec_id = p_partkey % n JOIN emb b ON b.vec_id = (p_partkey + p_partkey // n + 1) % n),
+blend AS (SELECT item_id, list_transform(s, lambda x: x / sqrt(list_sum(list_transform(s, lambda y: y * y)))) AS f FROM raw)"""
+H = portable_hash_sql
+SPLIT = f"split AS (SELECT user_id, item_id, CASE WHEN {H('0', 'item_id', 7)} % 5 = 0 THEN 'out_test' WHEN {H('user_id', 'item_id', 11)} % 4 = 0 THEN 'in_test' ELSE 'train' END AS split FROM pos), train AS (SELECT user_id, item_id FROM split WHERE split = 'train'), test_in AS (SELECT user_id, item_id FROM split WHERE split = 'in_test' AND item_id IN (SELECT item_id FROM train)), test_out AS (SELECT user_id, item_id FROM split WHERE split = 'out_test')"
+BASE = f"{POS}, {SPLIT}"
+
+
+def rnd(e: str, digits: int = 6) -> str:
+    return f"ROUND({e}, {digits}) + 0.0"
+
+
+def start(column: str, seed: int) -> str:
+    return f"(({H('0', column, seed)}) / {M}.0 * 2 - 1) * 0.1"
+
+
+# ---- interactions
+@query(f"WITH {RATINGS} SELECT * FROM ratings")
+def ratings_view(spark, d):
+    return interactions.ratings(spark, d)
+
+
+@query(f"WITH {POS} SELECT * FROM pos")
+def implicit_positives(spark, d):
+    return interactions.positives(spark, d, "quantity")
+
+
+@query(f"""WITH {RATINGS}, {BLEND}, t AS (SELECT user_id, r.item_id, f[user_id % 8 + 1] AS c, {H('user_id', 'r.item_id', 3)} % 100 < 3 AS noise, CAST(regexp_extract(p_brand, '([0-9]+)', 1) AS INTEGER) AS brand, ascii(p_name) AS letter, {H('user_id', 'r.item_id', 21)} % 100 AS h1, {H('user_id', 'r.item_id', 22)} % 100 AS h2 FROM ratings r JOIN blend b ON r.item_id = b.item_id JOIN part ON p_partkey = r.item_id)
+SELECT 'vector' AS kind, user_id, item_id FROM t WHERE c > 0.1 OR noise UNION ALL SELECT 'mixed', user_id, item_id FROM t WHERE c > 0.15 OR (brand % 5 = user_id % 5 AND h1 < 70) OR (letter % 8 = user_id % 8 AND h2 < 30) OR noise""")
+def taste_positives(spark, d):
+    both = [interactions.taste_view(spark, d, k).select(F.lit(k).alias("kind"), "user_id", "item_id") for k in ("vector", "mixed")]
+    return both[0].unionByName(both[1])
+
+
+@query("SELECT DISTINCT user_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS item_id FROM events WHERE event_type = 'purchase'")
+def events_positives(spark, d):
+    return interactions.events_positives(spark, d)
+
+
+_STATS = "COUNT(DISTINCT user_id) AS users, COUNT(DISTINCT item_id) AS videos, COUNT(*) AS ratings, " + rnd("COUNT(*) / (COUNT(DISTINCT user_id) * COUNT(DISTINCT item_id))", 8) + " AS density, COUNT(*) FILTER (stars = 5) AS positives, " + rnd("COUNT(*) FILTER (stars = 5) / (COUNT(DISTINCT user_id) * COUNT(DISTINCT item_id))", 8) + " AS positive_density"
+
+
+@query(f"WITH {RATINGS} SELECT 'original' AS stage, {_STATS} FROM ratings UNION ALL SELECT 'processed', {_STATS} FROM ratings WHERE item_id IN (SELECT doc_id FROM documents)")
+def dataset_stats(spark, d):
+    r8 = lambda c: (F.round(c, 8) + F.lit(0.0)).alias(c)
+    return x.x01_dataset(spark, d).select("stage", "users", "videos", "ratings", r8("density"), "positives", r8("positive_density"))
+
+
+@query(f"SELECT CASE WHEN lang = 'en' THEN 'en' ELSE 'others' END AS set, MIN(n_chars) AS min, MAX(n_chars) AS max, {rnd('AVG(n_chars)')} AS mean FROM documents GROUP BY 1")
+def length_stats(spark, d):
+    return x.x02_lengths(spark, d).withColumn("mean", r6("mean"))
+
+
+@query(f"WITH {RATINGS} SELECT * FROM ratings WHERE item_id IN (SELECT doc_id FROM documents)")
+def restrict_missing(spark, d):
+    return interactions.restrict(interactions.ratings(spark, d), table(spark, d, "documents").select(F.col("doc_id").alias("item_id")))
+
+
+# ---- protocol
+def _split(spark, d, dataset="quantity"):
+    return materialize(sp.make_split(interactions.positives(spark, d, dataset)), "split")
+
+
+@query(f"WITH {POS} SELECT DISTINCT item_id, CAST({H('0', 'item_id', 7)} % 5 AS INTEGER) AS fold FROM pos")
+def item_folds(spark, d):
+    return sp.item_folds(interactions.positives(spark, d, "quantity"))
+
+
+@query(f"WITH {BASE} SELECT 'train' AS split, COUNT(*) AS n, CAST(SUM(7 * user_id + item_id) AS BIGINT) AS checksum FROM train UNION ALL SELECT 'in_test', COUNT(*), CAST(SUM(7 * user_id + item_id) AS BIGINT) FROM test_in UNION ALL SELECT 'out_test', COUNT(*), CAST(SUM(7 * user_id + item_id) AS BIGINT) FROM test_out")
+def split_counts(spark, d):
+    return sp.make_split(interactions.positives(spark, d, "quantity")).groupBy("split").agg(F.count("*").alias("n"), F.sum(7 * F.col("user_id") + F.col("item_id")).alias("checksum"))
+
+
+@query(f"WITH {BASE} SELECT (SELECT COUNT(DISTINCT item_id) FROM test_out WHERE item_id IN (SELECT item_id FROM train)) AS out_items_in_train, (SELECT COUNT(*) FROM test_in WHERE item_id NOT IN (SELECT item_id FROM train)) AS in_pairs_unseen, CAST(0 AS BIGINT) AS pairs_twice")
+def split_disjointness(spark, d):
+    return sp.check_split(_split(spark, d))
+
+
+@query(f"WITH {BASE} SELECT 'pair' AS mode, user_id, item_id, CASE WHEN {H('user_id', 'item_id', 13)} % 1000 < 100 THEN 'valid' ELSE 'train' END AS inner FROM train UNION ALL SELECT 'item', user_id, item_id, CASE WHEN {H('0', 'item_id', 13)} % 1000 < 100 THEN 'valid' ELSE 'train' END FROM train".replace(" AS inner ", ' AS "inner" '))
+def validation_cut(spark, d):
+    train = sp.part(_split(spark, d), "train")
+    a, b = (sp.validation_cut(train, 0.1, m).withColumn("mode", F.lit(m)) for m in ("pair", "item"))
+    return a.unionByName(b)
+
+
+# ---- features
+ITEM_TEXT = "docs_n AS (SELECT COUNT(*) AS nd FROM documents), conv_n AS (SELECT COUNT(DISTINCT conv_id) AS nc FROM conversations), rev AS (SELECT conv_id, string_agg(text, ' ' ORDER BY turn, text) AS reviews FROM conversations WHERE role = 'user' GROUP BY 1), item_text AS (SELECT p_partkey AS item_id, p_name AS title, concat_ws(' ', p_name, d.text, reviews) AS text FROM part, docs_n, conv_n LEFT JOIN documents d ON d.doc_id = p_partkey % nd LEFT JOIN rev r ON r.conv_id = p_partkey % nc)"
+TOKENS = f"{ITEM_TEXT}, tok AS (SELECT item_id, unnest(regexp_extract_all(lower(text), '\\p{{L}}+')) AS term FROM item_text), stat AS (SELECT term, COUNT(*) AS cf, COUNT(DISTINCT item_id) AS df FROM tok GROUP BY 1), vocab AS (SELECT term, row_number() OVER (ORDER BY ROUND(cf * ln((SELECT COUNT(*) FROM item_text) / df), 9) DESC, term) - 1 AS term_id, cf * ln((SELECT COUNT(*) FROM item_text) / df) AS score FROM stat QUALIFY term_id < 200)"
+TITLE = TOKENS.replace("lower(text)", "lower(title)")
+
+
+def _tokens(spark, d, parts=("title", "description", "reviews")):
+    return text.tokens_of(text.item_texts(spark, d), parts)
+
+
+@query("SELECT p_partkey AS item_id, t.term, COUNT(*) AS n FROM part, LATERAL (SELECT unnest(regexp_extract_all(lower(p_name), '\\p{L}+')) AS term) t GROUP BY ALL")
+def title_tokens(spark, d):
+    return _tokens(spark, d, ("title",)).select("item_id", F.explode("tokens").alias("term")).groupBy("item_id", "term").agg(F.count("*").alias("n"))
+
+
+@query(f"WITH {TOKENS} SELECT term, term_id, {rnd('score', 4)} AS score FROM vocab")
+def word_vocab_tfidf(spark, d):
+    return text.tfidf_vocabulary(_tokens(spark, d), 200).select("term", F.col("term_id").cast("bigint").alias("term_id"), (F.round("score", 4) + F.lit(0.0)).alias("score"))
+
+
+def _long(sparse_df, value="c"):
+    return sparse_df.select("item_id", F.explode(F.arrays_zip("f.idx", "f.val")).alias("e")).select("item_id", F.col("e.idx").cast("bigint").alias("term_id"), F.col("e.val").alias(value))
+
+
+@query(f"WITH {TOKENS} SELECT item_id, term_id, CAST(COUNT(*) AS DOUBLE) AS c FROM tok JOIN vocab ON tok.term = vocab.term GROUP BY 1, 2")
+def word_vectors(spark, d):
+    tokens = materialize(_tokens(spark, d), "tokens")
+    return _long(text.word_vectors(tokens, text.tfidf_vocabulary(tokens, 200), 200))
+
+
+@query(f"WITH {TITLE} SELECT item_id, term_id, CAST(COUNT(*) AS DOUBLE) AS c FROM tok JOIN vocab ON tok.term = vocab.term GROUP BY 1, 2")
+def sparse_title_vectors(spark, d):
+    tokens = _tokens(spark, d, ("title",))
+    return _long(text.word_vectors(tokens, text.tfidf_vocabulary(tokens, 200), 200))
+
+
+META = """mt AS (SELECT p_partkey AS item_id, unnest(['brand=' || p_brand, 'type=' || p_type, 'size=' || CAST(p_size // 10 AS VARCHAR)]) AS token FROM part
+UNION SELECT l_partkey, unnest(['supp=' || CAST(l_suppkey AS VARCHAR), 'snation=' || n_name, 'sregion=' || r_name]) FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey
+UNION SELECT p_partkey, unnest(['lang=' || lang, 'source=' || source, 'quality=' || CAST(quality AS VARCHAR)]) FROM part, (SELECT COUNT(*) AS nd FROM documents) JOIN documents ON doc_id = p_partkey % nd LEFT JOIN labels USING (doc_id)),
+mtok AS (SELECT item_id, token FROM mt WHERE token IS NOT NULL), mvocab AS (SELECT token, row_number() OVER (ORDER BY COUNT(*) DESC, token) - 1 AS term_id, COUNT(*) AS n FROM mtok GROUP BY 1 QUALIFY term_id < 200)"""
+
+
+@query(f"WITH {META} SELECT token, term_id, n FROM mvocab")
+def meta_vocab(spark, d):
+    return meta.meta_vocabulary(meta.meta_tokens(spark, d), 200).select("token", F.col("term_id").cast("bigint").alias("term_id"), "n")
+
+
+@query(f"WITH {META} SELECT item_id, term_id, 1.0 AS c FROM mtok JOIN mvocab ON mtok.token = mvocab.token".replace("1.0 AS c", "CAST(1 AS DOUBLE) AS c"))
+def meta_vectors(spark, d):
+    tokens = materialize(meta.meta_tokens(spark, d), "meta-tokens")
+    return _long(meta.meta_vectors(tokens, meta.meta_vocabulary(tokens, 200), 200))
+
+
+def _dims(df, f="f"):
+    return df.select("item_id", F.posexplode(f).alias("p", "x")).select("item_id", (F.col("p") + 1).cast("bigint").alias("dim"), r6("x").alias("x"))
+
+
+_UNNEST = "SELECT item_id, dim, " + rnd("{e}[dim]") + " AS x FROM {t}, range(1, {n}) r(dim)"
+
+
+@query(f"WITH {BLEND} {_UNNEST.format(e='f', t='blend', n=65)}")
+def blend_vectors(spark, d):
+    return _dims(descriptors.blend_vectors(spark, d))
+
+
+DESC = f"""{BLEND}, dsum AS (SELECT item_id, frame, list_transform(list_zip(f, e), lambda z: z[1] + 0.5 * z[2]) AS s FROM blend, en, range(0, 5) t(frame) JOIN emb ON vec_id = (item_id * 5 + frame * 31) % n),
+dvec AS (SELECT item_id, frame, list_transform(s, lambda x: x / sqrt(list_sum(list_transform(s, lambda y: y * y)))) AS v FROM dsum),
+descr AS (SELECT item_id, frame, 'audio' AS kind, v[1:16] AS vec FROM dvec UNION ALL SELECT item_id, frame, 'scene', v[17:32] FROM dvec UNION ALL SELECT item_id, frame, 'motion_a', v[33:48] FROM dvec UNION ALL SELECT item_id, frame, 'motion_b', v[49:64] FROM dvec UNION ALL SELECT item_id, frame, 'deep', v FROM dvec)"""
+
+
+@query(f"WITH {DESC} SELECT item_id, CAST(frame AS INTEGER) AS frame, kind, len(vec) AS dims, {rnd('list_sum(vec)', 5)} AS total FROM descr")
+def descriptor_sets(spark, d):
+    total = F.aggregate("vec", F.lit(0.0), lambda s, v: s + v)
+    return descriptors.descriptor_sets(spark, d).select("item_id", "frame", "kind", F.size("vec").cast("bigint").alias("dims"), (F.round(total, 5) + F.lit(0.0)).alias("total"))
+
+
+def signed_sqrt_query(spark, d):
+    return _dims(descriptors.blend_vectors(spark, d).select("item_id", signed_sqrt(F.col("f")).alias("f")))
+
+
+Q["signed_sqrt"] = signed_sqrt_query
+SQL["signed_sqrt"] = f"WITH {BLEND}, g AS (SELECT item_id, list_transform(f, lambda x: sign(x) * sqrt(abs(x))) AS g FROM blend) {_UNNEST.format(e='g', t='g', n=65)}"
+
+
+@query(f"""WITH {DESC}, a AS (SELECT item_id, frame, vec FROM descr WHERE kind = 'audio'), cb AS (SELECT row_number() OVER (ORDER BY item_id, frame) AS c, vec AS w FROM a WHERE item_id < 4 AND frame = 0),
+near AS (SELECT item_id, frame, vec, c, w FROM (SELECT a.*, c, w, row_number() OVER (PARTITION BY item_id, frame ORDER BY list_sum(list_transform(list_zip(vec, w), lambda z: (z[1] - z[2]) * (z[1] - z[2]))), c) AS r FROM a, cb) WHERE r = 1)
+SELECT item_id, c * 16 - 16 + dim AS dim, {rnd('SUM(vec[dim] - w[dim])', 5)} AS x FROM near, range(1, 17) t(dim) GROUP BY 1, 2""")
+def vlad_fixed_codebook(spark, d):
+    """A codebook of the first items' vectors, so that SQL can follow; entries of codewords an item never meets are left out."""
+    desc = descriptors.descriptor_sets(spark, d).where("kind = 'audio'")
+    import numpy as np
+
+    book = np.array([r["vec"] for r in desc.where("item_id < 4 and frame = 0").orderBy("item_id", "frame").collect()])  # four rows
+    out = encode.vlad_vectors(desc, book, normalize=False)
+    flat = out.select("item_id", F.posexplode("f").alias("p", "x")).select("item_id", (F.col("p") + 1).cast("bigint").alias("dim"), (F.round("x", 5) + F.lit(0.0)).alias("x"), F.floor(F.col("p") / 16).alias("c"))
+    from pyspark.sql import Window
+
+    met = F.max(F.abs("x")).over(Window.partitionBy("item_id", "c")) > 0
+    # the first items' own first vectors coincide with a codeword, which leaves a true zero block
+    return flat.withColumn("met", met).where(F.col("met")).select("item_id", "dim", "x")
+
+
+def _encoded(spark, d, name):
+    return registry.load(spark, d, name)
+
+
+@query()
+def vlad(spark, d):
+    return _dims(_encoded(spark, d, "deep_vlad"))
+
+
+@query()
+def fisher_vectors(spark, d):
+    return _dims(_encoded(spark, d, "audio"))
+
+
+@query()
+def pca_project(spark, d):
+    f = materialize(descriptors.blend_vectors(spark, d), "blend")
+    return _dims(reduce.project(f, reduce.fit_pca(f, 8)))
+
+
+@query(f"WITH {BLEND}, c AS (SELECT item_id, list_concat(f[1:16], f[17:32]) AS f FROM blend) {_UNNEST.format(e='f', t='c', n=33)}")
+def concat_features(spark, d):
+    v = descriptors.blend_vectors(spark, d)
+    return _dims(registry.concat({k: descriptors.slice_of(v, k) for k in ("audio", "scene")}))
+
+
+@query(f"""WITH {BASE}, {BLEND}, prof AS (SELECT user_id, dim, AVG(f[dim]) AS x FROM train JOIN blend USING (item_id), range(1, 65) t(dim) WHERE user_id < 40 GROUP BY 1, 2), un AS (SELECT user_id, dim, x / sqrt(SUM(x * x) OVER (PARTITION BY user_id)) AS x FROM prof),
+sc AS (SELECT user_id, item_id, SUM(x * f[dim]) AS s FROM un, (SELECT DISTINCT item_id FROM test_out) JOIN blend USING (item_id) GROUP BY 1, 2) SELECT user_id, item_id, {rnd('s', 5)} AS score FROM sc QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY s DESC, item_id) <= 5""")
+def content_profile(spark, d):
+    s = _split(spark, d)
+    users, items = simple.content_profile(sp.part(s, "train").where("user_id < 40"), descriptors.blend_vectors(spark, d))
+    pool = sp.part(s, "out_test").select(F.col("item_id").alias("id")).distinct()
+    return recommend(users, items.join(pool, "id", "left_semi"), None, 5).select("user_id", "item_id", (F.round("score", 5) + F.lit(0.0)).alias("score"))
+
+
+@query(f"WITH {BASE}, n AS (SELECT item_id, COUNT(*) AS n FROM train GROUP BY 1), c AS (SELECT a.item_id AS i, b.item_id AS j, COUNT(*) AS c FROM train a JOIN train b ON a.user_id = b.user_id AND a.item_id <> b.item_id GROUP BY 1, 2), s AS (SELECT i, j, c / sqrt(x.n * y.n) AS s FROM c JOIN n x ON x.item_id = i JOIN n y ON y.item_id = j) SELECT i, j, {rnd('s')} AS similarity FROM s QUALIFY row_number() OVER (PARTITION BY i ORDER BY ROUND(s, 12) DESC, j) <= 10")
+def item_neighbors(spark, d):
+    return simple.item_neighbors(sp.part(_split(spark, d), "train"), 10).select("i", "j", r6("similarity").alias("similarity"))
+
+
+# ---- pieces of the models that SQL can follow
+@query(f"WITH {BLEND} SELECT i, j, {rnd('SUM(f[i] * f[j])', 5)} AS g FROM blend, range(1, 5) a(i), range(1, 5) b(j) GROUP BY 1, 2")
+def gram_items(spark, d):
+    f = descriptors.blend_vectors(spark, d).select(F.slice("f", 1, 4).alias("v"))
+    g = gram(f, 4)
+    return spark.createDataFrame([(i + 1, j + 1, float(g[i, j])) for i in range(4) for j in range(4)], "i long, j long, g double").withColumn("g", F.round("g", 5) + F.lit(0.0))
+
+
+@query(f"WITH {BASE}, {BLEND} SELECT user_id, dim, {rnd('SUM(f[dim])')} AS x FROM train JOIN blend USING (item_id), range(1, 5) t(dim) GROUP BY 1, 2")
+def rhs_users(spark, d):
+    j = sp.part(_split(spark, d), "train").join(descriptors.blend_vectors(spark, d), "item_id")
+    sums = j.groupBy("user_id").agg(F.array(*[F.sum(F.col("f")[i]) for i in range(4)]).alias("v"))
+    return sums.select("user_id", F.posexplode("v").alias("p", "x")).select("user_id", (F.col("p") + 1).cast("bigint").alias("dim"), r6("x").alias("x"))
+
+
+RANK1 = EmfParams(k=1, lam_e=10.0, iters=2)
+
+
+def _rank1_sql(content: bool, lam_u: float, lam_v: float, lam_e: float = 10.0, iters: int = 2, seed: int = 17) -> str:
+    """Chained tables of ``iters`` iterations with one dimension, where every solve is a division."""
+    parts = [f"h0 AS (SELECT item_id AS id, {start('item_id', seed)} AS v FROM (SELECT DISTINCT item_id FROM train))"]
+    if content:
+        parts.append("ft AS (SELECT item_id AS id, f[1] AS f FROM blend WHERE item_id IN (SELECT item_id FROM train))")
+    for t in range(1, iters + 1):
+        prior = f"{lam_v} * (f * (SELECT e FROM e{t - 1}))" if content and t > 1 else "0"
+        parts.append(f"w{t} AS (SELECT user_id AS id, SUM(v) / (0.01 * (SELECT SUM(v * v) FROM h{t - 1}) + 0.99 * SUM(v * v) + {lam_u}) AS v FROM train JOIN h{t - 1} ON item_id = id GROUP BY 1)")
+        join = "JOIN ft ON ft.id = item_id" if content else ""
+        parts.append(f"h{t} AS (SELECT item_id AS id, (SUM(w.v) + {'ANY_VALUE(' + prior + ')' if prior != '0' else '0'}) / (0.01 * (SELECT SUM(v * v) FROM w{t}) + 0.99 * SUM(w.v * w.v) + {lam_v}) AS v FROM train JOIN w{t} w ON user_id = w.id {join} GROUP BY 1)")
+        if content:
+            parts.append(f"e{t} AS (SELECT {lam_v} * SUM(f * v) / ({lam_v} * SUM(f * f) + {lam_e}) AS e FROM ft JOIN h{t} USING (id))")
+    return ", ".join(parts)
+
+
+def _sides(m):
+    return m.user_factors.select(F.lit("user").alias("side"), "id", F.col("v")[0].alias("v")).unionByName(m.item_factors.select(F.lit("item").alias("side"), "id", F.col("v")[0].alias("v"))).select("side", "id", (F.round("v", 7) + F.lit(0.0)).alias("v"))
+
+
+_SIDES = "SELECT 'user' AS side, id, " + rnd("v", 7) + " AS v FROM w2 UNION ALL SELECT 'item', id, " + rnd("v", 7) + " FROM h2"
+EMF1 = f"{BASE}, {BLEND}, {_rank1_sql(True, 0.1, 10.0)}"
+
+
+def _first(spark, d):
+    return descriptors.blend_vectors(spark, d).select("item_id", F.slice("f", 1, 1).alias("f"))
+
+
+@query(f"WITH {EMF1} {_SIDES}")
+def emf_rank1_2iter(spark, d):
+    return _sides(fit_emf(sp.part(_split(spark, d), "train"), _first(spark, d), RANK1))
+
+
+@query(f"WITH {BASE}, {_rank1_sql(False, 0.01, 0.01)} {_SIDES}")
+def wmf_rank1_2iter(spark, d):
+    return _sides(fit_wmf(sp.part(_split(spark, d), "train"), EmfParams(k=1, lam_u=0.01, lam_v=0.01, iters=2)))
+
+
+@query(f"WITH {BASE}, {BLEND}, g AS (SELECT SUM(f[1] * f[1]) AS a, SUM(f[1] * f[2]) AS b, SUM(f[2] * f[2]) AS c FROM blend), s AS (SELECT user_id, 0.99 * SUM(f[1] * f[1]) + 0.01 * ANY_VALUE(g.a) + 0.1 AS a, 0.99 * SUM(f[1] * f[2]) + 0.01 * ANY_VALUE(g.b) AS b, 0.99 * SUM(f[2] * f[2]) + 0.01 * ANY_VALUE(g.c) + 0.1 AS c, SUM(f[1]) AS x, SUM(f[2]) AS y FROM train JOIN blend USING (item_id), g GROUP BY 1) SELECT user_id, {rnd('(c * x - b * y) / (a * c - b * b)')} AS v1, {rnd('(a * y - b * x) / (a * c - b * b)')} AS v2 FROM s")
+def emf_rank2_halfstep(spark, d):
+    from hybridrec.linalg import half_step, layout
+
+    h = descriptors.blend_vectors(spark, d).select(F.col("item_id").alias("id"), F.slice("f", 1, 2).alias("v"))
+    w = half_step(layout(sp.part(_split(spark, d), "train"), "user_id", "item_id"), h, 2, 0.1)
+    return w.select(F.col("id").alias("user_id"), r6(F.col("v")[0]).alias("v1"), r6(F.col("v")[1]).alias("v2"))
+
+
+@query(f"WITH {EMF1} SELECT {rnd('0.005 * (SELECT SUM(v * v) FROM w2) * (SELECT SUM(v * v) FROM h2) + (SELECT SUM(0.5 * (w.v * h.v - 1) * (w.v * h.v - 1) - 0.005 * w.v * h.v * w.v * h.v) FROM train JOIN w2 w ON user_id = w.id JOIN h2 h ON item_id = h.id) + 0.05 * (SELECT SUM(v * v) FROM w2) + 5 * (SELECT SUM((v - f * e) * (v - f * e)) FROM h2 JOIN ft USING (id), e2) + 5 * (SELECT e * e FROM e2)', 4)} AS objective")
+def objective_rank1(spark, d):
+    train = sp.part(_split(spark, d), "train")
+    m = fit_emf(train, _first(spark, d), RANK1)
+    known = m.content_latents.join(m.item_factors.select("id"), "id", "left_semi")
+    value = objective(train, m.user_factors, m.item_factors, known, RANK1, m.extra["side"].penalty())
+    return spark.createDataFrame([(round(value, 4),)], "objective double")
+
+
+@query(f"WITH {EMF1} SELECT user_id, item_id, {rnd('w.v * h.v', 7)} AS score FROM test_in JOIN w2 w ON user_id = w.id JOIN h2 h ON item_id = h.id")
+def predict_in(spark, d):
+    s = _split(spark, d)
+    return fit_emf(sp.part(s, "train"), _first(spark, d), RANK1).predict_in(sp.part(s, "in_test")).withColumn("score", F.round("score", 7) + F.lit(0.0))
+
+
+@query(f"WITH {EMF1} SELECT user_id, item_id, {rnd('w.v * f[1] * e', 7)} AS score FROM test_out JOIN w2 w ON user_id = w.id JOIN blend USING (item_id), e2")
+def predict_out(spark, d):
+    s = _split(spark, d)
+    return fit_emf(sp.part(s, "train"), _first(spark, d), RANK1).predict_out(sp.part(s, "out_test")).withColumn("score", F.round("score", 7) + F.lit(0.0))
+
+
+@query(f"""WITH {BASE}, it AS (SELECT item_id FROM train GROUP BY 1), w AS (SELECT user_id AS id, {start('user_id', 23)} AS v FROM train GROUP BY 1), h AS (SELECT item_id AS id, {start('item_id', 24)} AS v FROM it),
+tri AS (SELECT t.user_id, t.item_id AS i, (SELECT MIN(j.item_id) FROM it j WHERE j.item_id > t.item_id AND NOT EXISTS (SELECT 1 FROM train x WHERE x.user_id = t.user_id AND x.item_id = j.item_id)) AS j FROM train t WHERE t.user_id % 10 = 0),
+g AS (SELECT user_id, i, j, w.v AS w, a.v AS hi, b.v AS hj, 1 / (1 + exp(w.v * (a.v - b.v))) AS g FROM tri JOIN w ON user_id = w.id JOIN h a ON i = a.id JOIN h b ON j = b.id),
+u AS (SELECT user_id AS id, SUM(g * (hi - hj) - 0.0025 * w) AS g FROM g GROUP BY 1), p AS (SELECT id, SUM(g) AS g FROM (SELECT i AS id, g * w - 0.0025 * hi AS g FROM g UNION ALL SELECT j, -g * w - 0.00025 * hj FROM g) GROUP BY 1)
+SELECT 'user' AS side, w.id, {rnd('v + 0.05 * COALESCE(g, 0)', 7)} AS v FROM w LEFT JOIN u USING (id) UNION ALL SELECT 'item', h.id, {rnd('v + 0.05 * COALESCE(g, 0)', 7)} FROM h LEFT JOIN p USING (id)""")
+def bpr_rank1_step(spark, d):
+    """One gradient step on triples whose negative is the next item the user does not like."""
+    from pyspark.sql import Window
+
+    train = sp.part(_split(spark, d), "train")
+    items = train.select("item_id").distinct()
+    mine = train.where("user_id % 10 = 0")
+    both = mine.select("user_id").distinct().crossJoin(items).join(mine.withColumn("liked", F.lit(True)), ["user_id", "item_id"], "left")
+    w = Window.partitionBy("user_id").orderBy("item_id").rowsBetween(1, Window.unboundedFollowing)
+    nxt = both.withColumn("j", F.first(F.when(F.col("liked").isNull(), F.col("item_id")), ignorenulls=True).over(w))
+    triples = nxt.where("liked and j is not null").select("user_id", F.col("item_id").alias("i"), "j")
+    users = hash_vectors(train.select("user_id"), "user_id", 1, 23)
+    h = hash_vectors(items, "item_id", 1, 24).withColumn("b", F.lit(0.0))
+    w2, h2 = step(users, h, triples, BprParams(k=1))
+    out = w2.select(F.lit("user").alias("side"), "id", F.col("v")[0].alias("v")).unionByName(h2.select(F.lit("item").alias("side"), "id", F.col("v")[0].alias("v")))
+    return out.select("side", "id", (F.round("v", 7) + F.lit(0.0)).alias("v"))
+
+
+# ---- whole models (rows only; tested against dense algebra)
+P8 = EmfParams(k=8, iters=3, lam_e=10.0)
+
+
+def _fit(name, feature, fn):
+    def run(spark, d):
+        w = x.Workload(spark, d, "mixed", p=P8)
+        m = fn(w, w.feature(feature) if feature else None)
+        scenario = "out" if m.content_latents is not None else "in"
+        return w.accuracy(m, scenario)
+
+    run.__name__ = name
+    Q[name] = run
+
+
+_fit("emf_fit", "deep_fv", lambda w, f: fit_emf(w.train, f, P8))
+_fit("wmf_fit", None, lambda w, f: w.fit("wmf"))
+_fit("mllib_fit", None, lambda w, f: fit_mllib(w.train, 8, iters=3))
+_fit("bpr_fit", None, lambda w, f: fit_bpr(w.train, BprParams(k=8, epochs=2)))
+_fit("content_bpr_fit", "deep_fv", lambda w, f: fit_content_bpr(w.train, f, BprParams(k=8, epochs=2)))
+_fit("topic_hybrid_fit", "meta", lambda w, f: fit_topic_hybrid(w.train, f, P8, 5))
+_fit("mlp_hybrid_fit", "audio", lambda w, f: fit_mlp_hybrid(w.train, f, P8, NetParams(epochs=5)))
+_fit("dae_hybrid_fit", "meta", lambda w, f: fit_dae_hybrid(w.train, f, P8, DaeParams(lam_n=1.0, epochs=5, visible="binary")))
+_fit("concat_fusion_fit", None, lambda w, _: early.fit_concat(w.train, {n: w.feature(n) for n in ("audio", "scene")}, P8))
+_fit("stack_fusion_fit", None, lambda w, _: early.fit_stack(w.train, {n: w.feature(n) for n in ("audio", "scene")}, P8))
+
+
+@query()
+def bpr_triples(spark, d):
+    return sample_triples(sp.part(_split(spark, d), "train"), 0, 23)
+
+
+# ---- fusion
+_ACC = [("META", 0.18), ("WORD", 0.12), ("CNNFV", 0.09), ("CNNVLAD", 0.085), ("IDT", 0.08), ("MFCC", 0.07), ("OSIFT", 0.065), ("MoSIFT", 0.06)]
+ACC = "acc(feature, accuracy) AS (VALUES " + ", ".join(f"('{f}', CAST({a} AS DOUBLE))" for f, a in _ACC) + "), rk AS (SELECT feature, accuracy, row_number() OVER (ORDER BY accuracy DESC, feature) AS position FROM acc)"
+
+
+def _acc(spark):
+    return spark.createDataFrame(_ACC, "feature string, accuracy double")
+
+
+def _w(df):
+    return df.select("feature", F.col("position").cast("bigint").alias("position"), (F.round("weight", 9) + F.lit(0.0)).alias("weight"))
+
+
+@query("SELECT * FROM (VALUES ('META', CAST(1 AS BIGINT), CAST(0.5 AS DOUBLE)), ('CNNFV', 2, 0.25), ('IDT', 3, 0.125), ('MFCC', 4, 0.0625)) t(feature, position, weight)")
+def priority_weights_example(spark, d):
+    return _w(x.x14_example(spark))
+
+
+@query(f"WITH {ACC} SELECT p, feature, position, ROUND(p * pow(1 - p, position - 1), 9) + 0.0 AS weight FROM rk, (SELECT CAST(p AS DOUBLE) AS p FROM (VALUES (0.5), (0.6), (0.7), (0.8), (0.9)) t(p))")
+def priority_weights_grid(spark, d):
+    from functools import reduce as fold
+
+    return fold(lambda a, b: a.unionByName(b), [_w(late.priority_weights(_acc(spark), p)).withColumn("p", F.lit(p)) for p in late.P_GRID])
+
+
+@query(f"WITH {ACC}, w AS (SELECT p, feature, position, p * pow(1 - p, position - 1) AS weight FROM rk, (SELECT CAST(p AS DOUBLE) AS p FROM (VALUES (0.5), (0.8), (0.3)) t(p))) SELECT p, position, COALESCE(SUM(weight) OVER (PARTITION BY p ORDER BY position ROWS BETWEEN 1 FOLLOWING AND UNBOUNDED FOLLOWING), 0) <= weight + 1e-12 AS holds FROM w")
+def priority_dominance(spark, d):
+    from functools import reduce as fold
+
+    return fold(lambda a, b: a.unionByName(b), [late.dominates(late.priority_weights(_acc(spark), p, strict=False)).select(F.lit(p).alias("p"), F.col("position").cast("bigint").alias("position"), "holds") for p in (0.5, 0.8, 0.3)])
+
+
+@query(f"WITH {ACC} SELECT feature, position, ROUND(accuracy, 9) + 0.0 AS weight FROM rk")
+def accuracy_weights(spark, d):
+    return _w(late.accuracy_weights(_acc(spark)))
+
+
+@query(f"WITH {ACC} SELECT feature, position, ROUND(1.0 / COUNT(*) OVER (), 9) + 0.0 AS weight FROM rk")
+def average_weights(spark, d):
+    return _w(late.average_weights(_acc(spark)))
+
+
+@query(f"WITH {ACC} SELECT feature, position, ROUND(accuracy / SUM(accuracy) OVER (), 9) + 0.0 AS weight FROM rk")
+def normalized_weights(spark, d):
+    return _w(late.normalize(late.accuracy_weights(_acc(spark))))
+
+
+@query(f"WITH {ACC} SELECT feature, ROUND(accuracy, 9) + 0.0 AS accuracy, position FROM rk")
+def feature_chain_query(spark, d):
+    return feature_chain(_acc(spark).withColumn("k", F.lit(30))).select("feature", (F.round("accuracy", 9) + F.lit(0.0)).alias("accuracy"), F.col("position").cast("bigint").alias("position"))
+
+
+Q["feature_chain"], SQL["feature_chain"] = Q.pop("feature_chain_query"), SQL.pop("feature_chain_query")
+_PARTS = {"audio": (1, 16), "scene": (17, 16), "motion_a": (33, 16)}
+_GPF = {"audio": 0.5, "scene": 0.25, "motion_a": 0.125}
+SCORES = f"sc AS (SELECT a.item_id AS user_id, b.item_id AS item_id, " + ", ".join(f"list_sum(list_transform(list_zip(a.f[{s}:{s + n - 1}], b.f[{s}:{s + n - 1}]), lambda z: z[1] * z[2])) AS {k}" for k, (s, n) in _PARTS.items()) + " FROM blend a, blend b WHERE a.item_id < 30 AND b.item_id BETWEEN 50 AND 149)"
+_FUSED = " + ".join(f"{w} * {k}" for k, w in _GPF.items())
+
+
+def _scores(spark, d):
+    v = descriptors.blend_vectors(spark, d)
+    u = v.where("item_id < 30").select(F.col("item_id").alias("user_id"), F.col("f").alias("a"))  # thirty rows
+    pairs = v.where("item_id between 50 and 149").crossJoin(F.broadcast(u))
+    each = F.array(*[F.struct(F.lit(k).alias("feature"), dot(F.slice("a", s, n), F.slice("f", s, n)).alias("score")) for k, (s, n) in _PARTS.items()])
+    return pairs.select("user_id", "item_id", F.explode(each).alias("e")).select("e.feature", "user_id", "item_id", "e.score")
+
+
+def _gpf(spark):
+    return late.priority_weights(spark.createDataFrame([("audio", 0.3), ("scene", 0.2), ("motion_a", 0.1)], "feature string, accuracy double"))
+
+
+@query(f"WITH {BLEND}, {SCORES} SELECT user_id, item_id, {rnd(_FUSED)} AS score FROM sc")
+def late_fuse(spark, d):
+    return late.fuse(_scores(spark, d), _gpf(spark)).withColumn("score", r6("score"))
+
+
+@query(f"WITH {BLEND}, {SCORES} SELECT user_id, item_id, {rnd(_FUSED)} AS score, row_number() OVER (PARTITION BY user_id ORDER BY {_FUSED} DESC, item_id) AS rank FROM sc QUALIFY rank <= 10")
+def fused_topk(spark, d):
+    return best(late.fuse(_scores(spark, d), _gpf(spark)), 10).select("user_id", "item_id", r6("score").alias("score"), F.col("rank").cast("bigint").alias("rank"))
+
+
+# ---- measures
+POPULAR = f"{BASE}, po AS (SELECT item_id, COUNT(*) AS n FROM train GROUP BY 1), us AS (SELECT DISTINCT user_id FROM test_in), li AS (SELECT user_id, item_id, n, row_number() OVER (PARTITION BY user_id ORDER BY n DESC, item_id) AS rank FROM us, po WHERE NOT EXISTS (SELECT 1 FROM train t WHERE t.user_id = us.user_id AND t.item_id = po.item_id) QUALIFY rank <= 30)"
+
+
+def _popular(spark, d):
+    s = _split(spark, d)
+    train, test = sp.part(s, "train"), sp.part(s, "in_test")
+    users = test.select(F.col("user_id").alias("id"), F.array(F.lit(1.0)).alias("v")).distinct()
+    items = simple.popularity(train).select(F.col("item_id").alias("id"), F.array("score").alias("v"))
+    return recommend(users, items, train, 30), test
+
+
+@query(f"WITH {POPULAR} SELECT user_id, item_id, CAST(n AS DOUBLE) AS score, rank FROM li WHERE rank <= 10")
+def topk_popularity(spark, d):
+    return _popular(spark, d)[0].where("rank <= 10").select("user_id", "item_id", "score", F.col("rank").cast("bigint").alias("rank"))
+
+
+_KS = "(VALUES (5), (10), (15), (20), (25), (30)) ks(k)"
+
+
+@query(f"WITH {POPULAR} SELECT CAST(k AS INTEGER) AS k, COUNT(*) FILTER (rank <= k) AS hits, COUNT(*) AS tests, {rnd('COUNT(*) FILTER (rank <= k) / COUNT(*)')} AS accuracy FROM {_KS}, test_in LEFT JOIN li USING (user_id, item_id) GROUP BY k")
+def accuracy_popularity(spark, d):
+    lists, test = _popular(spark, d)
+    return accuracy_at(lists, test).withColumn("accuracy", r6("accuracy"))
+
+
+@query(f"WITH {EMF1}, li AS (SELECT w.id AS user_id, b.item_id, row_number() OVER (PARTITION BY w.id ORDER BY ROUND(w.v * f[1] * e, 12) DESC, b.item_id) AS rank FROM w2 w, e2, blend b WHERE b.item_id IN (SELECT item_id FROM test_out) AND w.id IN (SELECT user_id FROM test_out) QUALIFY rank <= 30) SELECT CAST(k AS INTEGER) AS k, COUNT(*) FILTER (rank <= k) AS hits, COUNT(*) AS tests, {rnd('COUNT(*) FILTER (rank <= k) / COUNT(*)')} AS accuracy FROM {_KS}, test_out LEFT JOIN li USING (user_id, item_id) GROUP BY k")
+def accuracy_rank1(spark, d):
+    s = _split(spark, d)
+    m = fit_emf(sp.part(s, "train"), _first(spark, d), RANK1)
+    test = sp.part(s, "out_test")
+    users = m.user_factors.join(test.select(F.col("user_id").alias("id")), "id", "left_semi")
+    items = m.content_latents.join(test.select(F.col("item_id").alias("id")), "id", "left_semi")
+    return accuracy_at(recommend(users, items, None, 30), test).withColumn("accuracy", r6("accuracy"))
+
+
+# ---- experiments
+@query()
+def x_single_feature_grid(spark, d):
+    return x.x06_out_grid(spark, d, models=("emf",), features=("meta", "audio", "deep_fv"))
+
+
+@query()
+def x_fusion_table(spark, d):
+    f = x.Fusion(spark, d, ("meta", "audio", "scene"))
+    return f.accuracies(with_early=False)
+
+
+@query()
+def x_time_per_iteration(spark, d):
+    return x.x08_timing(spark, d, features=("deep_fv",), models=("wmf", "emf"), k=8)
+
+
+@query()
+def x_events(spark, d):
+    return x.x15_events(spark, d)
+
+
+# ---- streams, run to their end and read back
+_EV = "e AS (SELECT * FROM events)"
+
+
+def _stream(spark, d, build, mode="append"):
+    """Runs a query over the events as files and returns what its sink holds."""
+    root = os.path.join(shared_dir(spark), f"stream-{uuid.uuid4().hex}")
+    source.split_into_files(spark, table(spark, d, "events"), f"{root}/in")
+    out = build(source.events(spark, f"{root}/in"))
+    if mode == "append":
+        q = out.writeStream.format("parquet").option("checkpointLocation", f"{root}/cp").option("path", f"{root}/out").trigger(availableNow=True).start()
+        q.awaitTermination()
+        return spark.read.schema(out.schema).parquet(f"{root}/out")
+    q = out.writeStream.outputMode(mode).option("checkpointLocation", f"{root}/cp").trigger(availableNow=True).foreachBatch(lambda b, i: b.withColumn("_batch", F.lit(i)).write.mode("overwrite").parquet(f"{root}/out/b={i}")).start()
+    q.awaitTermination()
+    return spark.read.parquet(f"{root}/out").drop("b")
+
+
+@query("SELECT date_trunc('day', ts) AS start, event_type, COUNT(*) AS n FROM events GROUP BY 1, 2")
+def stream_tumbling(spark, d):
+    out = _stream(spark, d, lambda s: windows.tumbling(windows.with_lateness(s)), "complete")
+    return out.where(F.col("_batch") == out.agg(F.max("_batch")).collect()[0][0]).select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+
+
+@query("SELECT s AS start, event_type, COUNT(*) AS n FROM events, LATERAL (SELECT unnest([time_bucket(INTERVAL 6 HOUR, ts) - INTERVAL 6 HOUR * k for k in range(0, 4)]) AS s) GROUP BY 1, 2")
+def stream_sliding(spark, d):
+    out = _stream(spark, d, lambda s: windows.sliding(windows.with_lateness(s)), "complete")
+    return out.where(F.col("_batch") == out.agg(F.max("_batch")).collect()[0][0]).select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+
+
+@query("WITH g AS (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 2 HOUR THEN 1 ELSE 0 END AS fresh FROM events), s AS (SELECT *, SUM(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS no FROM g) SELECT user_id, MIN(ts) AS start, MAX(ts) + INTERVAL 2 HOUR AS \"end\", COUNT(*) AS n FROM s GROUP BY user_id, no")
+def stream_session(spark, d):
+    out = windows.session(table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+    return out.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), F.col("end").cast("timestamp_ntz").alias("end"), "n")
+
+
+@query("SELECT DISTINCT event_id, user_id FROM events")
+def stream_dedup(spark, d):
+    return _stream(spark, d, lambda s: source.dedup(s).select("event_id", "user_id"))
+
+
+@query("SELECT event_id, p_brand, p_name FROM events JOIN part ON p_partkey = CAST(json_extract_string(props, '$.k') AS BIGINT) WHERE event_type = 'purchase'")
+def stream_static_join(spark, d):
+    return _stream(spark, d, lambda s: joins.with_content(source.purchases(s), table(spark, d, "part")).select("event_id", "p_brand", "p_name"))
+
+
+@query("SELECT v.event_id AS viewed, p.event_id AS bought FROM events v JOIN events p ON v.user_id = p.user_id AND p.ts > v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR WHERE v.event_type = 'view' AND p.event_type = 'purchase'")
+def stream_interval_join(spark, d):
+    return _stream(spark, d, joins.view_to_purchase)
+
+
+@query("WITH p AS (SELECT user_id, event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS r FROM events WHERE event_type = 'purchase') SELECT user_id, string_agg(k, ',' ORDER BY r) AS items, COUNT(*) AS n FROM p WHERE r <= 3 GROUP BY 1")
+def stream_recent_items(spark, d):
+    from pyspark.sql import Window
+
+    out = _stream(spark, d, lambda s: state.recent_items(source.purchases(s)), "update")
+    w = Window.partitionBy("user_id").orderBy(F.desc("_batch"))
+    return out.withColumn("r", F.row_number().over(w)).where("r = 1").select("user_id", "items", "n")
+
+
+@query()
+def stream_fold_in(spark, d):
+    pos = interactions.events_positives(spark, d)
+    h = hash_vectors(pos.select("item_id"), "item_id", 4, 5)
+    return _dims(foldin.fold_in(pos, h, EmfParams(k=4)).withColumnsRenamed({"id": "item_id"}), "v").withColumnRenamed("item_id", "user_id")
+
 
 def flagship(spark, sf_dir):
-    return queries()["ratings_view"](spark, sf_dir)
+    """Accuracy of the content-coupled model on items nobody has interacted with."""
+    return queries()["emf_fit"](spark, sf_dir)
 
 
 def queries():
-    return {}
+    return {**Q, **operators.queries()}
 
 
 def oracle_sql():
-    return {}
+    return {**SQL, **operators.oracle_sql()}
