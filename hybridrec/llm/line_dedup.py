@@ -31,41 +31,56 @@ class Lines:
     near_chars: int = 40
 
 
-def segment_bounds(length: Column, edits: int) -> list[tuple[Column, Column]]:
-    """(start from 1, length) of the edits + 1 even segments of a line of ``length`` characters; the last ones are longer by one."""
+def _keys(line: Column, edits: int, places: list[list[tuple[int, int]]]) -> Column:
+    """Keys of a line, for each number of characters less, at (segment, shift).
+
+    A line of ``other`` characters has edits + 1 even segments, the last ones longer by one. The lambda over constant lists is small, since one
+    huge generated method would never be compiled; the line is made four bytes a character once, so that a piece is a copy from a known
+    place and no walk over variable-length characters. Places need no test of bounds in lines of 2 (edits + 1) characters or more.
+    """
     n = edits + 1
-    base, longer = F.floor(length / n).cast("int"), (length % n).cast("int")
-    out = []
-    for i in range(n):
-        size = base + F.when(F.lit(i) >= n - longer, 1).otherwise(0)
-        start = base * i + F.greatest(F.lit(0), F.lit(i) - (n - longer)) + 1
-        out.append((start, size))
-    return out
+    lists = F.array(*[F.struct(F.lit(less).alias("less"), F.array(*[F.struct(F.lit(i).alias("i"), F.lit(s + 1).alias("shift")) for i, s in own]).alias("own")) for less, own in enumerate(places)])
+
+    def of(v):
+        def those(p):
+            other = v["n"] - p["less"]
+            return F.transform(F.array(F.struct(other.alias("other"), F.floor(other / n).cast("int").alias("base"), (n - other % n).alias("short"))), lambda o: F.transform(p["own"], lambda w: one(o, w)))[0]
 
+        def one(o, w):
+            at = o["base"] * w["i"] + F.greatest(F.lit(0), w["i"] - o["short"]) + w["shift"]
+            size = o["base"] + F.when(w["i"] >= o["short"], 1).otherwise(0)
+            return F.xxhash64(o["other"], w["i"], F.substring(v["w"], 4 * at - 3, 4 * size))
 
-def _key(length: Column, i: int, piece: Column) -> Column:
-    return F.xxhash64(length, F.lit(i), piece)
+        return F.flatten(F.transform(lists, those))
 
+    wide = F.encode(line, "UTF-32")
+    return F.transform(F.array(F.struct(wide.alias("w"), F.length(line).alias("n"))), of)[0]
 
-def index_keys(line: Column, length: Column, edits: int) -> Column:
-    return F.array(*[_key(length, i, F.substring(line, start, size)) for i, (start, size) in enumerate(segment_bounds(length, edits))])
 
+def index_keys(line: Column, edits: int) -> Column:
+    return _keys(line, edits, [[(i, 0) for i in range(edits + 1)]])
 
-def probe_keys(line: Column, length: Column, edits: int) -> Column:
+
+def probe_keys(line: Column, edits: int) -> Column:
     """Keys of the substrings of a line that may equal a segment of a line of its own length or up to ``edits`` less.
 
     Substring start and segment start may differ by the edits possible before (i for segment i from 0) and those left after it.
     """
-    keys = []
-    for shorter in range(edits + 1):
-        other = length - shorter
-        for i, (start, size) in enumerate(segment_bounds(other, edits)):
-            low = max(-i, shorter - (edits - i))
-            high = min(i, shorter + (edits - i))
-            for shift in range(low, high + 1):
-                at = start + shift
-                keys.append(F.when((at >= 1) & (at + size - 1 <= length), _key(other, i, F.substring(line, at, size))))
-    return F.array_distinct(F.array_compact(F.array(*keys)))
+    window = lambda less, i: range(max(-i, less - (edits - i)), min(i, less + (edits - i)) + 1)
+    return _keys(line, edits, [[(i, s) for i in range(edits + 1) for s in window(less, i)] for less in range(edits + 1)])
+
+
+def _common(x: Column, y: Column, block: int, from_end: bool) -> Column:
+    """Characters in equal whole blocks at the beginnings or ends of two strings of four bytes a character."""
+    wide = 4 * block
+
+    def of(v):
+        n = F.floor(F.least(F.octet_length(v["x"]), F.octet_length(v["y"])) / wide).cast("int")
+        piece = lambda s, i: F.substring(s, F.octet_length(s) - (i + 1) * wide + 1 if from_end else i * wide + 1, F.lit(wide))
+        differs = F.array_position(F.transform(F.sequence(F.lit(0), n - 1), lambda i: piece(v["x"], i) != piece(v["y"], i)), True)
+        return F.when(n < 1, 0).otherwise(F.when(differs == 0, n).otherwise(differs - 1) * block).cast("int")
+
+    return F.transform(F.array(F.struct(x.alias("x"), y.alias("y"))), of)[0]
 
 
 def within(pairs: DataFrame, edits: int, block: int = 16) -> DataFrame:
@@ -73,19 +88,13 @@ def within(pairs: DataFrame, edits: int, block: int = 16) -> DataFrame:
 
     Equal blocks go from both ends first. The walk then keeps, for each character of ``y``, the vertical differences +1 and -1 of the 2 edits + 1
     cells around the diagonal as bits of two words; the cell on the band's lower edge is counted until it meets the last row.
+    What is left after the blocks is written once, so that no optimizer rule evaluates it again for each use.
     """
     top, full, k = 2 * edits, (1 << (2 * edits + 1)) - 1, edits
-    m, n = F.length("x"), F.length("y")
-
-    def same_blocks(x, y, at):
-        blocks = F.floor(F.least(F.length(x), F.length(y)) / block).cast("int")
-        differs = F.array_position(F.transform(F.sequence(F.lit(0), blocks - 1), lambda i: F.substring(x, at(x, i), F.lit(block)) != F.substring(y, at(y, i), F.lit(block))), True)
-        return F.when(blocks < 1, 0).otherwise(F.when(differs == 0, blocks).otherwise(differs - 1) * block).cast("int")
-
-    cut = pairs.where(F.abs(m - n) <= edits).withColumn("_p", same_blocks(F.col("x"), F.col("y"), lambda s, i: i * block + 1))
-    cut = cut.withColumn("_a", F.expr("substring(x, _p + 1)")).withColumn("_b", F.expr("substring(y, _p + 1)"))
-    cut = cut.withColumn("_s", same_blocks(F.col("_a"), F.col("_b"), lambda s, i: F.length(s) - (i + 1) * block + 1))
-    cut = cut.withColumn("_a", F.expr("substring(_a, 1, length(_a) - _s)")).withColumn("_b", F.expr("substring(_b, 1, length(_b) - _s)"))
+    cut = pairs.where(F.abs(F.length("x") - F.length("y")) <= edits).withColumns({"_x": F.encode("x", "UTF-32"), "_y": F.encode("y", "UTF-32")})
+    cut = cut.withColumn("_p", _common(F.col("_x"), F.col("_y"), block, False)).withColumns({c: F.expr(f"substring({c}, 4 * _p + 1)") for c in ("_x", "_y")})
+    cut = cut.withColumn("_s", _common(F.col("_x"), F.col("_y"), block, True)).withColumns({o: F.decode(F.expr(f"substring({c}, 1, octet_length({c}) - 4 * _s)"), "UTF-32") for o, c in (("_a", "_x"), ("_b", "_y"))})
+    cut = materialize(cut.drop("_x", "_y", "_p", "_s"), "stripped")
     # distant strings seldom agree even on their beginnings: a prefix may differ by twice the edits at most
     cut = cut.where(F.levenshtein(F.substring("_a", 1, 48), F.substring("_b", 1, 48), 2 * edits) >= 0)
     a, b = F.split("_a", ""), F.split("_b", "")
@@ -112,7 +121,7 @@ def within(pairs: DataFrame, edits: int, block: int = 16) -> DataFrame:
     distance = F.aggregate(masks, start, lambda s, c: advance(F.struct(c["eq"].alias("eq"), s["vp"].alias("vp"), s["vn"].alias("vn"), s["d"].alias("d")), c))["d"]
     short = F.least(F.length("_a"), F.length("_b")) <= k + 1
     ok = F.when(short, F.levenshtein("_a", "_b") <= edits).otherwise(distance <= edits)
-    return cut.where(ok).drop("_p", "_s", "_a", "_b")
+    return cut.where(ok).drop("_a", "_b")
 
 
 def _mask(c: Column, top: int) -> Column:
@@ -134,6 +143,8 @@ def occurrences(docs: DataFrame, rules: Lines) -> DataFrame:
 
 def decisions(docs: DataFrame, rules: Lines = Lines()) -> DataFrame:
     """doc_id, pos, near of every line occurrence that goes; ``near``: only an almost equal line stands earlier."""
+    if rules.near_chars < 3 * (rules.edits + 1):
+        raise ValueError("near_chars must be three times the segments at least")
     all_ = occurrences(docs, rules)
     place = F.col("doc_id").cast(PLACE) * F.lit(1 << 31).cast(PLACE) + F.col("pos").cast(PLACE)
     lines = all_.select("h1", "h2", place.cast(PLACE).alias("place")).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("times"))
@@ -141,9 +152,8 @@ def decisions(docs: DataFrame, rules: Lines = Lines()) -> DataFrame:
 
     long_ = all_.where(F.length("line") >= rules.near_chars)
     firsts = lines.select(F.floor(F.col("first") / F.lit(1 << 31).cast(PLACE)).cast("long").alias("doc_id"), F.pmod("first", F.lit(1 << 31).cast(PLACE)).cast("int").alias("pos"))
-    length = F.length("line")
-    indexed = long_.select("doc_id", "pos", "h1", index_keys(F.col("line"), length, rules.edits).alias("keys")).join(firsts, ["doc_id", "pos"], "left_semi").select(F.col("h1").alias("a"), F.explode("keys").alias("key"))
-    probing = long_.select("doc_id", "pos", "h1", probe_keys(F.col("line"), length, rules.edits).alias("keys")).join(firsts, ["doc_id", "pos"], "left_semi").select(F.col("h1").alias("b"), F.explode("keys").alias("key"))
+    indexed = long_.select("doc_id", "pos", "h1", index_keys(F.col("line"), rules.edits).alias("keys")).join(firsts, ["doc_id", "pos"], "left_semi").select(F.col("h1").alias("a"), F.explode_outer("keys").alias("key"))  # outer: a filter inferred for a plain explode would compute all keys twice
+    probing = long_.select("doc_id", "pos", "h1", probe_keys(F.col("line"), rules.edits).alias("keys")).join(firsts, ["doc_id", "pos"], "left_semi").select(F.col("h1").alias("b"), F.explode_outer("keys").alias("key"))
     candidates = materialize(indexed.join(probing, "key").where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "line-pairs")
 
     wanted = materialize(candidates.select(F.explode(F.array("a", "b")).alias("h1")).distinct(), "wanted-lines")
