@@ -25,11 +25,11 @@ from pyspark.sql import DataFrame, functions as F
 from hybridrec.llm.texts import byte_texts, held_out
 from hybridrec.runtime import materialize
 
-CLASSES, CLASS_WORDS, TAILS = 32, 32, 32
+CLASSES, CLASS_WORDS, TAILS = 16, 64, 16
 HEAD = CLASSES * CLASS_WORDS
 #: Words whose counts are sent to the workers; all others are joined. A bound on what is broadcast, not on what is counted.
-KNOWN = 200_000
-CLASS_ROWS, WORD_ROWS = 1 << 15, 1 << 16
+KNOWN = 120_000
+CLASS_ROWS, WORD_ROWS = 1 << 15, 1 << 15
 BATCH, RATE = 4096, 0.5
 #: Documents of a shard for one local model, at least, and local models at most.
 SHARD_FILES, MOST_SHARDS = 4, 256
@@ -86,11 +86,29 @@ def _tail(word: bytes) -> int:
     return zlib.crc32(word[-2:]) % TAILS
 
 
+def _most_frequent(counts: DataFrame) -> list[tuple[bytes, int]]:
+    """Words by count, then bytes: all above the lowest count that keeps them within ``KNOWN``.
+
+    The cut comes from a histogram of counts in sixteenths of powers of two, so that tasks send nothing but words that stay. A global sort with
+    a limit would have every task send its own top to the driver.
+    """
+    step = F.floor(F.log2("c") * 16)
+    histogram = sorted(((r["s"], r["n"]) for r in counts.groupBy(step.alias("s")).agg(F.count("*").alias("n")).collect()), reverse=True)  # at most 16 x 64 rows
+    total, cut = 0, None
+    for s, n in histogram:
+        if total + n > KNOWN:
+            break
+        total, cut = total + n, s
+    if cut is None:
+        return []
+    return sorted(((bytes(r["word"]), r["c"]) for r in counts.where(step >= cut).collect()), key=lambda x: (-x[1], x[0]))
+
+
 def gather(docs: DataFrame, counts: DataFrame) -> Vocabulary:
     """Sizes, the top words (bounded by ``KNOWN``) and one row per tail class."""
     ends = docs.count()
     sums = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).collect()[0]
-    top = [(bytes(r["word"]), r["c"]) for r in counts.orderBy(F.desc("c"), "word").limit(KNOWN).collect()]
+    top = _most_frequent(counts)
     tails = {r["k"]: [r["n"], r["v"]] for r in counts.groupBy((F.crc32(F.expr("substring(word, greatest(octet_length(word) - 1, 1), 2)")) % TAILS).alias("k")).agg(F.sum("c").alias("n"), F.count("*").alias("v")).collect()}
     for w, c in top[: HEAD - 1]:
         tails[_tail(w)][0] -= c
@@ -207,7 +225,7 @@ def log_probability(w: Weights, v: Vocabulary, context: np.ndarray, one: np.ndar
     return out
 
 
-def _groups(batch, v: Vocabulary, column: int, most: int = 1 << 18):
+def _groups(batch, v: Vocabulary, column: int, most: int = 1 << 17):
     """Documents of an Arrow batch in groups of so many tokens."""
     held, size = [], 0
     for i, text in enumerate(byte_texts(batch.column(column))):
