@@ -27,12 +27,13 @@ def r6(c):
     return F.round(c, 6) + F.lit(0.0)
 
 
-STARS = F.ceil(F.col("l_quantity") / 10).cast("int")
+def stars():
+    return F.ceil(F.col("l_quantity") / 10).cast("int")
 
 
 @op("SELECT l_orderkey, l_linenumber, l_partkey, CAST(ceil(l_quantity / 10) AS INTEGER) AS stars, CASE WHEN ceil(l_quantity / 10) = 5 THEN 1 ELSE 0 END AS liked, ROUND(l_extendedprice * (1 - l_discount), 4) + 0.0 AS net FROM lineitem")
 def project_case(spark, d):
-    return table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", STARS.alias("stars"), F.when(STARS == 5, 1).otherwise(0).alias("liked"), (F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 4) + F.lit(0.0)).alias("net"))
+    return table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", stars().alias("stars"), F.when(stars() == 5, 1).otherwise(0).alias("liked"), (F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 4) + F.lit(0.0)).alias("net"))
 
 
 @op("SELECT p_partkey, p_name FROM part WHERE p_brand IN ('Brand#1', 'Brand#2', 'Brand#11', 'Brand#12') AND p_size BETWEEN 5 AND 30 AND p_name LIKE '%e%' AND regexp_matches(p_name, '^[a-m]') AND NOT (p_size IS NOT DISTINCT FROM NULL)")
