@@ -2,8 +2,8 @@
 
 1. A document is the set of its distinct word shingles (64-bit hashes). Equal sets are one class, kept by its smallest id.
 2. Representatives are hashed into bands. In a bucket every member is first paired with the bucket's smallest
-   id only; whatever stays in another component than its bucket's commonest one is then compared with all others there, in
-   bounded blocks. So a group of near copies costs a star, and no link is lost.
+   id only; whatever stays in another component than its bucket's commonest one then meets that whole component and the bucket's other
+   strays, in bounded blocks. So a group of near copies costs a star, and no link between components is lost.
 3. A pair's signatures are compared batch by batch; it goes as soon as the posterior probability of reaching
    the threshold is under ``miss``. What survives is verified on the full sets.
 4. Components of the links are the groups.
@@ -20,7 +20,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 from hybridrec.llm.components import components
 from hybridrec.llm.texts import byte_texts
@@ -164,71 +164,107 @@ def _prune(pairs: DataFrame, reps: DataFrame, near: Near) -> DataFrame:
     return both.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def _verify(pairs: DataFrame, docs: DataFrame, near: Near) -> DataFrame:
-    """Links: pairs whose full sets reach the threshold. Sets are made again from the texts of the documents in question alone."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+def _sets(docs: DataFrame, wanted: DataFrame, near: Near) -> DataFrame:
+    """id, items of the wanted documents (column id), made again from their texts alone."""
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(wanted, "id", "left_semi")
 
     def sets(batches):
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingles(t, near.words).tobytes() for t in byte_texts(batch.column(1))], pa.binary())], names=["id", "items"])
 
-    full = materialize(texts.mapInArrow(sets, "id long, items binary"), "sets")
+    return materialize(texts.mapInArrow(sets, "id long, items binary").dropDuplicates(["id"]), "sets")
+
+
+def _linked(x: np.ndarray, y: np.ndarray, near: Near) -> bool:
+    """Exact test of two sorted sets."""
+    if not len(x) or not len(y):
+        return False
+    common = int((x[np.minimum(np.searchsorted(x, y), len(x) - 1)] == y).sum())
+    return common > 0 and 100 * common >= near.percent * (len(x) + len(y) - common)
+
+
+def _verify(pairs: DataFrame, docs: DataFrame, near: Near) -> DataFrame:
+    """Links: pairs whose full sets reach the threshold."""
+    full = _sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), near)
     both = pairs.join(full.select(F.col("id").alias("a"), F.col("items").alias("x")), "a").join(full.select(F.col("id").alias("b"), F.col("items").alias("y")), "b")
 
     def run(batches):
         for batch in batches:
-            ok = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                at = np.searchsorted(x, y)
-                common = int((x[np.minimum(at, len(x) - 1)] == y).sum()) if len(x) else 0
-                ok.append(100 * common >= near.percent * (len(x) + len(y) - common) and common > 0)
-            keep = pa.array(ok, pa.bool_())
+            keep = pa.array([_linked(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64), near) for x, y in zip(batch.column(2), batch.column(3), strict=True)], pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], names=["a", "b"])
 
     return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
-def _rest(members: DataFrame, reps: DataFrame, labels: DataFrame, near: Near) -> DataFrame:
-    """Plausible pairs of different components that share a bucket.
+def _block_links(left, right, near: Near, same: bool) -> list[tuple[int, int]]:
+    """Links of the rows of ``left`` with those of ``right`` (pandas frames of doc_id, label, n, sig, items) between different labels.
 
-    In each unsettled bucket the members outside its commonest component (the strays) meet all members of other components. Strays and
-    members are dealt to blocks of ``near.block``; a pair counts in its first common band only.
+    Plausible partners are verified on the full sets, most similar first; a row stops at its first link with each label, since everything of one
+    label is one component already.
     """
+    sig = np.frombuffer(b"".join(right["sig"]), "<u2").reshape(len(right), -1)
+    ids, labels, sizes = (right[c].to_numpy() for c in ("doc_id", "label", "n"))
+    items, out = right["items"].to_numpy(), []
+    for doc, label, n, raw, mine in zip(left["doc_id"], left["label"], left["n"], left["sig"], left["items"], strict=True):
+        ok = (labels != label) & (100 * np.minimum(sizes, n) >= near.percent * np.maximum(sizes, n))
+        if same:
+            ok &= ids > doc
+        at = np.flatnonzero(ok)
+        if not len(at):
+            continue
+        y = np.frombuffer(raw, "<u2")
+        at = at[_plausible(sig[at], np.broadcast_to(y, (len(at), len(y))), near)]
+        own, done = np.frombuffer(mine, np.uint64), set()
+        for i in at[np.argsort(-(sig[at] == y).sum(1), kind="stable")]:
+            if labels[i] not in done and _linked(own, np.frombuffer(items[i], np.uint64), near):
+                done.add(labels[i])
+                out.append((min(doc, ids[i]), max(doc, ids[i])))
+    return out
+
+
+def _rest(members: DataFrame, reps: DataFrame, docs: DataFrame, labels: DataFrame, near: Near) -> DataFrame:
+    """Links between different components that share a bucket, beyond those with a bucket's centre.
+
+    A member outside its bucket's commonest component (a stray) meets all of that component, each in blocks of ``near.block``, once and not once
+    a bucket; and the other strays of the bucket. Every plausible pair is verified inside the block, and what leaves it are links.
+    """
+    import pandas as pd
+
     known = members.join(labels, members["doc_id"] == labels["id"], "left").select("bucket", "doc_id", F.coalesce("label", "doc_id").alias("label"))
     parts = known.groupBy("bucket", "label").agg(F.count("*").alias("c"))
-    main = parts.groupBy("bucket").agg(F.max(F.struct("c", "label")).alias("top"), F.count("*").alias("labels"), F.sum("c").alias("size")).where("labels > 1")
-    open_ = known.join(main.select("bucket", F.col("top.label").alias("main"), F.ceil((F.col("size") - F.col("top.c")) / near.block).alias("strays"), F.ceil(F.col("size") / near.block).alias("all_")), "bucket")
-    stray = F.col("label") != F.col("main")
-    at = lambda n: F.pmod(F.xxhash64("doc_id", F.lit(3)), n).cast("int")
-    # a member goes to its own block for each stray block; a stray goes, as such, to every block of members
-    as_member = open_.select("bucket", "doc_id", "label", F.lit(False).alias("stray"), at(F.col("all_")).alias("mb"), F.explode(F.sequence(F.lit(0), F.col("strays").cast("int") - 1)).alias("sb"))
-    as_stray = open_.where(stray).select("bucket", "doc_id", "label", F.lit(True).alias("stray"), F.explode(F.sequence(F.lit(0), F.col("all_").cast("int") - 1)).alias("mb"), at(F.col("strays")).alias("sb"))
-    rows = as_member.unionByName(as_stray).join(reps.select("doc_id", "n", "sig", "bands"), "doc_id")
-
-    def compare(pdf):
-        import pandas as pd
-
+    main = parts.groupBy("bucket").agg(F.max(F.struct("c", "label")).alias("top"), F.count("*").alias("labels"), F.sum("c").alias("size")).where("labels > 1 and size > 2")
+    strays = materialize(known.join(main.select("bucket", F.col("top.label").alias("main"), (F.col("size") - F.col("top.c")).alias("strays"), "labels"), "bucket").where("label != main"), "strays")
+    asked = strays.select("doc_id", "label", "main").distinct()
+    every = reps.select("doc_id").join(labels, reps["doc_id"] == labels["id"], "left").select("doc_id", F.coalesce("label", "doc_id").alias("main"))
+    met = every.join(asked.select("main").distinct(), "main", "left_semi")
+    wanted = materialize(met.select(F.col("doc_id").alias("id")).unionByName(asked.select(F.col("doc_id").alias("id"))).distinct(), "wanted")
+    full = _sets(docs, wanted, near)
+    facts = reps.select("doc_id", "n", "sig").join(full.withColumnRenamed("id", "doc_id"), "doc_id")
+
+    # strays against components
+    counts = asked.groupBy("main").agg(F.ceil(F.count("*") / near.block).cast("int").alias("sbs")).join(met.groupBy("main").agg(F.ceil(F.count("*") / near.block).cast("int").alias("mbs")), "main")
+    at = lambda n: F.pmod(F.xxhash64("doc_id", F.lit(3)), F.col(n)).cast("int")
+    upto = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    as_member = met.join(counts, "main").select("main", "doc_id", F.col("main").alias("label"), F.lit(False).alias("stray"), at("mbs").alias("mb"), upto("sbs").alias("sb"))
+    as_stray = asked.join(counts, "main").select("main", "doc_id", "label", F.lit(True).alias("stray"), upto("mbs").alias("mb"), at("sbs").alias("sb"))
+
+    def against(pdf):
         s, m = pdf[pdf["stray"]], pdf[~pdf["stray"]]
-        out = []
-        if len(s) and len(m):
-            sig = np.frombuffer(b"".join(m["sig"]), "<u2").reshape(len(m), -1)
-            bands = np.stack(m["bands"].to_numpy())
-            ids, labels_, sizes, bucket = m["doc_id"].to_numpy(), m["label"].to_numpy(), m["n"].to_numpy(), pdf["bucket"].iloc[0]
-            stray_ids = set(s["doc_id"])
-            both = np.array([i in stray_ids for i in ids])
-            for doc, label, n, raw, own in zip(s["doc_id"], s["label"], s["n"], s["sig"], s["bands"], strict=True):
-                first = (bands == own).argmax(1)
-                ok = (labels_ != label) & (own[first] == bucket) & (100 * np.minimum(sizes, n) >= near.percent * np.maximum(sizes, n)) & (~both | (ids > doc))
-                at = np.flatnonzero(ok)
-                if len(at):
-                    y = np.broadcast_to(np.frombuffer(raw, "<u2"), (len(at), near.hashes))
-                    at = at[_plausible(sig[at], y, near)]
-                    out += [(min(doc, i), max(doc, i)) for i in ids[at]]
-        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
-
-    return rows.groupBy("bucket", "mb", "sb").applyInPandas(compare, "a long, b long").distinct()
+        return pd.DataFrame(_block_links(s, m, near, False) if len(s) and len(m) else [], columns=["a", "b"]).astype("int64")
+
+    one = as_member.unionByName(as_stray).join(facts, "doc_id").groupBy("main", "mb", "sb").applyInPandas(against, "a long, b long")
+
+    # strays of one bucket among themselves: each pair of blocks is a group
+    among = strays.where("labels > 2").withColumn("bs", F.ceil(F.col("strays") / near.block).cast("int")).withColumn("own", at("bs"))
+    dealt = among.select("bucket", "doc_id", "label", "own", upto("bs").alias("other")).select("bucket", "doc_id", "label", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
+
+    def between(pdf):
+        lo, hi = pdf["lo"].iloc[0], pdf["hi"].iloc[0]
+        a, b = pdf[pdf["own"] == lo], pdf[pdf["own"] == hi]
+        return pd.DataFrame(_block_links(a, b, near, lo == hi) if len(a) and len(b) else [], columns=["a", "b"]).astype("int64")
+
+    two = dealt.join(facts, "doc_id").groupBy("bucket", "lo", "hi").applyInPandas(between, "a long, b long")
+    return one.unionByName(two).distinct()
 
 
 def groups(docs: DataFrame, near: Near = Near()) -> DataFrame:
@@ -244,8 +280,7 @@ def groups(docs: DataFrame, near: Near = Near()) -> DataFrame:
     star = members.where("doc_id != centre").select(F.col("centre").alias("a"), F.col("doc_id").alias("b")).distinct()
     links = materialize(_verify(materialize(_prune(star, reps, near), "pairs"), docs, near), "star-links")
     labels = materialize(components(links), "star-labels")
-    more = materialize(_rest(members.select("bucket", "doc_id"), reps, labels, near), "rest")
-    links = links.unionByName(materialize(_verify(more, docs, near), "rest-links"))
+    links = links.unionByName(materialize(_rest(members.select("bucket", "doc_id"), reps, docs, labels, near), "rest-links"))
     # rows that share a doc_id may fall in several classes: their representatives are tied through the id
     tied = member.where("doc_id != rep").join(member.groupBy("doc_id").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low != high").select("doc_id"), "doc_id", "left_semi").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     final = components(links.unionByName(tied))
