@@ -156,10 +156,10 @@ def self_join_cooc(spark, d):
     return j.groupBy("i", "j").agg(F.count("*").alias("n")).where("n >= 2")
 
 
-@op("SELECT o_custkey, COUNT(*) AS n, ROUND(SUM(o_totalprice), 2) + 0.0 AS total, ROUND(AVG(o_totalprice), 4) + 0.0 AS mean, MIN(o_totalprice) AS low, MAX(o_totalprice) AS high, ROUND(STDDEV(o_totalprice), 4) + 0.0 AS dev FROM orders GROUP BY 1")
+@op("SELECT o_custkey, COUNT(*) AS n, ROUND(SUM(o_totalprice), 2) + 0.0 AS total, ROUND(SUM(o_totalprice), 2) / COUNT(*) AS mean, MIN(o_totalprice) AS low, MAX(o_totalprice) AS high, ROUND(STDDEV(o_totalprice), 4) + 0.0 AS dev FROM orders GROUP BY 1")
 def agg_basic(spark, d):
     x = "o_totalprice"
-    return table(spark, d, "orders").groupBy("o_custkey").agg(F.count("*").alias("n"), (F.round(F.sum(x), 2) + F.lit(0.0)).alias("total"), (F.round(F.avg(x), 4) + F.lit(0.0)).alias("mean"), F.min(x).alias("low"), F.max(x).alias("high"), (F.round(F.stddev(x), 4) + F.lit(0.0)).alias("dev"))
+    return table(spark, d, "orders").groupBy("o_custkey").agg(F.count("*").alias("n"), (F.round(F.sum(x), 2) + F.lit(0.0)).alias("total"), (F.round(F.sum(x), 2) / F.count("*")).alias("mean"), F.min(x).alias("low"), F.max(x).alias("high"), (F.round(F.stddev(x), 4) + F.lit(0.0)).alias("dev"))
 
 
 @op("SELECT o_custkey, COUNT(*) AS n FROM orders GROUP BY 1 HAVING COUNT(*) > 10")
