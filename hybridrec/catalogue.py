@@ -15,7 +15,7 @@ from hybridrec import interactions, operators
 from hybridrec.evaluation import split as sp
 from hybridrec.evaluation import stats
 from hybridrec.evaluation.accuracy import accuracy_at, feature_chain
-from hybridrec.evaluation.topk import best, recommend
+from hybridrec.evaluation.topk import all_scores, best, recommend
 from hybridrec.features import descriptors, encode, meta, reduce, registry, text
 from hybridrec.functions import M, dot, portable_hash_sql, signed_sqrt
 from hybridrec.fusion import early, late
@@ -498,6 +498,30 @@ def fused_topk(spark, d):
     return best(late.fuse(_scores(spark, d), _gpf(spark)), 10).select("user_id", "item_id", r6("score").alias("score"), F.col("rank").cast("bigint").alias("rank"))
 
 
+def _fused_vectors(spark, d, features=registry.ALL):
+    """Fused (id, v) of all test users and of the whole held-out item pool: content profiles of every feature, encoded, with priority weights by accuracy on held-out training items."""
+    w = x.Workload(spark, d, "quantity", encoded=True)
+    inner = materialize(sp.validation_cut(w.train, 0.25, "item"), "inner")
+    train, valid = (inner.where(F.col("inner") == c).select("user_id", "item_id") for c in ("train", "valid"))
+    acc = [(f, w.accuracy(simple.profile_model(train, w.feature(f)), "out", valid, train, (30,)).collect()[0]["accuracy"] or 0.0) for f in features]
+    weights = late.weight_map(late.priority_weights(spark.createDataFrame(acc, "feature string, accuracy double")))
+    users, items = late.fuse_vectors({f: simple.profile_model(w.train, w.feature(f)) for f in features}, weights)
+    test = w.tests["out"]
+    return materialize(users.join(test.select(F.col("user_id").alias("id")), "id", "left_semi"), "fused-users"), materialize(items.join(test.select(F.col("item_id").alias("id")), "id", "left_semi"), "fused-items")
+
+
+@query()
+def late_fuse_whole(spark, d):
+    """Fused scores of every test user with every held-out item; too many pairs for SQL."""
+    return all_scores(*_fused_vectors(spark, d)).withColumn("score", r6("score"))
+
+
+@query()
+def fused_topk_whole(spark, d):
+    """The ten best held-out items of every test user by fused scores."""
+    return recommend(*_fused_vectors(spark, d), None, 10).select("user_id", "item_id", r6("score").alias("score"), F.col("rank").cast("bigint").alias("rank"))
+
+
 # ---- measures
 POPULAR = f"{BASE}, po AS (SELECT item_id, COUNT(*) AS n FROM train GROUP BY 1), us AS (SELECT DISTINCT user_id FROM test_in), li AS (SELECT user_id, item_id, n, row_number() OVER (PARTITION BY user_id ORDER BY n DESC, item_id) AS rank FROM us, po WHERE NOT EXISTS (SELECT 1 FROM train t WHERE t.user_id = us.user_id AND t.item_id = po.item_id) QUALIFY rank <= 30)"
 

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+from pyspark.ml.functions import array_to_vector, vector_to_array
+from pyspark.ml.stat import Summarizer
 from pyspark.sql import DataFrame, functions as F
 
 from hybridrec.functions import signed_sqrt, unit
@@ -34,17 +36,16 @@ def fit_codebook(desc: DataFrame, k: int, rounds: int = 8) -> np.ndarray:
                     n += np.bincount(near, minlength=len(c))
             yield pd.DataFrame({"c": range(len(c)), "n": n, "s": list(s)})
 
-        d = centres.shape[1]
-        sums = _sum_vectors(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", d, "n")
+        sums = _sum_vectors(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", "n")
         for c, n, s in sums:
             if n:
                 centres[c] = np.array(s) / n
     return centres
 
 
-def _sum_vectors(df: DataFrame, key: str, vec: str, d: int, *more: str) -> list:
+def _sum_vectors(df: DataFrame, key: str, vec: str, *more: str) -> list:
     """(key, sums of the scalar columns, elementwise sum of the vector) per key; keys are few."""
-    out = df.groupBy(key).agg(*[F.sum(m).alias(m) for m in more], F.array(*[F.sum(F.col(vec)[i]) for i in range(d)]).alias(vec))
+    out = df.groupBy(key).agg(*[F.sum(m).alias(m) for m in more], vector_to_array(Summarizer.sum(array_to_vector(vec))).alias(vec))
     return [tuple(r[c] for c in (key, *more, vec)) for r in out.collect()]
 
 
@@ -95,7 +96,7 @@ def fit_diag_gmm(desc: DataFrame, k: int, rounds: int = 8, floor: float = 1e-4)
             yield pd.DataFrame({"c": range(len(n)), "n": n, "s": list(np.hstack([s1, s2]))})
 
         d = means.shape[1]
-        for c, n, s in _sum_vectors(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", 2 * d, "n"):
+        for c, n, s in _sum_vectors(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", "n"):
             if n > 1e-9:
                 mu = np.array(s[:d]) / n
                 g.weights[c], g.means[c], g.variances[c] = n, mu, np.maximum(np.array(s[d:]) / n - mu**2, floor)
@@ -123,8 +124,8 @@ def fisher_vectors(desc: DataFrame, g: Mixture, normalize: bool = True) -> DataF
             np.add.at(sums, inv, np.hstack([a, b]))
             yield pd.DataFrame({"item_id": ids, "n": np.bincount(inv), "s": list(sums)})
 
-    k, d = g.means.shape
-    sums = desc.select("item_id", "vec").mapInPandas(part, "item_id long, n long, s array<double>").groupBy("item_id").agg(F.sum("n").alias("n"), F.array(*[F.sum(F.col("s")[i]) for i in range(2 * k * d)]).alias("s"))
+    d = g.means.shape[1]
+    sums = desc.select("item_id", "vec").mapInPandas(part, "item_id long, n long, s array<double>").groupBy("item_id").agg(F.sum("n").alias("n"), vector_to_array(Summarizer.sum(array_to_vector("s"))).alias("s"))
     factors = [1 / np.sqrt(w) for w in g.weights for _ in range(d)] + [1 / np.sqrt(2 * w) for w in g.weights for _ in range(d)]
     f = F.zip_with("s", F.array(*[F.lit(float(x)) for x in factors]), lambda x, y: x * y / F.col("n"))
     out = sums.select("item_id", f.alias("f"))

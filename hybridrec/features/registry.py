@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from hybridrec.features import descriptors, encode, meta, text
 from hybridrec.functions import signed_sqrt, unit
+from hybridrec.runtime import materialize
 
 NON_TEXT = ("deep_fv", "deep_vlad", "motion_b", "audio", "scene", "motion_a")
 ALL = ("meta", "word", *NON_TEXT)
@@ -39,6 +40,7 @@ def load(spark: SparkSession, sf_dir: str, name: str, vocabulary: int = 200, cod
         return dense(text.word_vectors(tokens, text.tfidf_vocabulary(tokens, vocabulary), vocabulary))
     kind = "deep" if name.startswith("deep") else name
     desc = descriptors.descriptor_sets(spark, sf_dir).where(F.col("kind") == kind).select("item_id", "frame", signed_sqrt(F.col("vec")).alias("vec"))
+    desc = materialize(desc, f"descriptors-{kind}")  # fits read it once a round
     if name == "deep_vlad":
         return encode.vlad_vectors(desc, encode.fit_codebook(desc, codewords))
     return encode.fisher_vectors(desc, encode.fit_diag_gmm(desc, codewords))

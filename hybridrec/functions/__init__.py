@@ -26,8 +26,9 @@ def scale(a: Column, c: Column) -> Column:
 
 
 def unit(a: Column) -> Column:
-    n = norm(a)
-    return F.when(n > 0, scale(a, 1.0 / n)).otherwise(a)
+    """``a`` over its norm. Both are bound by one-element arrays, so that the norm is taken once and not once a component."""
+    one = lambda v: F.transform(F.array(norm(v)), lambda n: F.when(n > 0, scale(v, 1.0 / n)).otherwise(v))[0]
+    return F.transform(F.array(a), one)[0]
 
 
 def cosine(a: Column, b: Column) -> Column:
