@@ -272,6 +272,15 @@ def content_profile(spark, d):
     return recommend(users, items.join(pool, "id", "left_semi"), None, 5).select("user_id", "item_id", (F.round("score", 5) + F.lit(0.0)).alias("score"))
 
 
+@query()
+def content_profile_whole(spark, d):
+    """Lists of every user with a training positive; ``content_profile`` is the sample that its SQL follows."""
+    s = _split(spark, d)
+    users, items = simple.content_profile(sp.part(s, "train"), descriptors.blend_vectors(spark, d))
+    pool = sp.part(s, "out_test").select(F.col("item_id").alias("id")).distinct()
+    return recommend(users, items.join(pool, "id", "left_semi"), None, 5).select("user_id", "item_id", (F.round("score", 5) + F.lit(0.0)).alias("score"))
+
+
 @query(f"WITH {BASE}, n AS (SELECT item_id, COUNT(*) AS n FROM train GROUP BY 1), c AS (SELECT a.item_id AS i, b.item_id AS j, COUNT(*) AS c FROM train a JOIN train b ON a.user_id = b.user_id AND a.item_id <> b.item_id GROUP BY 1, 2), s AS (SELECT i, j, c / sqrt(x.n * y.n) AS s FROM c JOIN n x ON x.item_id = i JOIN n y ON y.item_id = j) SELECT i, j, {rnd('s')} AS similarity FROM s QUALIFY row_number() OVER (PARTITION BY i ORDER BY ROUND(s, 12) DESC, j) <= 10")
 def item_neighbors(spark, d):
     return simple.item_neighbors(sp.part(_split(spark, d), "train"), 10).select("i", "j", r6("similarity").alias("similarity"))
@@ -385,6 +394,18 @@ def bpr_rank1_step(spark, d):
     return out.select("side", "id", (F.round("v", 7) + F.lit(0.0)).alias("v"))
 
 
+@query()
+def bpr_rank1_step_whole(spark, d):
+    """One gradient step on the sampled triples of all users; ``bpr_rank1_step`` is the sample that its SQL follows."""
+    train = sp.part(_split(spark, d), "train")
+    triples = materialize(sample_triples(train, 0, 23), "triples")
+    users = hash_vectors(train.select("user_id"), "user_id", 1, 23)
+    h = hash_vectors(train.select("item_id"), "item_id", 1, 24).withColumn("b", F.lit(0.0))
+    w2, h2 = step(users, h, triples, BprParams(k=1))
+    out = w2.select(F.lit("user").alias("side"), "id", F.col("v")[0].alias("v")).unionByName(h2.select(F.lit("item").alias("side"), "id", F.col("v")[0].alias("v")))
+    return out.select("side", "id", (F.round("v", 7) + F.lit(0.0)).alias("v"))
+
+
 # ---- whole models (rows only; tested against dense algebra)
 P8 = EmfParams(k=8, iters=3, lam_e=10.0)
 
