@@ -140,6 +140,15 @@ def cross_scores(spark, d):
     return b.crossJoin(F.broadcast(a)).select("user_id", "item_id", r6(dot(F.col("x"), F.col("y"))).alias("score"))
 
 
+@op(None)
+def cross_scores_whole(spark, d):
+    """Every fiftieth vector against all rows, in blocks; ``op_cross_scores`` is the sample that its SQL follows."""
+    from hybridrec.evaluation.topk import all_scores
+
+    e = table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
+    return all_scores(e.where("id % 50 = 0"), e).withColumn("score", r6("score"))
+
+
 _POS = "p AS (SELECT o_custkey AS user_id, l_partkey AS item_id FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2 HAVING max(ceil(l_quantity / 10)) = 5)"
 
 
