@@ -33,7 +33,8 @@ class BprParams:
 def sample_triples(train: DataFrame, epoch: int, seed: int, batches: int = 1, retries: int = 3) -> DataFrame:
     """user_id, i, j, batch: each positive with one hashed item the user does not like.
 
-    Items are numbered densely; each try hashes to a number, and the first try that is no positive wins. A pair with no win in all tries sits out.
+    Items are numbered densely; each try hashes to a number, and the first try that is no positive wins. A pair with no win in all tries
+    gets an exact draw from its user's other items; only users who like every item sit out.
     """
     items = materialize(train.select("item_id").distinct(), "items")
     n = items.count()
@@ -49,7 +50,26 @@ def sample_triples(train: DataFrame, epoch: int, seed: int, batches: int = 1, re
     drawn = train.select("user_id", F.col("item_id").alias("i"), F.explode(tries).alias("d")).select("user_id", "i", "d.t", "d.no").join(numbered, "no")
     free = drawn.join(train.select("user_id", F.col("item_id").alias("j")), ["user_id", "j"], "left_anti")
     won = free.groupBy("user_id", "i").agg(F.min(F.struct("t", "j")).alias("w"))
-    return won.select("user_id", "i", F.col("w.j").alias("j"), (portable_hash(F.col("user_id"), F.col("i"), seed + epoch) % batches).cast("int").alias("batch"))
+    drawn = materialize(train.select("user_id", F.col("item_id").alias("i")).distinct().join(won, ["user_id", "i"], "left").select("user_id", "i", F.col("w.j").alias("j")), "drawn")
+    rest = _from_unliked(drawn.where("j is null").select("user_id", "i"), drawn.select("user_id", F.col("i").alias("j")), numbered, n, seed + 101 * epoch + 7 * retries)
+    return drawn.where("j is not null").unionByName(rest).select("user_id", "i", "j", (portable_hash(F.col("user_id"), F.col("i"), seed + epoch) % batches).cast("int").alias("batch"))
+
+
+def _from_unliked(lost: DataFrame, liked: DataFrame, numbered: DataFrame, n: int, seed: int) -> DataFrame:
+    """user_id, i, j: for each lost pair the item at a hashed rank among those its user does not like.
+
+    The item of rank r has the number r plus the count of liked numbers that exceed their own place p by at most r. One sort a user
+    counts them for all ranks, so rows stay those of the lost pairs and of their users' likes.
+    """
+    from pyspark.sql import Window
+
+    mine = liked.join(lost.select("user_id").distinct(), "user_id", "left_semi").join(numbered, "j")
+    gaps = mine.select("user_id", (F.col("no") - F.row_number().over(Window.partitionBy("user_id").orderBy("no")) + 1).alias("at"), F.lit(0).alias("ask"), F.lit(None).cast("long").alias("i"))
+    left = mine.groupBy("user_id").agg((F.lit(n) - F.count("*")).alias("left")).where("left > 0")
+    asks = lost.join(left, "user_id").select("user_id", F.pmod(portable_hash(F.col("user_id"), F.col("i"), seed), F.col("left")).alias("at"), F.lit(1).alias("ask"), "i")
+    before = F.count(F.when(F.col("ask") == 0, 1)).over(Window.partitionBy("user_id").orderBy("at", "ask").rowsBetween(Window.unboundedPreceding, 0))
+    ranked = gaps.unionByName(asks).withColumn("no", F.col("at") + before).where("ask = 1")
+    return ranked.join(numbered, "no").select("user_id", "i", "j")
 
 
 def _summed(grads: DataFrame, k: int, extra: bool = False) -> DataFrame:
