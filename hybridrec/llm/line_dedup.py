@@ -8,8 +8,13 @@ could be such a segment without exceeding the edits on either side. Candidates a
 verified: equal 16-character blocks are stripped from both ends and a band of 2 edits + 1 diagonals runs through
 the rest as bit vectors in one 64-bit word.
 
-Defined results: null text stays null and has no lines. Rows with a null doc_id are kept as they are and remove nothing.
-Rows that share a doc_id and text keep the same lines. Empty and short lines always stay. A document that loses all its words is
+A segment that more than ``crowd`` lines of one length share makes no pairs: its lines and those that look it up go into blocks of
+``block`` lines, each pair of blocks is one row, and inside it a line asks only whether any earlier one is near, stopping at the first. So a form
+filled in a million ways moves blocks and not pairs; the comparisons inside a crowded segment still grow with the square of its lines.
+
+Defined results: null text stays null and has no lines. Rows with a null doc_id are kept as they are and remove nothing. A row is its doc_id and
+its text: equal rows are one and keep the same lines; rows that share a doc_id but not the text are ordered among themselves by a hash of
+the text and lose lines each on its own. Empty and short lines always stay. A document that loses all its words is
 dropped by :func:`keep` if it had any. Extra columns are ignored by the join and kept by :func:`keep`; an empty table gives
 an empty result.
 """
@@ -29,6 +34,9 @@ class Lines:
     edits: int = 2
     exact_chars: int = 20
     near_chars: int = 40
+    #: Lines of one length that may share a segment before it counts as crowded, and lines of a block there.
+    crowd: int = 32
+    block: int = 64
 
 
 def _keys(line: Column, edits: int, places: list[list[tuple[int, int]]]) -> Column:
@@ -132,65 +140,104 @@ def _mask(c: Column, top: int) -> Column:
 
 
 PLACE = "decimal(38,0)"
+_HALF = 1 << 31
+
+
+def _row(text: Column) -> Column:
+    """Tells rows of one doc_id apart: 31 bits of a hash of the text."""
+    return F.pmod(F.xxhash64(text, F.lit(3)), F.lit(_HALF))
 
 
 def occurrences(docs: DataFrame, rules: Lines) -> DataFrame:
-    """doc_id, pos, line, two hashes of every line long enough to count."""
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null and text is not null")
-    lines = own.select("doc_id", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line")).where(F.length("line") >= rules.exact_chars)
-    return lines.select("doc_id", "pos", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"))
+    """doc_id, row, pos, line, two hashes and the place in the corpus of every line long enough to count."""
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null and text is not null").withColumn("row", _row(F.col("text")))
+    lines = own.select("doc_id", "row", F.posexplode(F.split("text", "\n", -1)).alias("pos", "line")).where(F.length("line") >= rules.exact_chars)
+    half = F.lit(_HALF).cast(PLACE)
+    place = ((F.col("doc_id").cast(PLACE) * half + F.col("row").cast(PLACE)).cast(PLACE) * half + F.col("pos").cast(PLACE)).cast(PLACE)
+    return lines.select("doc_id", "row", "pos", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), place.alias("place"))
+
+
+def _small(df: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """Broadcast if its rows, counted, are so few (keys of 8 bytes); else as it is, for a join by shuffle."""
+    return F.broadcast(df) if df.count() <= most else df
 
 
 def decisions(docs: DataFrame, rules: Lines = Lines()) -> DataFrame:
-    """doc_id, pos, near of every line occurrence that goes; ``near``: only an almost equal line stands earlier."""
+    """doc_id, row, pos, h1, near of every line occurrence that goes, once; ``near``: only an almost equal line stands earlier."""
     if rules.near_chars < 3 * (rules.edits + 1):
         raise ValueError("near_chars must be three times the segments at least")
     all_ = occurrences(docs, rules)
-    place = F.col("doc_id").cast(PLACE) * F.lit(1 << 31).cast(PLACE) + F.col("pos").cast(PLACE)
-    lines = all_.select("h1", "h2", place.cast(PLACE).alias("place")).groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count("*").alias("times"))
-    lines = materialize(lines, "lines")
-
+    lines = materialize(all_.select("h1", "h2", "place").groupBy("h1", "h2").agg(F.min("place").alias("first"), F.max("place").alias("last")), "lines")
     long_ = all_.where(F.length("line") >= rules.near_chars)
-    firsts = lines.select(F.floor(F.col("first") / F.lit(1 << 31).cast(PLACE)).cast("long").alias("doc_id"), F.pmod("first", F.lit(1 << 31).cast(PLACE)).cast("int").alias("pos"))
-    indexed = long_.select("doc_id", "pos", "h1", index_keys(F.col("line"), rules.edits).alias("keys")).join(firsts, ["doc_id", "pos"], "left_semi").select(F.col("h1").alias("a"), F.explode_outer("keys").alias("key"))  # outer: a filter inferred for a plain explode would compute all keys twice
-    probing = long_.select("doc_id", "pos", "h1", probe_keys(F.col("line"), rules.edits).alias("keys")).join(firsts, ["doc_id", "pos"], "left_semi").select(F.col("h1").alias("b"), F.explode_outer("keys").alias("key"))
-    candidates = materialize(indexed.join(probing, "key").where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "line-pairs")
-
-    wanted = materialize(candidates.select(F.explode(F.array("a", "b")).alias("h1")).distinct(), "wanted-lines")
-    few = wanted.count() <= 1_000_000  # 8 MB: a checked bound; more are joined by a shuffle
-    named = lines.select("h1", "h2", "first")
-    texts = long_.select("doc_id", "pos", "line", "h1", "h2").join(F.broadcast(wanted) if few else wanted, "h1", "left_semi").withColumn("place", place.cast(PLACE))
-    texts = materialize(texts.join(named.join(F.broadcast(wanted) if few else wanted, "h1", "left_semi").select(F.col("first").alias("place"), "h2"), ["place", "h2"], "left_semi").select("h1", "h2", "line", "place"), "line-texts")
+    keyed = long_.select("place", "h1", "h2", index_keys(F.col("line"), rules.edits).alias("own"), probe_keys(F.col("line"), rules.edits).alias("looked"))
+    keyed = materialize(keyed.join(lines.select(F.col("first").alias("place"), "h1", "h2"), ["place", "h1", "h2"], "left_semi").select("h1", "own", "looked"), "line-keys")
+    indexed, probing = keyed.select(F.col("h1").alias("a"), F.explode("own").alias("key")), keyed.select(F.col("h1").alias("b"), F.explode("looked").alias("key"))
+    crowded = materialize(indexed.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > rules.crowd), "crowded")
+    hot = _small(crowded.select("key"))
+
+    # a look-up meets ``crowd`` lines at most
+    sparse = indexed.join(hot, "key", "left_anti").join(probing, "key").where("a != b")
+    candidates = materialize(sparse.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "line-pairs")
+    meeting = materialize(indexed.join(hot, "key", "left_semi").select("key", F.col("a").alias("h1"), F.lit(True).alias("mine")).unionByName(probing.join(hot, "key", "left_semi").select("key", F.col("b").alias("h1"), F.lit(False).alias("mine"))).distinct(), "crowded-lines")
+
+    wanted = materialize(candidates.select(F.explode(F.array("a", "b")).alias("h1")).unionByName(meeting.select("h1")).distinct(), "wanted-lines")
+    few = _small(wanted)
+    texts = long_.select("line", "h1", "h2", "place").join(few, "h1", "left_semi")
+    texts = materialize(texts.join(lines.join(few, "h1", "left_semi").select(F.col("first").alias("place"), "h1", "h2"), ["place", "h1", "h2"], "left_semi").distinct(), "line-texts")
     side = lambda h, t, p, h2: texts.select(F.col("h1").alias(h), F.col("line").alias(t), F.col("place").alias(p), F.col("h2").alias(h2))
     pairs = candidates.join(side("a", "x", "px", "x2"), "a").join(side("b", "y", "py", "y2"), "b").where(F.abs(F.length("x") - F.length("y")) <= rules.edits)
     close = within(pairs, rules.edits)
-    later = close.select(F.when(F.col("px") > F.col("py"), F.struct(F.col("a").alias("h1"), F.col("x2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("y2").alias("h2"))).alias("l")).select("l.*").distinct().withColumn("near", F.lit(True))
-    later = materialize(later, "near-lines")
+    later = close.select(F.when(F.col("px") > F.col("py"), F.struct(F.col("a").alias("h1"), F.col("x2").alias("h2"))).otherwise(F.struct(F.col("b").alias("h1"), F.col("y2").alias("h2"))).alias("l")).select("l.*")
+    later = materialize(later.unionByName(_crowded_later(meeting, texts, rules)).distinct().withColumn("near", F.lit(True)), "near-lines")
 
-    repeated = lines.where("times > 1").join(later, ["h1", "h2"], "full").select("h1", "h2", F.coalesce("near", F.lit(False)).alias("near"))
+    repeated = lines.where("first != last").select("h1", "h2").join(later, ["h1", "h2"], "full").select("h1", "h2", F.coalesce("near", F.lit(False)).alias("near"))
     marked = repeated.join(lines.select("h1", "h2", "first"), ["h1", "h2"])
-    hit = all_.select("doc_id", "pos", "h1", "h2", place.cast(PLACE).alias("place")).join(marked, ["h1", "h2"])
-    return hit.where(F.col("near") | (F.col("place") != F.col("first"))).select("doc_id", "pos", (F.col("place") == F.col("first")).alias("near"))
+    hit = all_.select("doc_id", "row", "pos", "h1", "h2", "place").join(marked, ["h1", "h2"])
+    return hit.where(F.col("near") | (F.col("place") != F.col("first"))).select("doc_id", "row", "pos", "h1", (F.col("place") == F.col("first")).alias("near")).distinct()
+
+
+def _crowded_later(meeting: DataFrame, texts: DataFrame, rules: Lines) -> DataFrame:
+    """h1, h2 of the lines of crowded segments that have an earlier line within the edits.
+
+    Lines of a segment are dealt to blocks by hash; a row is a block of owners and a block of look-ups.
+    """
+    sizes = meeting.groupBy("key", "mine").agg(F.ceil(F.count("*") / rules.block).cast("int").alias("blocks"))
+    dealt = meeting.join(sizes, ["key", "mine"]).withColumn("at", F.pmod(F.xxhash64("h1", F.lit(2)), F.col("blocks")).cast("int")).join(texts, "h1")
+    line = F.struct("place", "h1", "h2", "line")
+    blocks = materialize(dealt.groupBy("key", "mine", "at").agg(F.collect_list(line).alias("block")), "line-blocks")
+    both = blocks.where("mine").select("key", F.col("block").alias("x")).join(blocks.where("not mine").select("key", F.col("block").alias("y")), "key")
+    # a block pair is a task's unit of work and may be long: rows are dealt evenly before the work begins
+    both = both.repartition(F.xxhash64("key", F.col("x")[0]["h1"], F.col("y")[0]["h1"]))
+    early = lambda v, w: (w["place"] < v["place"]) & (F.levenshtein(v["line"], w["line"], rules.edits) >= 0)
+    late = lambda xs, ys: F.filter(xs, lambda v: F.exists(ys, lambda w: early(v, w)))
+    found = F.concat(*[F.transform(late(F.col(p), F.col(q)), lambda v: F.struct(v["h1"].alias("h1"), v["h2"].alias("h2"))) for p, q in (("x", "y"), ("y", "x"))])
+    return both.select(F.explode(found).alias("l")).select("l.*")
 
 
 def digest(docs: DataFrame, rules: Lines = Lines()) -> DataFrame:
     """Per row: lines, lines that go as equal and as almost equal ones, lines kept, hash of the positions that go."""
     gone = materialize(decisions(docs, rules), "gone-lines")
-    per = gone.groupBy("doc_id").agg(F.count_if(~F.col("near")).alias("n_equal"), F.count_if("near").alias("n_near"), F.md5(F.array_join(F.sort_array(F.collect_set("pos")).cast("array<string>"), ",").cast("binary")).alias("gone_md5"))
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.when(F.col("text").isNull(), 0).otherwise(F.size(F.split("text", "\n", -1))).cast("long").alias("n_lines"))
+    per = gone.groupBy("doc_id", "row").agg(F.count_if(~F.col("near")).alias("n_equal"), F.count_if("near").alias("n_near"), F.md5(F.array_join(F.sort_array(F.collect_set("pos")).cast("array<string>"), ",").cast("binary")).alias("gone_md5"))
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), _row(F.col("text")).alias("row"), F.when(F.col("text").isNull(), 0).otherwise(F.size(F.split("text", "\n", -1))).cast("long").alias("n_lines"))
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
-    out = own.join(per, "doc_id", "left").select("doc_id", "n_lines", zero("n_equal"), zero("n_near"), "gone_md5")
+    out = own.join(per, ["doc_id", "row"], "left").select("doc_id", "n_lines", zero("n_equal"), zero("n_near"), "gone_md5")
     return out.select("doc_id", "n_lines", "n_equal", "n_near", (F.col("n_lines") - F.col("n_equal") - F.col("n_near")).alias("n_kept"), "gone_md5")
 
 
 def keep(docs: DataFrame, rules: Lines = Lines()) -> DataFrame:
     """The documents without the lines that go; documents left without a word are dropped if they had one."""
-    gone = decisions(docs, rules).groupBy("doc_id").agg(F.collect_set("pos").alias("gone"))
+    code = lambda pos, h: pos.cast("long") * F.lit(1 << 32) + F.pmod(h, F.lit(1 << 32))  # noqa: E731  a line by its position and 32 bits of its hash
+    gone = decisions(docs, rules).groupBy("doc_id", "row").agg(F.collect_set(code(F.col("pos"), F.col("h1"))).alias("gone"))
     own = docs.select(F.struct(*docs.columns).alias("d"))  # one column, so that no name can clash
-    joined = own.join(gone, F.col("d.doc_id").cast("long") == F.col("doc_id"), "left").select("d", "gone")
-    places = F.arrays_zip(F.split("d.text", "\n", -1).alias("line"), F.sequence(F.lit(0), F.size(F.split("d.text", "\n", -1)) - 1).alias("pos"))
-    rest = F.array_join(F.transform(F.filter(places, lambda x: ~F.array_contains("gone", x["pos"])), lambda x: x["line"]), "\n")
-    joined = joined.withColumn("text", F.when(F.col("gone").isNull(), F.col("d.text")).otherwise(rest))
+    joined = own.join(gone, (F.col("d.doc_id").cast("long") == F.col("doc_id")) & (_row(F.col("d.text")) == F.col("row")), "left").select("d", "gone")
+    lines = F.split("d.text", "\n", -1)
+
+    def rest(v):
+        stay = F.array_except(F.transform(v["lines"], lambda x, i: code(i, F.xxhash64(x))), v["gone"])  # by a hash table, in order
+        return F.array_join(F.transform(stay, lambda c: F.get(v["lines"], F.shiftright(c, 32).cast("int"))), "\n")
+
+    bound = F.transform(F.array(F.struct(lines.alias("lines"), F.col("gone").alias("gone"))), rest)[0]
+    joined = joined.withColumn("text", F.when(F.col("gone").isNull(), F.col("d.text")).otherwise(bound))
     kept = joined.where(F.col("gone").isNull() | F.col("text").rlike("[^\\x20\\x09-\\x0D]"))
     chars = F.when(F.col("gone").isNull(), F.col("d")["n_chars"] if "n_chars" in docs.columns else None).otherwise(F.length("text").cast("long"))
     return kept.select(*[F.col("text") if c == "text" else chars.alias(c) if c == "n_chars" else F.col("d")[c].alias(c) for c in docs.columns])

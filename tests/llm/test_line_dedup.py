@@ -74,6 +74,35 @@ def test_decisions_equal_all_pairs(spark, rules):
     assert got == brute(rows, rules)
 
 
+@pytest.mark.parametrize("crowd", [0, 4])
+def test_crowded_segments_equal_all_pairs(spark, crowd):
+    """Every segment crowded, and forms in which one word changes."""
+    rng = random.Random(9)
+    form = "one very common line of a form that is filled in again and again by many people".split()
+    rows = corpus(4)
+    for d in range(200, 320):
+        words = list(form)
+        words[rng.choice([3, 3, rng.randrange(len(words))])] = "".join(rng.choice("abc") for _ in range(rng.randint(3, 6)))
+        rows.append((d, " ".join(words)))
+    rules = Lines(crowd=crowd, block=8)
+    got = {(r["doc_id"], r["pos"], r["near"]) for r in line_dedup.decisions(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), rules).collect()}
+    assert got == brute(rows, rules)
+
+
+def test_rows_that_share_an_id(spark):
+    x, own = "a line that stands in several of these rows", "a line that stands nowhere else in this table"
+    docs = spark.createDataFrame([(1, x), (5, x), (5, own)], "doc_id long, text string")
+    assert sorted(map(tuple, line_dedup.keep(docs).collect())) == [(1, x), (5, own)]
+    twice = spark.createDataFrame([(1, x), (5, x + "!"), (5, x + "!")], "doc_id long, text string")
+    assert [(r["n_lines"], r["n_near"], r["n_kept"]) for r in line_dedup.digest(twice).orderBy("doc_id").collect()] == [(1, 0, 1), (1, 1, 0), (1, 1, 0)]
+
+
+def test_many_lines_of_one_document(spark):
+    lines = [f"line number {i} of a document of very many lines {i * 7919}" for i in range(30_000)]
+    docs = spark.createDataFrame([(1, "\n".join(lines)), (2, "\n".join(lines[::2] + ["own"]))], "doc_id long, text string")
+    assert {r["doc_id"]: r["text"] for r in line_dedup.keep(docs, Lines(near_chars=1 << 20)).collect()} == {1: "\n".join(lines), 2: "own"}
+
+
 def test_documents_without_their_repeats(spark):
     long_ = "this very line is repeated in many places"
     rows = [(1, f"{long_}\nown words of one"), (2, f"{long_}\nown words of two"), (3, long_), (4, long_ + "!\nz"), (5, None), (6, ""), (None, long_)]
