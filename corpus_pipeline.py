@@ -24,8 +24,8 @@ def unique_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return near_dedup.keep_one(docs)
 
 
-#: Clean documents should stay whole: their domain wants more than there is, so their rates end at the upper bound of one.
-TARGETS = mixing.Mix(shares={"good": 0.97, "plain": 0.025, "toxic": 0.005}, size=1.3, most=1.0)
+#: No more tokens than the scarcest domain holds, and no document twice: where good text is scarce it stays whole and the other domains are thinned to their shares.
+TARGETS = mixing.Mix(shares={"good": 0.93, "plain": 0.06, "toxic": 0.01}, size=None, most=1.0)
 
 
 def target_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
