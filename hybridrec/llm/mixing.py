@@ -3,8 +3,9 @@
 1. A classifier learns the domains from the labelled table: a multinomial model over the most telling words, fitted on a bounded sample
    of labelled documents, gives every document the posterior of each domain.
 2. Nonnegative rates r minimise the squared distance between the expected domain totals, sum of r x tokens x posterior, and the targets,
-   plus a small pull to rate 1. Projected gradient steps run over all documents: a step needs only one sum per domain
-   from the cluster; the rate itself is a chain of clipped linear expressions of the document's posteriors.
+   plus a small pull to rate 1. A document's rate is the projection onto the bounds of rate 1 less a multiple of its gradient, which is linear in its
+   posteriors with one multiplier a domain. Ascent steps on the multipliers, scaled by the curvature of the documents off their bounds, run until such
+   a projected-gradient step changes nothing: a step is one aggregate over all documents and a few numbers on the driver.
 3. A document is taken floor(r) times and once more with the probability of the fraction, decided by a hash of its id.
 
 Domains: ``toxic`` if labelled so, else ``good`` or ``plain`` by quality. Unlabelled documents, empty texts and words never seen take the
@@ -31,13 +32,13 @@ DOMAINS = ("good", "plain", "toxic")
 class Mix:
     #: Share of the tokens each domain should have.
     shares: dict = field(default_factory=lambda: {"good": 0.93, "plain": 0.06, "toxic": 0.01})
-    #: All tokens wanted, as a multiple of what the documents have.
-    size: float = 1.0
+    #: All tokens wanted, as a multiple of what the documents have; None: as many as the scarcest domain, for its share, holds at rate one.
+    size: float | None = 1.0
     most: float = 4.0
     pull: float = 1e-4
     steps: int = 60
-    #: Stop when no domain's share of the tokens moves by more than this in a step.
-    tolerance: float = 2e-5
+    #: Stop when the gradient of every multiplier, in shares of all tokens, is within this.
+    tolerance: float = 1e-7
     #: Documented bound of the labelled sample, in documents a domain (those with the smallest hash), and of the words used.
     sample: int = 1500
     words: int = 1024
@@ -101,37 +102,66 @@ def posteriors(docs: DataFrame, weights: list[tuple], prior: list[float], mix: M
     return sums.select("doc_id", "tokens", *[(p / sum(powers[1:], powers[0])).alias(f"p_{d}") for d, p in zip(DOMAINS, powers, strict=True)])
 
 
+#: Parts of a full step tried in one pass.
+PARTS = (1.0, 0.5, 0.125, 1 / 64)
+
+
 def fit_rates(members: DataFrame, mix: Mix) -> Column:
     """The rate as an expression of ``members``' posterior columns.
 
-    Minimises sum over domains of (total - target)^2 / natural second moment, in shares of all tokens, plus ``pull`` times the token-weighted
-    squared distance from rate 1, for rates in [0, most]. Weighing by the moments makes small domains count and keeps the problem well
-    conditioned. In the token-weighted metric the gradient is linear in a document's posteriors, so clipping is the exact projection.
+    Minimises half of the sum over domains of weight x (total - target)^2, in shares of all tokens, plus half of ``pull`` times the token-weighted
+    squared distance from rate 1, for rates in [0, most]. Weighing by the second moments makes small domains count. At the optimum each rate is
+    the projection of 1 - u . posteriors, where ``pull`` x u = weight x (total - target); the concave dual in u is climbed by Newton steps,
+    of which each pass tries several lengths and keeps the best.
     """
     p = [F.col(f"p_{d}") for d in DOMAINS]
     k = len(DOMAINS)
-    moments = members.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("z"), *[F.sum(F.col("tokens") * p[i] * p[j]).alias(f"m{i}{j}") for i in range(k) for j in range(k)]).collect()[0]
-    z = float(moments["z"]) or 1.0
-    a = np.array([[float(moments[f"m{i}{j}"] or 0.0) / z for j in range(k)] for i in range(k)])
-    weight = domain_weights(a)
-    step = 1.0 / (np.linalg.eigvalsh(np.sqrt(weight)[:, None] * a * np.sqrt(weight)[None, :])[-1] + mix.pull + 1e-12)
+    total = lambda x: F.coalesce(F.sum(F.col("tokens") * x), F.lit(0.0))
+    cells = [(i, j) for i in range(k) for j in range(i, k)]
+    first = members.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("z"), *[total(p[i] * p[j]).alias(f"m{i}{j}") for i, j in cells], *[total(x).alias(f"n{i}") for i, x in enumerate(p)]).collect()[0]
+    z = float(first["z"]) or 1.0
+    weight = domain_weights(np.array([[first[f"m{min(i, j)}{max(i, j)}"] / z for j in range(k)] for i in range(k)]))
     wanted = np.array([mix.shares.get(d, 0.0) for d in DOMAINS])
-    wanted = mix.size * wanted / max(wanted.sum(), 1e-12)
-
-    def miss(rate: Column) -> np.ndarray:
-        r = members.agg(*[F.sum(F.col("tokens") * rate * x).alias(f"t{i}") for i, x in enumerate(p)]).collect()[0]
-        return np.array([float(x or 0.0) / z for x in r]) - wanted
-
-    rate = F.lit(1.0)
-    error = miss(rate)
+    wanted = wanted / max(wanted.sum(), 1e-12)
+    size = mix.size
+    if size is None:
+        size = min((first[f"n{i}"] / z / w for i, w in enumerate(wanted) if w > 0), default=1.0)
+    wanted, pull = size * wanted, max(mix.pull, 1e-9)
+
+    def free(u: np.ndarray) -> Column:
+        return F.lit(1.0) - reduce(lambda x, y: x + y, [x * float(c) for x, c in zip(p, u, strict=True)])
+
+    def rate(u: np.ndarray) -> Column:
+        return F.greatest(F.lit(0.0), F.least(F.lit(float(mix.most)), free(u)))
+
+    def look(us: list[np.ndarray]) -> list[tuple[float, np.ndarray, np.ndarray]]:
+        """Height, gradient and curvature of the dual at each of ``us``, from one pass."""
+        sums, shown = [], members
+        for n, u in enumerate(us):
+            shown = shown.withColumns({f"r{n}": rate(u), f"f{n}": free(u).between(0.0, mix.most).cast("double")})
+        for n in range(len(us)):
+            r = F.col(f"r{n}")
+            sums += [total((r - 1.0) * (r - 1.0)).alias(f"d{n}"), *[total(r * x).alias(f"t{n}_{i}") for i, x in enumerate(p)], *[total(F.col(f"f{n}") * p[i] * p[j]).alias(f"h{n}_{i}{j}") for i, j in cells]]
+        got, out = shown.agg(*sums).collect()[0], []
+        for n, u in enumerate(us):
+            v, t = pull * u, np.array([got[f"t{n}_{i}"] / z for i in range(k)])
+            curve = np.array([[got[f"h{n}_{min(i, j)}{max(i, j)}"] / z for j in range(k)] for i in range(k)])
+            out.append((0.5 * pull * got[f"d{n}"] / z + v @ (t - wanted) - (v * v / weight).sum() / 2, t - wanted - v / weight, curve + np.diag(pull / weight)))
+        return out
+
+    u = np.zeros(k)
+    height, slope, curve = look([u])[0]
     for _ in range(mix.steps):
-        push = [c * float(b) for c, b in zip(p, step * weight * error, strict=True)]
-        pulled = rate * (1.0 - step * mix.pull) + step * mix.pull if mix.pull else rate
-        rate = F.greatest(F.lit(0.0), F.least(F.lit(mix.most), pulled - reduce(lambda x, y: x + y, push)))
-        before, error = error, miss(rate)
-        if np.abs(error - before).max() < mix.tolerance:
+        if np.abs(slope).max() <= mix.tolerance:
             break
-    return rate
+        push = np.linalg.solve(curve, slope)
+        tried = [u + part * push for part in PARTS]
+        seen = look(tried)
+        best = max(range(len(seen)), key=lambda n: seen[n][0])
+        if seen[best][0] <= height:
+            break  # no length gains anything: as far as double precision goes
+        u, (height, slope, curve) = tried[best], seen[best]
+    return rate(u)
 
 
 def domain_weights(moments: np.ndarray) -> np.ndarray:
