@@ -24,8 +24,8 @@ def unique_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return near_dedup.keep_one(docs)
 
 
-#: No more tokens than the scarcest domain holds, and no document twice: where good text is scarce it stays whole and the other domains are thinned to their shares.
-TARGETS = mixing.Mix(shares={"good": 0.93, "plain": 0.06, "toxic": 0.01}, size=None, most=1.0)
+#: All the good text there is, no document twice: the other domains are thinned to their shares of that, as far as they have so much.
+TARGETS = mixing.Mix(shares={"good": 0.9, "plain": 0.05, "toxic": 0.05}, size=None, most=1.0)
 
 
 def target_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
