@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections import ChainMap
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
@@ -21,6 +23,47 @@ def held_out(doc_id: Column, modulus: int, remainder: int) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % modulus == remainder, F.lit(False))
 
 
+def running(lengths: Column) -> Column:
+    """Sums of all elements before each one, in n^1.5 steps at most: appending to one long list would copy it each time.
+
+    Lists of about the root of the size are summed on their own, then moved by the sums before them.
+    """
+    ints = F.array().cast("array<int>")
+
+    def add(a, x):
+        return F.struct((a["at"] + x).alias("at"), F.array_append(a["all"], a["at"]).alias("all"))
+
+    def sums(xs):
+        return F.aggregate(xs, F.struct(F.lit(0).alias("at"), ints.alias("all")), add)
+
+    def of(v):
+        size = F.size(v["xs"])
+        step = F.greatest(F.lit(32), F.ceil(F.sqrt(size)).cast("int"))
+        parts = F.transform(F.sequence(F.lit(0), F.floor((size - 1) / step).cast("int")), lambda j: sums(F.slice(v["xs"], j * step + 1, step)))
+        return F.transform(F.array(parts), joined)[0]
+
+    def joined(parts):
+        before = sums(F.transform(parts, lambda x: x["at"]))["all"]
+        return F.flatten(F.zip_with(parts, before, lambda x, b: F.transform(x["all"], lambda y: y + b)))
+
+    return F.when(F.size(lengths) > 0, F.transform(F.array(F.struct(lengths.alias("xs"))), of)[0]).otherwise(ints)
+
+
+def matches(text: Column, pattern: str) -> Column:
+    """start, end and text of all leftmost matches of a Java pattern, in order."""
+    between, found = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+
+    def of(v):
+        steps = F.zip_with(v["b"], v["m"], lambda b, m: F.length(b) + F.coalesce(F.length(m), F.lit(0)))
+        return F.transform(F.array(F.struct(v["b"].alias("b"), v["m"].alias("m"), running(steps).alias("at"))), placed)[0]
+
+    def placed(v):
+        each = F.arrays_zip(v["m"].alias("m"), F.slice(v["b"], F.lit(1), F.size(v["m"])).alias("b"), F.slice(v["at"], F.lit(1), F.size(v["m"])).alias("at"))
+        return F.transform(each, lambda x: F.struct((x["at"] + F.length(x["b"])).alias("start"), (x["at"] + F.length(x["b"]) + F.length(x["m"])).alias("end"), x["m"].alias("text")))
+
+    return F.transform(F.array(F.struct(between.alias("b"), found.alias("m"))), of)[0]
+
+
 def slim(docs: DataFrame, *columns: str) -> DataFrame:
     """Only the named columns, so that extra ones, whatever their names, never travel."""
     return docs.select(*[docs[c] for c in columns])
@@ -41,11 +84,12 @@ class Memo:
     """Bounded word -> value memory of a Python worker.
 
     Two generations: when the young one is full it replaces the old one, so what recurs stays and
-    memory is at most twice ``size`` entries whatever the input.
+    memory is at most twice ``size`` entries, of ``longest`` characters at most, whatever the input: longer words are
+    filled in anew each time and forgotten with the mapping that is returned.
     """
 
-    def __init__(self, fill, size: int = 400_000):
-        self.fill, self.size, self.young, self.old = fill, size, {}, {}
+    def __init__(self, fill, size: int = 400_000, longest: int = 64):
+        self.fill, self.size, self.longest, self.young, self.old = fill, size, longest, {}, {}
 
     def load(self, words: list) -> dict:
         """A mapping that holds every one of ``words``."""
@@ -61,5 +105,10 @@ class Memo:
                     missing.discard(w)
             if missing:
                 missing = list(missing)
-                young.update(zip(missing, self.fill(missing), strict=True))
+                values = self.fill(missing)
+                long_ = {w: x for w, x in zip(missing, values, strict=True) if len(w) > self.longest}
+                if long_:
+                    young.update((w, x) for w, x in zip(missing, values, strict=True) if w not in long_)
+                    return ChainMap(young, long_)
+                young.update(zip(missing, values, strict=True))
         return young

@@ -20,7 +20,7 @@ from functools import lru_cache
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from hybridrec.llm.texts import Memo
+from hybridrec.llm.texts import Memo, matches
 from hybridrec.llm.tokens import vocabulary_path
 
 VOCABULARY = "byte_bpe_50k.tiktoken"
@@ -162,14 +162,6 @@ def count(docs: DataFrame, edits: Column | None = None, path: str | None = None)
 
 
 def mask_edits(text: Column, pattern: str, new: str) -> Column:
-    """Edits that replace every match of a Java pattern: its position follows from the lengths of what lies between matches."""
-    between, found = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    start = F.aggregate(
-        F.arrays_zip(between.alias("b"), found.alias("m")),
-        F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,new:string>>").alias("all")),
-        lambda a, x: F.struct(
-            (a["at"] + F.length(x["b"]) + F.coalesce(F.length(x["m"]), F.lit(0))).alias("at"),
-            F.when(x["m"].isNull(), a["all"]).otherwise(F.array_append(a["all"], F.struct((a["at"] + F.length(x["b"])).alias("start"), (a["at"] + F.length(x["b"]) + F.length(x["m"])).alias("end"), F.lit(new).alias("new")))).alias("all"),
-        ),
-    )["all"]
-    return F.when(text.rlike(pattern), start)
+    """Edits that replace every match of a Java pattern."""
+    edits = F.transform(matches(text, pattern), lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"), F.lit(new).alias("new")))
+    return F.when(text.rlike(pattern), edits)
