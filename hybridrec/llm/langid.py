@@ -2,10 +2,15 @@
 
 Every language has a byte context tree of orders 0 to ``ORDER``: how often each byte followed each
 context in its training texts. A byte's code length comes from the longest context seen, escaping to
-shorter ones with probability distinct/(total+distinct), down to a uniform byte. Training freezes the
+shorter ones with probability distinct/(total+distinct), down to a uniform byte. The commonest bytes are kinds of their own and the
+rest share one, inside which they are uniform, so that in every context the probabilities of all 256 bytes add up to one. Training freezes the
 trees, so the code length of a byte depends on it and the few bytes before it alone, and whole Arrow
 batches are scored with array lookups.
 
+Training texts are read whole. The sample's bound is on rows: at most ``TEXTS_A_LANGUAGE`` texts a language, chosen among those of at most ``LONGEST``
+characters, so that a few giant texts cannot fill the driver. Prediction reads every text whole, whatever its length. Contexts beyond ``max_nodes``
+an order, rarest first, and contexts seen once are coded by the next shorter one.
+
 Defined results: a null text or one without a letter is ``und`` with score 0. Null ``lang`` rows teach
 nothing. With no labelled row at all everything is ``und``. Ties go to the language that sorts first.
 Rows that share a doc_id are scored each. Extra columns are ignored; an empty table gives an empty result.
@@ -20,8 +25,8 @@ from pyspark.sql import DataFrame, Window, functions as F
 from hybridrec.llm.texts import held_out
 
 ORDER = 3
-#: Documented bound of the labelled sample: so many texts a language, those with the smallest hash, and so many bytes of each.
-TEXTS_A_LANGUAGE, BYTES_A_TEXT = 400, 1 << 15
+#: Documented bound of the labelled sample: so many whole texts a language, those with the smallest hash among texts of so many characters at most.
+TEXTS_A_LANGUAGE, LONGEST = 400, 1 << 16
 #: Bytes are told apart up to so many kinds, the rest share one.
 KINDS = 128
 SCHEMA = "doc_id long, held_out boolean, lang_pred string, score double"
@@ -32,13 +37,13 @@ def training_rows(docs: DataFrame, texts: int = TEXTS_A_LANGUAGE) -> DataFrame:
 
     Sampling is by a hash threshold per language before the exact cut, so no group meets in one task.
     """
-    known = docs.select(F.col("doc_id"), F.col("lang"), F.col("text")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), 3, 1))
+    known = docs.select(F.col("doc_id"), F.col("lang"), F.col("text")).where((F.length("text") <= LONGEST) & F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), 3, 1))
     hashed = known.select("lang", "doc_id", "text", F.xxhash64("doc_id").alias("h"))
     cuts = hashed.groupBy("lang").agg(F.count("*").alias("n"))
     share = 4.0 * texts / F.col("n")
     thin = hashed.join(F.broadcast(cuts), "lang").where((F.pmod("h", F.lit(1 << 20)) < F.ceil(share * (1 << 20))) | (F.col("n") <= 8 * texts))
     w = Window.partitionBy("lang").orderBy("h", "doc_id")
-    return thin.select("lang", "doc_id", "h", F.substring(F.col("text").cast("binary"), 1, BYTES_A_TEXT).alias("raw")).withColumn("r", F.row_number().over(w)).where(F.col("r") <= texts).select("lang", "raw")
+    return thin.select("lang", "doc_id", "h", F.col("text").cast("binary").alias("raw")).withColumn("r", F.row_number().over(w)).where(F.col("r") <= texts).select("lang", "raw")
 
 
 class Trees:
@@ -47,6 +52,10 @@ class Trees:
     def __init__(self, languages, kinds, node, cost):
         self.languages, self.kinds, self.node, self.cost = languages, kinds, node, cost
 
+    def byte_costs(self) -> np.ndarray:
+        """Code lengths [node, byte, language] of all 256 bytes, laid out; the powers of two of each row add up to one."""
+        return self.cost[:, self.kinds, :]
+
 
 def grow(samples: list[tuple[str, bytes]], order: int = ORDER, max_nodes: int = 1 << 14) -> Trees | None:
     """Context trees from (language, bytes) samples; contexts beyond ``max_nodes`` fall back to the next shorter one, rarest first."""
@@ -56,13 +65,15 @@ def grow(samples: list[tuple[str, bytes]], order: int = ORDER, max_nodes: int =
     joined = {lang: np.frombuffer(b"".join(b"\n" * order + raw for x, raw in samples if x == lang), np.uint8) for lang in languages}
     seen = np.bincount(np.concatenate(list(joined.values())), minlength=256)
     ranked = [b for b in np.argsort(-seen, kind="stable") if seen[b]][: KINDS - 1]
+    shared = 256 - len(ranked)  # bytes of the last kind
     kinds = np.full(256, KINDS - 1, np.int64)
     kinds[ranked] = np.arange(len(ranked))
     size = KINDS**order
     streams = {lang: kinds[x] for lang, x in joined.items()}
     # probability of each next kind, per language, for contexts of growing order
     tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-    base = np.full((1, KINDS, len(languages)), 1.0 / 256)
+    base = np.zeros((1, KINDS, len(languages)))
+    base[:, : len(ranked)], base[:, KINDS - 1] = 1.0 / 256, shared / 256
     contexts = np.zeros(1, np.int64)
     for o in range(order + 1):
         counts: dict[str, tuple] = {}
@@ -103,14 +114,16 @@ def grow(samples: list[tuple[str, bytes]], order: int = ORDER, max_nodes: int =
     offset, node, costs = 0, np.zeros(size, np.int32), []
     for o in range(order + 1):
         found, table = tables[o]
-        costs.append(-np.log2(np.maximum(table, 1e-12)).astype(np.float32))
+        costs.append(-np.log2(np.maximum(table, 1e-30)).astype(np.float32))
         if o == order:
             node[found] = offset + np.arange(len(found))
         elif o:
             view = node.reshape(-1, KINDS**o)
             view[:, found] = offset + np.arange(len(found), dtype=np.int32)
         offset += len(found)
-    return Trees(languages, kinds.astype(np.int32), node, np.concatenate(costs))
+    cost = np.concatenate(costs)
+    cost[:, KINDS - 1] += np.float32(np.log2(shared))
+    return Trees(languages, kinds.astype(np.int32), node, cost)
 
 
 def code_lengths(trees: Trees, data: np.ndarray, starts: np.ndarray, order: int = ORDER, block: int = 1 << 20) -> np.ndarray:
@@ -174,5 +187,5 @@ def predict(docs: DataFrame, trees: Trees | None) -> DataFrame:
 
 def identify(docs: DataFrame) -> DataFrame:
     """Train on the labelled sample and predict every document."""
-    samples = [(r["lang"], bytes(r["raw"])) for r in training_rows(docs).collect()]  # bounded by languages x TEXTS_A_LANGUAGE x BYTES_A_TEXT
+    samples = [(r["lang"], bytes(r["raw"])) for r in training_rows(docs).collect()]  # bounded by languages x TEXTS_A_LANGUAGE x LONGEST
     return predict(docs, grow(samples))
