@@ -1,7 +1,7 @@
 """Mixing to target weights with soft membership, in column expressions alone.
 
-1. A classifier learns the domains from the labelled table: a multinomial model over the most telling words, fitted on a bounded sample
-   of labelled documents, gives every document the posterior of each domain.
+1. A classifier learns the domains from the labelled table: a multinomial model over the most telling words and all others as one, fitted on a bounded sample
+   of labelled documents, gives every document the posterior of each domain; priors are the domains' shares of the labelled documents.
 2. Nonnegative rates r minimise the squared distance between the expected domain totals, sum of r x tokens x posterior, and the targets,
    plus a small pull to rate 1. A document's rate is the projection onto the bounds of rate 1 less a multiple of its gradient, which is linear in its
    posteriors with one multiplier a domain. Ascent steps on the multipliers, scaled by the curvature of the documents off their bounds, run until such
@@ -32,7 +32,7 @@ DOMAINS = ("good", "plain", "toxic")
 class Mix:
     #: Share of the tokens each domain should have.
     shares: dict = field(default_factory=lambda: {"good": 0.93, "plain": 0.06, "toxic": 0.01})
-    #: All tokens wanted, as a multiple of what the documents have; None: as many as the scarcest domain, for its share, holds at rate one.
+    #: All tokens wanted, as a multiple of what the documents have; None: as many as need the domain of the largest share whole, at rate one.
     size: float | None = 1.0
     most: float = 4.0
     pull: float = 1e-4
@@ -42,6 +42,8 @@ class Mix:
     #: Documented bound of the labelled sample, in documents a domain (those with the smallest hash), and of the words used.
     sample: int = 1500
     words: int = 1024
+    #: Least likelihood ratio (G squared) of a telling word: under chance alone one in hundreds of thousands has so much.
+    telling: float = 24.0
     #: Evidence counts as if a document had so many words at most: longer ones would be all too sure of themselves.
     certain_words: float = 400.0
 
@@ -53,7 +55,7 @@ def _words(text: Column) -> Column:
 
 
 def labelled(docs: DataFrame, labels: DataFrame, mix: Mix) -> DataFrame:
-    """doc_id, domain, text of the labelled sample: of each domain the documents with the smallest hash, at most ``mix.sample``."""
+    """doc_id, domain, text of the labelled sample: of each domain the documents with the smallest hash, at most ``mix.sample``; ``stands``: for how many labelled ones each stands."""
     quality, toxic = F.col("quality"), F.col("toxic")
     domain = F.when(toxic == 1, "toxic").when(quality == 1, "good").when(quality == 0, "plain")
     clear = labels.select(F.col("doc_id").cast("long").alias("doc_id"), domain.alias("domain")).where("domain is not null and doc_id is not null").groupBy("doc_id").agg(F.min("domain").alias("domain"), F.max("domain").alias("other")).where("domain = other")
@@ -62,13 +64,13 @@ def labelled(docs: DataFrame, labels: DataFrame, mix: Mix) -> DataFrame:
     h = F.xxhash64("doc_id", F.lit(5))
     thin = clear.join(F.broadcast(sizes), "domain").where((F.pmod(h, F.lit(1 << 20)) < 3.0 * mix.sample / F.col("n") * (1 << 20)) | (F.col("n") <= 4 * mix.sample))
     w = Window.partitionBy("domain").orderBy(h, "doc_id")
-    chosen = thin.withColumn("r", F.row_number().over(w)).where(F.col("r") <= mix.sample).select("doc_id", "domain")
+    chosen = thin.withColumn("r", F.row_number().over(w)).where(F.col("r") <= mix.sample).select("doc_id", "domain", (F.col("n") / F.least(F.col("n"), F.lit(mix.sample))).alias("stands"))
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
-    return texts.join(F.broadcast(chosen), F.col("id") == F.col("doc_id")).select("doc_id", "domain", "text")  # at most sample x domains rows
+    return texts.join(F.broadcast(chosen), F.col("id") == F.col("doc_id")).select("doc_id", "domain", "text", "stands")  # at most sample x domains rows
 
 
-def learn(sample: DataFrame, mix: Mix) -> tuple[list[tuple], list[float]]:
-    """Log-weights of the most telling words per domain, and log-priors; bounded by ``mix.words``."""
+def learn(sample: DataFrame, mix: Mix) -> tuple[list[tuple], list[float], list[float]]:
+    """Log-weights of the most telling words per domain, bounded by ``mix.words``; of any other word; and log-priors."""
     k = len(DOMAINS)
     words = sample.select("domain", F.explode(_words(F.col("text"))).alias("word")).where("word != ''")
     counts = words.groupBy("word").agg(*[F.count_if(F.col("domain") == d).alias(d) for d in DOMAINS])
@@ -79,24 +81,27 @@ def learn(sample: DataFrame, mix: Mix) -> tuple[list[tuple], list[float]]:
     # smoothed against the pooled frequency, so that a word absent from a small domain is no proof
     pooled = sum((F.col(d) for d in DOMAINS[1:]), F.col(DOMAINS[0])) / F.lit(max(sum(size), 1.0))
     logs = [F.log((F.col(d) + 2.0 * pooled * F.lit(v) + 0.01) / F.lit(n + 2.0 * v + 0.01 * v)) for d, n in zip(DOMAINS, size, strict=True)]
-    mean = sum(logs[1:], logs[0]) / k
-    spread = F.greatest(*logs) - F.least(*logs)
-    weight = spread * F.sqrt(sum((F.col(d) for d in DOMAINS[1:]), F.col(DOMAINS[0])).cast("double"))
-    top = counts.select("word", *[(x - mean).alias(d) for d, x in zip(DOMAINS, logs, strict=True)], weight.alias("weight")).orderBy(F.desc("weight"), "word").limit(mix.words)
-    present = {r["domain"] for r in sample.select("domain").distinct().collect()}
-    prior = [0.0 if d in present or not present else -20.0 for d in DOMAINS]
-    return [(r["word"], *[r[d] for d in DOMAINS]) for r in top.collect()], prior
-
-
-def posteriors(docs: DataFrame, weights: list[tuple], prior: list[float], mix: Mix) -> DataFrame:
+    all_ = sum((F.col(d) for d in DOMAINS[1:]), F.col(DOMAINS[0]))
+    gain = [F.when(F.col(d) > 0, F.col(d) * F.log(F.col(d) * F.lit(sum(size)) / (all_ * F.lit(n)))).otherwise(0.0) for d, n in zip(DOMAINS, size, strict=True) if n]
+    weight = 2.0 * sum(gain[1:], gain[0]) if gain else F.lit(0.0)
+    top = counts.select("word", *[x.alias(d) for d, x in zip(DOMAINS, logs, strict=True)], weight.alias("weight")).where(F.col("weight") >= mix.telling).orderBy(F.desc("weight"), "word").limit(mix.words).collect()
+    own = np.array([[r[d] for d in DOMAINS] for r in top]).reshape(-1, k)
+    rest = np.log(np.maximum(1.0 - np.exp(own).sum(0), 1e-12))  # telling words that are missing tell as well
+    share = {r["domain"]: r["n"] for r in sample.groupBy("domain").agg(F.sum("stands").alias("n")).collect()}
+    prior = [float(np.log(share[d] / sum(share.values()))) if d in share else -20.0 if share else 0.0 for d in DOMAINS]
+    centred = own - own.mean(1, keepdims=True)
+    return [(r["word"], *map(float, x)) for r, x in zip(top, centred, strict=True)], [float(x) for x in rest - rest.mean()], prior
+
+
+def posteriors(docs: DataFrame, weights: list[tuple], rest: list[float], prior: list[float], mix: Mix) -> DataFrame:
     """doc_id, tokens and one posterior per domain, one row per document id."""
     spark = docs.sparkSession
     table = spark.createDataFrame(weights, "word string, " + ", ".join(f"w_{d} double" for d in DOMAINS))
     words = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.explode_outer(_words(F.col("text"))).alias("word"))
     scored = words.join(F.broadcast(table), "word", "left")  # mix.words rows at most
-    sums = scored.groupBy("doc_id").agg(F.count_if(F.col("word") != "").alias("tokens"), *[F.coalesce(F.sum(f"w_{d}"), F.lit(0.0)).alias(f"s_{d}") for d in DOMAINS])
+    sums = scored.groupBy("doc_id").agg(F.count_if(F.col("word") != "").alias("tokens"), F.count(f"w_{DOMAINS[0]}").alias("telling"), *[F.coalesce(F.sum(f"w_{d}"), F.lit(0.0)).alias(f"s_{d}") for d in DOMAINS])
     scale = F.least(F.lit(1.0), F.lit(mix.certain_words) / F.greatest(F.col("tokens"), F.lit(1)))
-    logits = [F.col(f"s_{d}") * scale + F.lit(p) for d, p in zip(DOMAINS, prior, strict=True)]
+    logits = [(F.col(f"s_{d}") + (F.col("tokens") - F.col("telling")) * F.lit(r)) * scale + F.lit(p) for d, r, p in zip(DOMAINS, rest, prior, strict=True)]
     top = F.greatest(*logits)
     powers = [F.exp(x - top) for x in logits]
     return sums.select("doc_id", "tokens", *[(p / sum(powers[1:], powers[0])).alias(f"p_{d}") for d, p in zip(DOMAINS, powers, strict=True)])
@@ -125,7 +130,8 @@ def fit_rates(members: DataFrame, mix: Mix) -> Column:
     wanted = wanted / max(wanted.sum(), 1e-12)
     size = mix.size
     if size is None:
-        size = min((first[f"n{i}"] / z / w for i, w in enumerate(wanted) if w > 0), default=1.0)
+        main = int(np.argmax(wanted))
+        size = first[f"n{main}"] / z / max(wanted[main], 1e-12)
     wanted, pull = size * wanted, max(mix.pull, 1e-9)
 
     def free(u: np.ndarray) -> Column:
@@ -171,8 +177,7 @@ def domain_weights(moments: np.ndarray) -> np.ndarray:
 
 def rates(docs: DataFrame, labels: DataFrame, mix: Mix = Mix()) -> DataFrame:
     """doc_id, tokens, posteriors, rate and copies, one row per document id."""
-    weights, prior = learn(labelled(docs, labels, mix), mix)
-    members = materialize(posteriors(docs, weights, prior, mix), "members")
+    members = materialize(posteriors(docs, *learn(labelled(docs, labels, mix), mix), mix), "members")
     rate = F.when(F.col("tokens") >= 0, fit_rates(members, mix))
     drawn = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(1 << 24)) / F.lit(float(1 << 24))
     out = members.withColumn("rate", rate)
