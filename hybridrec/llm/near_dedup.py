@@ -9,7 +9,8 @@
 4. Components of the links are the groups.
 
 Defined results: null text, or one without words, has no set, no links and is kept. Rows that share a doc_id are one
-vertex. A null doc_id has no component and is kept. Extra columns are ignored; an empty table gives an empty result.
+vertex with the links of all their texts: each distinct set is a class of its own, searched and verified with its own signature, and classes
+that share an id are tied at the end. A null doc_id has no component and is kept. Extra columns are ignored; an empty table gives an empty result.
 Texts are read whole, whatever their length.
 """
 
@@ -90,6 +91,14 @@ def shingles(text: bytes, words: int) -> np.ndarray:
     return np.unique(s)
 
 
+def _fingerprint(s: np.ndarray) -> tuple[int, int]:
+    """Two signed 64-bit halves of a hash of a whole set."""
+    import xxhash
+
+    f = xxhash.xxh3_128_intdigest(s.tobytes())
+    return (f >> 64) - (1 << 63), (f & ((1 << 64) - 1)) - (1 << 63)
+
+
 def signature(s: np.ndarray, a: np.ndarray, b: np.ndarray, block: int = 2048) -> np.ndarray:
     """Top 32 bits of the least value of each hash function over a set."""
     best = np.full(len(a), np.iinfo(np.uint64).max, np.uint64)
@@ -104,8 +113,6 @@ def sketch(docs: DataFrame, near: Near) -> DataFrame:
     bands, rows = near.bands()
 
     def run(batches):
-        import xxhash
-
         random = np.random.default_rng(20_240_229)
         a = random.integers(0, 1 << 63, near.hashes, np.uint64) * np.uint64(2) + np.uint64(1)
         b = random.integers(0, 1 << 63, near.hashes, np.uint64)
@@ -116,9 +123,9 @@ def sketch(docs: DataFrame, near: Near) -> DataFrame:
             for text in byte_texts(batch.column(1)):
                 s = shingles(text, near.words)
                 n.append(len(s))
-                f = xxhash.xxh3_128_intdigest(s.tobytes())
-                f1.append((f >> 64) - (1 << 63))
-                f2.append((f & ((1 << 64) - 1)) - (1 << 63))
+                high, low = _fingerprint(s)
+                f1.append(high)
+                f2.append(low)
                 if not len(s):
                     sig.append(None)
                     keys.append(None)
@@ -164,15 +171,18 @@ def _prune(pairs: DataFrame, reps: DataFrame, near: Near) -> DataFrame:
     return both.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def _sets(docs: DataFrame, wanted: DataFrame, near: Near) -> DataFrame:
-    """id, items of the wanted documents (column id), made again from their texts alone."""
+def _sets(docs: DataFrame, wanted: DataFrame, near: Near, extra: DataFrame | None) -> DataFrame:
+    """id, items of the wanted classes (column id), made again from their documents' texts alone; ``extra`` (id, items) has those of shared ids."""
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(wanted, "id", "left_semi")
+    if extra is not None:
+        texts = texts.join(extra.select("id"), "id", "left_anti")
 
     def sets(batches):
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingles(t, near.words).tobytes() for t in byte_texts(batch.column(1))], pa.binary())], names=["id", "items"])
 
-    return materialize(texts.mapInArrow(sets, "id long, items binary").dropDuplicates(["id"]), "sets")
+    found = texts.mapInArrow(sets, "id long, items binary").dropDuplicates(["id"])
+    return materialize(found if extra is None else found.unionByName(extra.join(wanted, "id", "left_semi")), "sets")
 
 
 def _linked(x: np.ndarray, y: np.ndarray, near: Near) -> bool:
@@ -183,9 +193,9 @@ def _linked(x: np.ndarray, y: np.ndarray, near: Near) -> bool:
     return common > 0 and 100 * common >= near.percent * (len(x) + len(y) - common)
 
 
-def _verify(pairs: DataFrame, docs: DataFrame, near: Near) -> DataFrame:
+def _verify(pairs: DataFrame, docs: DataFrame, near: Near, extra: DataFrame | None) -> DataFrame:
     """Links: pairs whose full sets reach the threshold."""
-    full = _sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), near)
+    full = _sets(docs, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), near, extra)
     both = pairs.join(full.select(F.col("id").alias("a"), F.col("items").alias("x")), "a").join(full.select(F.col("id").alias("b"), F.col("items").alias("y")), "b")
 
     def run(batches):
@@ -222,7 +232,7 @@ def _block_links(left, right, near: Near, same: bool) -> list[tuple[int, int]]:
     return out
 
 
-def _rest(members: DataFrame, reps: DataFrame, docs: DataFrame, labels: DataFrame, near: Near) -> DataFrame:
+def _rest(members: DataFrame, reps: DataFrame, docs: DataFrame, labels: DataFrame, near: Near, extra: DataFrame | None) -> DataFrame:
     """Links between different components that share a bucket, beyond those with a bucket's centre.
 
     A member outside its bucket's commonest component (a stray) meets all of that component, each in blocks of ``near.block``, once and not once
@@ -238,7 +248,7 @@ def _rest(members: DataFrame, reps: DataFrame, docs: DataFrame, labels: DataFram
     every = reps.select("doc_id").join(labels, reps["doc_id"] == labels["id"], "left").select("doc_id", F.coalesce("label", "doc_id").alias("main"))
     met = every.join(asked.select("main").distinct(), "main", "left_semi")
     wanted = materialize(met.select(F.col("doc_id").alias("id")).unionByName(asked.select(F.col("doc_id").alias("id"))).distinct(), "wanted")
-    full = _sets(docs, wanted, near)
+    full = _sets(docs, wanted, near, extra)
     facts = reps.select("doc_id", "n", "sig").join(full.withColumnRenamed("id", "doc_id"), "doc_id")
 
     # strays against components
@@ -267,25 +277,62 @@ def _rest(members: DataFrame, reps: DataFrame, docs: DataFrame, labels: DataFram
     return one.unionByName(two).distinct()
 
 
+def _classes(some: DataFrame, docs: DataFrame, near: Near) -> tuple[DataFrame, DataFrame, DataFrame | None, DataFrame | None]:
+    """doc_id, n, rep of every document with a set; rep, n, sig, bands of every class; and what ids of several texts need.
+
+    A class is a set; its vertex is its smallest doc_id, or a number below all ids if that id has other texts too. Then the third frame has the sets
+    of such classes (id, items) and the fourth ties classes that share an id (a, b).
+    """
+    several = some.groupBy("doc_id").agg(F.min("f1").alias("low"), F.max("f1").alias("high")).where("low != high").select("doc_id")
+    several = materialize(several, "shared-ids")
+    classes = some.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
+    if not several.limit(1).count():
+        member = materialize(some.select("doc_id", "n", "f1", "f2").join(classes, ["f1", "f2"]).select("doc_id", "n", "rep"), "classes")
+        first = some.join(member.where("doc_id = rep").select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+        return member, materialize(first.select(F.col("doc_id").alias("rep"), "n", "sig", "bands"), "representatives"), None, None
+    below = some.agg(F.min("doc_id").alias("m")).collect()[0]["m"]
+    odd = materialize(classes.join(several.select(F.col("doc_id").alias("rep")), "rep", "left_semi").select("f1", "f2", (F.lit(below - 1) - F.monotonically_increasing_id()).alias("own")), "odd-classes")
+    named = materialize(classes.join(odd, ["f1", "f2"], "left").select("f1", "f2", F.col("rep").alias("least"), F.coalesce("own", "rep").alias("rep")), "named-classes")
+    member = materialize(some.select("doc_id", "n", "f1", "f2").join(named, ["f1", "f2"]).select("doc_id", "n", "rep"), "classes")
+    whole = some.join(named, ["f1", "f2"]).where("doc_id = least").dropDuplicates(["rep"])
+    reps = materialize(whole.select("rep", "n", "sig", "bands"), "representatives")
+
+    def sets(batches):
+        for batch in batches:
+            own = [shingles(t, near.words) for t in byte_texts(batch.column(0))]
+            prints = [_fingerprint(x) for x in own]
+            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in prints], pa.int64()), pa.array([x[1] for x in prints], pa.int64()), pa.array([x.tobytes() for x in own], pa.binary())], names=["f1", "f2", "items"])
+
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(several, "doc_id", "left_semi").select("text")
+    extra = materialize(texts.mapInArrow(sets, "f1 long, f2 long, items binary").join(odd, ["f1", "f2"]).select(F.col("own").alias("id"), "items").dropDuplicates(["id"]), "odd-sets")
+    tied = member.join(several, "doc_id", "left_semi")
+    tied = tied.join(tied.groupBy("doc_id").agg(F.min("rep").alias("a")), "doc_id").select("a", F.col("rep").alias("b")).where("a != b").distinct()
+    return member, reps, extra, materialize(tied, "ties")
+
+
 def groups(docs: DataFrame, near: Near = Near()) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row."""
     table = materialize(sketch(docs, near), "sketches")
     some = table.where("n > 0 and doc_id is not null")
-    classes = some.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
-    member = materialize(some.select("doc_id", "n", "f1", "f2").join(classes, ["f1", "f2"]).select("doc_id", "n", "rep"), "classes")
-    reps = materialize(some.join(member.where("doc_id = rep").select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "n", "sig", "bands"), "representatives")
+    member, reps, extra, ties = _classes(some, docs, near)
+    reps = reps.withColumnRenamed("rep", "doc_id")
     keys = reps.select("doc_id", F.explode("bands").alias("bucket"))
     shared = keys.groupBy("bucket").agg(F.min("doc_id").alias("centre"), F.count("*").alias("size")).where("size > 1")
     members = materialize(keys.join(shared.select("bucket", "centre"), "bucket"), "buckets")
     star = members.where("doc_id != centre").select(F.col("centre").alias("a"), F.col("doc_id").alias("b")).distinct()
-    links = materialize(_verify(materialize(_prune(star, reps, near), "pairs"), docs, near), "star-links")
+    links = materialize(_verify(materialize(_prune(star, reps, near), "pairs"), docs, near, extra), "star-links")
     labels = materialize(components(links), "star-labels")
-    links = links.unionByName(materialize(_rest(members.select("bucket", "doc_id"), reps, docs, labels, near), "rest-links"))
-    # rows that share a doc_id may fall in several classes: their representatives are tied through the id
-    tied = member.where("doc_id != rep").join(member.groupBy("doc_id").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low != high").select("doc_id"), "doc_id", "left_semi").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
-    final = components(links.unionByName(tied))
+    links = links.unionByName(materialize(_rest(members.select("bucket", "doc_id"), reps, docs, labels, near, extra), "rest-links"))
+    final = components(links if ties is None else links.unionByName(ties))
     labelled = member.join(final, member["rep"] == final["id"], "left").select("doc_id", "n", F.coalesce("label", "rep").alias("component_id"))
+    if ties is not None:  # a label may be a number below all ids
+        labelled = materialize(labelled, "labelled")
+        least = labelled.groupBy("component_id").agg(F.min("doc_id").alias("least"))
+        labelled = labelled.join(least, "component_id").select("doc_id", "n", F.col("least").alias("component_id"))
     rest = table.where("n = 0 or doc_id is null").select("doc_id", "n", F.col("doc_id").alias("component_id"))
+    if ties is not None:  # a row without words belongs where its id's other texts do
+        known = labelled.groupBy("doc_id").agg(F.min("component_id").alias("known"))
+        rest = rest.join(known, "doc_id", "left").select("doc_id", "n", F.coalesce("known", "component_id").alias("component_id"))
     return labelled.unionByName(rest).select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 

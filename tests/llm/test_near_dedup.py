@@ -81,6 +81,16 @@ def test_odd_tables(spark):
     assert near_dedup.keep_one(odd).count() == 3
 
 
+def test_rows_that_share_an_id_keep_the_links_of_all_their_texts(spark):
+    rng = random.Random(2)
+    text = lambda: [f"w{rng.randrange(10**6)}" for _ in range(60)]
+    a, b, c = text(), text(), text()
+    near = lambda x: " ".join([*x[:-1], "other"])
+    rows = [(7, " ".join(a)), (7, " ".join(b)), (3, near(a)), (4, near(b)), (9, " ".join(c)), (8, None), (8, " ".join(c)), (7, ""), (10, " ".join(text()))]
+    got = {(r["doc_id"], r["component_id"]) for r in near_dedup.groups(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()}
+    assert got == {(7, 3), (3, 3), (4, 3), (9, 8), (8, 8), (10, 10)}
+
+
 def test_components(spark):
     rng = random.Random(1)
     links = [(rng.randrange(300), rng.randrange(300)) for _ in range(220)] + [(i, i + 1) for i in range(1000, 1060)] + [(2000, j) for j in range(2001, 2100)] + [(5, 5), (None, 3)]
