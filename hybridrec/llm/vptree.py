@@ -4,10 +4,12 @@ Rows are dealt to shards of bounded size by a hash of their id; each shard build
 A node keeps a vantage point and the median distance to it; its halves are the near and the far. A search
 visits the nearer half first and skips the other if the distance to the median sphere, times ``relax``,
 exceeds the worst distance kept: with ``relax`` 1 the triangle inequality makes that exact, larger factors prune more
-and may miss. Queries travel in blocks to every shard; each shard answers with its best and a window merges them.
+and may miss. A shard's tree is built once and stays in its partition: blocks of queries are dealt to every shard and pass it one after another;
+each shard answers with its best and a window merges them. What moves is so the queries times the shards, never a tree.
 
 Defined results: vectors that are null, empty, zero or hold null or non-finite components take no part, as query or
-candidate; vectors of another length than the query's are no candidates. A row is not its own neighbour; other rows with an
+candidate; vectors of another length than the query's are no candidates. Rows that share an id are one item with several vectors: as a query it asks with each,
+as a candidate it stands in a list once, at its least distance. An item is not its own neighbour; others with an
 equal vector are. Ties go to the smaller id. Extra columns are ignored; an empty table gives an empty result.
 """
 
@@ -35,6 +37,7 @@ class Tree:
 
     def __init__(self, points: np.ndarray, ids: np.ndarray, leaf: int = LEAF_ROWS, seed: int = 1):
         self.points, self.ids, self.leaf = points, ids, leaf
+        self.repeats = len(np.unique(ids)) < len(ids)
         self.rows = np.arange(len(points))
         self.nodes: list[tuple] = []  # (vantage row, median, near, far) or (None, lo, hi, 0)
         self.random = np.random.default_rng(seed)
@@ -94,6 +97,12 @@ class Tree:
         d[query_ids[who][:, None] == ids[None, :]] = np.inf
         all_d = np.concatenate([best[who], d], 1)
         all_i = np.concatenate([names[who], np.where(np.isinf(d), np.iinfo(np.int64).max, ids[None, :])], 1)
+        if self.repeats:  # an id keeps its least distance alone
+            by = np.lexsort((all_d, all_i), axis=1)
+            all_d, all_i = np.take_along_axis(all_d, by, 1), np.take_along_axis(all_i, by, 1)
+            again = np.zeros(all_i.shape, bool)
+            again[:, 1:] = all_i[:, 1:] == all_i[:, :-1]
+            all_d[again], all_i[again] = np.inf, np.iinfo(np.int64).max
         order = np.lexsort((all_i, all_d), axis=1)[:, :k]
         best[who] = np.take_along_axis(all_d, order, 1)
         names[who] = np.take_along_axis(all_i, order, 1)
@@ -105,45 +114,63 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 10, relax: float = 1
     shards = max(1, -(-row_count(rows) // SHARD_ROWS))
     asked = usable(queries, id_col, vector_col)
     blocks = max(1, -(-row_count(asked) // BLOCK_QUERIES))
-    dealt = rows.select(F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int").alias("shard"), F.lit(None).cast("int").alias("block"), "id", "v")
-    # a query block is one row for each shard; it is bounded by BLOCK_QUERIES on average and dealt by hash
-    block = asked.groupBy(F.pmod(F.xxhash64("id", F.lit(7)), F.lit(blocks)).cast("int").alias("block")).agg(F.collect_list(F.struct("id", "v")).alias("queries"))
-    per_shard = block.select("block", "queries", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
-
-    def build(pdf):
-        import pickle
-
-        import pandas as pd
-
-        out = []
-        for _, same in pdf.groupby(pdf["v"].map(len)):
-            tree = Tree(np.array(same["v"].tolist(), np.float64), same["id"].to_numpy(np.int64))
-            out.append((int(pdf["shard"].iloc[0]), pickle.dumps(tree, 5)))
-        return pd.DataFrame(out, columns=["shard", "tree"])
-
-    trees = dealt.groupBy("shard").applyInPandas(build, "shard int, tree binary")
-    # trees are reused by every block: written once, never rebuilt
-    trees = materialize(trees, "vptrees")
-    pairs = per_shard.join(trees, "shard").select("queries", "tree")
+    at = F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int")
+    # vectors of a shard in rows of some hundreds, then the blocks of queries: a partition streams them in this order
+    chunk = F.pmod(F.xxhash64("id", F.lit(3)), F.lit(-(-SHARD_ROWS // BLOCK_QUERIES))).cast("int")
+    vectors_ = rows.groupBy(at.alias("shard"), chunk.alias("part")).agg(F.collect_list(F.struct("id", "v")).alias("rows")).select("shard", F.lit(0).alias("asks"), "rows")
+    block = asked.groupBy(F.pmod(F.xxhash64("id", F.lit(7)), F.lit(blocks)).cast("int").alias("part")).agg(F.collect_list(F.struct("id", "v")).alias("rows"))
+    asks = block.select(F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.lit(1).alias("asks"), "rows")
+    streams = vectors_.unionByName(asks).repartition(shards, "shard").sortWithinPartitions("shard", "asks")
 
     def answer(batches):
-        import pickle
-
+        shard, held, trees = None, [], None
         for batch in batches:
             for i in range(batch.num_rows):
-                tree = pickle.loads(batch.column(1)[i].as_py())
-                own = [q for q in batch.column(0)[i].as_py() if len(q["v"]) == tree.points.shape[1]]
-                if not own:
+                now, asking = batch.column(0)[i].as_py(), batch.column(1)[i].as_py()
+                if now != shard:
+                    shard, held, trees = now, [], None
+                ids, flat, sizes = _vectors(batch.column(2)[i])
+                if not asking:
+                    held.append((ids, flat, sizes))
                     continue
-                ids = np.array([q["id"] for q in own], np.int64)
-                names, best = tree.search(np.array([q["v"] for q in own]), ids, k, relax)
-                found = np.isfinite(best)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, k)[found.ravel()]), pa.array(names[found]), pa.array(best[found])], names=["query_id", "vec_id", "score"])
-
-    found = pairs.mapInArrow(answer, SCHEMA)
+                if trees is None:
+                    trees, held = _trees(held), []
+                for length, tree in trees.items():
+                    own = np.flatnonzero(sizes == length)
+                    if not len(own):
+                        continue
+                    first = (np.cumsum(sizes) - sizes)[own]
+                    asked_ids = ids[own]
+                    names, best = tree.search(flat[first[:, None] + np.arange(length)], asked_ids, k, relax)
+                    found = np.isfinite(best)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(asked_ids, k)[found.ravel()]), pa.array(names[found]), pa.array(best[found])], names=["query_id", "vec_id", "score"])
+
+    found = streams.mapInArrow(answer, SCHEMA).groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))  # a query id may have asked with several vectors
     w = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
+def _vectors(rows: pa.Scalar) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ids, all components one after another, and lengths of a list of (id, v)."""
+    fields = rows.values
+    v = fields.field(1)
+    return fields.field(0).to_numpy(zero_copy_only=False), v.flatten().to_numpy(zero_copy_only=False), np.diff(v.offsets.to_numpy())
+
+
+def _trees(held: list[tuple]) -> dict[int, Tree]:
+    """A tree for each length of vectors."""
+    out = {}
+    for length in sorted({int(n) for _, _, sizes in held for n in np.unique(sizes)}):
+        ids, points = [], []
+        for own_ids, flat, sizes in held:
+            own = np.flatnonzero(sizes == length)
+            ids.append(own_ids[own])
+            points.append(flat[(np.cumsum(sizes) - sizes)[own][:, None] + np.arange(length)])
+        ids, points = np.concatenate(ids), np.concatenate(points)
+        order = np.lexsort((*points.T[::-1], ids))  # the same tree whatever the order of arrival
+        out[length] = Tree(points[order], ids[order])
+    return out
+
+
 def every(vec_id: Column, n: int) -> Column:
     return vec_id % n == 0
