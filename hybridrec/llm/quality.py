@@ -53,6 +53,7 @@ SYMBOLS = b"#*$%&|<>"
 #: ASCII that is neither letter nor digit: punctuation should not make a text look fertile.
 _MARKS = bytes(b for b in range(128) if not chr(b).isalnum())
 SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_tokens long, chars_per_token double, byte_share double, token_entropy double, min_entropy double, script string, base_failed boolean, kept boolean, reason string"
+SCHEMA_FIELDS = [tuple(x.split()) for x in SCHEMA.split(", ")]
 
 
 @lru_cache(2)
@@ -140,36 +141,43 @@ def measure(docs: DataFrame, rules: Rules = Rules(), path: str | None = None) ->
 
     def run(batches):
         where = path or vocabulary_path(name)
-        memo, raw = _encoder(where), _byte_ids(where)
         for batch in batches:
-            out = []
-            for doc, text, lang in zip(batch.column(0).to_pylist(), byte_texts(batch.column(1)), batch.column(2).to_pylist(), strict=True):
-                words = text.split()
-                got = memo.load(words)
-                joined = b"".join(words)
-                chars = len(joined) if joined.isascii() else len(joined.decode("utf-8", "replace"))
-                symbols = len(joined) - len(joined.translate(None, SYMBOLS))
-                n, share, entropy, peak = _figures(np.frombuffer(b"".join([got[w] for w in words]), "<u4"), raw)
-                repeats, script = _repeated(words), _script(text)
-                failed = len(words) < rules.min_words or 100 * repeats > rules.max_repeat * len(words)
-                band = rules.by_lang.get(lang) or rules.by_script.get(script) or rules.by_script["other"]
-                if script != "latin" and lang in rules.by_lang:
-                    band = rules.by_script.get(script, band)
-                fertility = _letters(joined) / n if n else 0.0
-                reason = None
-                if failed:
-                    reason = "base"
-                elif not band.low <= fertility <= band.high:
-                    reason = "characters per token"
-                elif share > band.bytes_most:
-                    reason = "byte fallback"
-                elif entropy < min(band.entropy_least, rules.entropy_share * np.log2(max(n, 2))) or peak < band.min_entropy_least:
-                    reason = "token entropy"
-                out.append((doc, len(words), chars, symbols, _repeated_lines(text), repeats, n, fertility, share, entropy, peak, script, failed, reason is None, reason))
-            yield _rows(out)
-
-    cols = [F.col("doc_id"), F.col("text"), (F.col("lang") if "lang" in docs.columns else F.lit(None)).cast("string").alias("lang")]
-    return docs.select(*cols).mapInArrow(run, SCHEMA)
+            yield _rows([(doc, *row) for doc, row in zip(batch.column(0).to_pylist(), _judge(batch.column(1), batch.column(2), rules, where), strict=True)])
+
+    return docs.select(*_inputs(docs)).mapInArrow(run, SCHEMA)
+
+
+def _inputs(docs: DataFrame) -> list:
+    return [F.col("doc_id"), F.col("text"), (F.col("lang") if "lang" in docs.columns else F.lit(None)).cast("string").alias("lang")]
+
+
+def _judge(texts: pa.Array, langs: pa.Array, rules: Rules, where: str) -> list[tuple]:
+    """Figures and verdict of each text, in the order of :data:`SCHEMA` without the id."""
+    memo, raw, out = _encoder(where), _byte_ids(where), []
+    for text, lang in zip(byte_texts(texts), langs.to_pylist(), strict=True):
+        words = text.split()
+        got = memo.load(words)
+        joined = b"".join(words)
+        chars = len(joined) if joined.isascii() else len(joined.decode("utf-8", "replace"))
+        symbols = len(joined) - len(joined.translate(None, SYMBOLS))
+        n, share, entropy, peak = _figures(np.frombuffer(b"".join([got[w] for w in words]), "<u4"), raw)
+        repeats, script = _repeated(words), _script(text)
+        failed = len(words) < rules.min_words or 100 * repeats > rules.max_repeat * len(words)
+        band = rules.by_lang.get(lang) or rules.by_script.get(script) or rules.by_script["other"]
+        if script != "latin" and lang in rules.by_lang:
+            band = rules.by_script.get(script, band)
+        fertility = _letters(joined) / n if n else 0.0
+        reason = None
+        if failed:
+            reason = "base"
+        elif not band.low <= fertility <= band.high:
+            reason = "characters per token"
+        elif share > band.bytes_most:
+            reason = "byte fallback"
+        elif entropy < min(band.entropy_least, rules.entropy_share * np.log2(max(n, 2))) or peak < band.min_entropy_least:
+            reason = "token entropy"
+        out.append((len(words), chars, symbols, _repeated_lines(text), repeats, n, fertility, share, entropy, peak, script, failed, reason is None, reason))
+    return out
 
 
 _ARROW = pa.schema([("doc_id", pa.int64()), *[(c, pa.int64()) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_tokens")], *[(c, pa.float64()) for c in ("chars_per_token", "byte_share", "token_entropy", "min_entropy")], ("script", pa.string()), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("reason", pa.string())])
@@ -181,12 +189,20 @@ def _rows(rows: list[tuple]) -> pa.RecordBatch:
 
 
 def keep(docs: DataFrame, rules: Rules = Rules(), path: str | None = None) -> DataFrame:
-    """The documents that pass, with all their columns.
+    """The documents that pass, with all their columns; every row is judged by its own text, in one pass and without a shuffle."""
+    name = rules.vocabulary
+    whole = docs.select(*_inputs(docs)[1:], F.struct(*docs.columns).alias("d"))  # one column, so that no name can clash
+    into = whole.select("d").schema
+
+    def run(batches):
+        where = path or vocabulary_path(name)
+        at = [f[0] for f in SCHEMA_FIELDS].index("kept") - 1
+        for batch in batches:
+            good = pa.array([row[at] for row in _judge(batch.column(0), batch.column(1), rules, where)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([batch.column(2).filter(good)], names=["d"])
 
-    The verdict is joined back on ``doc_id``; rows that share an id share a verdict only if all of them pass.
-    """
-    good = measure(docs, rules, path).groupBy("doc_id").agg(F.min("kept").alias("_kept")).where("_kept").select(F.col("doc_id").alias("_passed"))
-    return docs.join(good, docs["doc_id"].eqNullSafe(good["_passed"]), "left_semi")
+    kept = whole.mapInArrow(run, into)
+    return kept.select(*[F.col("d")[c].alias(c) for c in docs.columns])
 
 
 def digest(docs: DataFrame) -> DataFrame:
