@@ -9,6 +9,7 @@ from pyspark.ml.stat import Summarizer
 from pyspark.sql import DataFrame, functions as F
 
 from hybridrec.functions import signed_sqrt, unit
+from hybridrec.linalg import summed, vector_sums
 
 __all__ = ["fisher_vectors", "fit_codebook", "fit_diag_gmm", "signed_sqrt", "vlad_vectors"]
 
@@ -36,19 +37,13 @@ def fit_codebook(desc: DataFrame, k: int, rounds: int = 8) -> np.ndarray:
                     n += np.bincount(near, minlength=len(c))
             yield pd.DataFrame({"c": range(len(c)), "n": n, "s": list(s)})
 
-        sums = _sum_vectors(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", "n")
+        sums = vector_sums(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", "n")
         for c, n, s in sums:
             if n:
                 centres[c] = np.array(s) / n
     return centres
 
 
-def _sum_vectors(df: DataFrame, key: str, vec: str, *more: str) -> list:
-    """(key, sums of the scalar columns, elementwise sum of the vector) per key; keys are few."""
-    out = df.groupBy(key).agg(*[F.sum(m).alias(m) for m in more], vector_to_array(Summarizer.sum(array_to_vector(vec))).alias(vec))
-    return [tuple(r[c] for c in (key, *more, vec)) for r in out.collect()]
-
-
 def vlad_vectors(desc: DataFrame, codebook: np.ndarray, normalize: bool = True) -> DataFrame:
     """item_id, f: residuals to the nearest centre, summed per centre and laid end to end. All in column expressions; ties to the first centre."""
     k, d = codebook.shape
@@ -56,7 +51,7 @@ def vlad_vectors(desc: DataFrame, codebook: np.ndarray, normalize: bool = True)
     gaps = F.transform(centres, lambda c: F.aggregate(F.zip_with(F.col("vec"), c, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
     near = desc.select("item_id", "vec", gaps.alias("g")).select("item_id", "vec", F.array_position("g", F.array_min("g")).cast("int").alias("c"))
     res = near.select("item_id", "c", F.zip_with("vec", F.element_at(centres, F.col("c")), lambda x, y: x - y).alias("r"))
-    sums = res.groupBy("item_id", "c").agg(F.array(*[F.sum(F.col("r")[i]) for i in range(d)]).alias("s"))
+    sums = res.groupBy("item_id", "c").agg(summed("r").alias("s"))
     per = sums.groupBy("item_id").agg(F.map_from_entries(F.collect_list(F.struct("c", "s"))).alias("m"))  # at most k entries
     zero = F.array_repeat(F.lit(0.0), d)
     flat = F.flatten(F.transform(F.sequence(F.lit(1), F.lit(k)), lambda i: F.coalesce(F.try_element_at("m", i), zero)))
@@ -79,7 +74,8 @@ class Mixture:
 
 def fit_diag_gmm(desc: DataFrame, k: int, rounds: int = 8, floor: float = 1e-4) -> Mixture:
     """Expectation-maximization by partial sums: a round sends the mixture out and k x (2 d + 1) sums per task back."""
-    spread = np.array(desc.agg(*[F.var_pop(F.col("vec")[i]) for i in range(len(desc.select("vec").first()[0]))]).collect()[0], float)
+    row = desc.select(array_to_vector("vec").alias("v")).agg(vector_to_array(Summarizer.variance(F.col("v"))).alias("v"), F.count("*").alias("n")).collect()[0]
+    spread = np.array(row["v"], float) * max(row["n"] - 1, 0) / max(row["n"], 1)
     means = _start(desc, k)
     g = Mixture(np.full(k, 1 / k), means, np.tile(np.maximum(spread, floor), (k, 1)))
     for _ in range(rounds):
@@ -96,7 +92,7 @@ def fit_diag_gmm(desc: DataFrame, k: int, rounds: int = 8, floor: float = 1e-4)
             yield pd.DataFrame({"c": range(len(n)), "n": n, "s": list(np.hstack([s1, s2]))})
 
         d = means.shape[1]
-        for c, n, s in _sum_vectors(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", "n"):
+        for c, n, s in vector_sums(desc.select("vec").mapInPandas(part, "c int, n double, s array<double>"), "c", "s", "n"):
             if n > 1e-9:
                 mu = np.array(s[:d]) / n
                 g.weights[c], g.means[c], g.variances[c] = n, mu, np.maximum(np.array(s[d:]) / n - mu**2, floor)
@@ -125,9 +121,10 @@ def fisher_vectors(desc: DataFrame, g: Mixture, normalize: bool = True) -> DataF
             yield pd.DataFrame({"item_id": ids, "n": np.bincount(inv), "s": list(sums)})
 
     d = g.means.shape[1]
-    sums = desc.select("item_id", "vec").mapInPandas(part, "item_id long, n long, s array<double>").groupBy("item_id").agg(F.sum("n").alias("n"), vector_to_array(Summarizer.sum(array_to_vector("s"))).alias("s"))
-    factors = [1 / np.sqrt(w) for w in g.weights for _ in range(d)] + [1 / np.sqrt(2 * w) for w in g.weights for _ in range(d)]
-    f = F.zip_with("s", F.array(*[F.lit(float(x)) for x in factors]), lambda x, y: x * y / F.col("n"))
+    sums = desc.select("item_id", "vec").mapInPandas(part, "item_id long, n long, s array<double>").groupBy("item_id").agg(F.sum("n").alias("n"), summed("s").alias("s"))
+    factors = [1 / np.sqrt(w) for w in g.weights] + [1 / np.sqrt(2 * w) for w in g.weights]  # one a component and half, not one a value
+    known = F.array(*[F.lit(float(x)) for x in factors])
+    f = F.transform("s", lambda x, i: x * F.get(known, F.floor(i / d).cast("int")) / F.col("n"))
     out = sums.select("item_id", f.alias("f"))
     return out.select("item_id", unit(signed_sqrt(F.col("f"))).alias("f")) if normalize else out
 

@@ -6,6 +6,8 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
+from hybridrec.linalg import vector_sums
+
 
 class Projection:
     def __init__(self, mean: np.ndarray, axes: np.ndarray, variances: np.ndarray):
@@ -22,10 +24,9 @@ def _matrix_sums(df: DataFrame, fn, shape: tuple[int, int]) -> np.ndarray:
                 total += fn(np.array(pdf["f"].tolist(), float), pdf)
         yield pd.DataFrame({"r": range(shape[0]), "v": list(total)})
 
-    rows = df.mapInPandas(part, "r int, v array<double>").groupBy("r").agg(F.array(*[F.sum(F.col("v")[i]) for i in range(shape[1])]).alias("v")).collect()
     out = np.zeros(shape)
-    for r in rows:
-        out[r["r"]] = r["v"]
+    for r, v in vector_sums(df.mapInPandas(part, "r int, v array<double>"), "r", "v"):
+        out[r] = v
     return out
 
 

@@ -22,22 +22,24 @@ def feature_set(name: str) -> tuple[str, ...]:
     return SETS.get(name, (name,))
 
 
-def dense(sparse: DataFrame) -> DataFrame:
-    """Sparse counts as unit dense vectors, for models that need them."""
+def dense(sparse: DataFrame, counts: bool = False) -> DataFrame:
+    """Sparse counts as dense vectors: of length one, or as they are with ``counts``, which topics need."""
     lookup = F.map_from_arrays("f.idx", "f.val")
     full = F.transform(F.sequence(F.lit(0), F.col("f.size") - 1), lambda i: F.coalesce(F.try_element_at(lookup, i), F.lit(0.0)))
+    if counts:
+        return sparse.select("item_id", full.alias("f"))
     return sparse.select("item_id", full.alias("g")).select("item_id", unit(F.col("g")).alias("f"))
 
 
-def load(spark: SparkSession, sf_dir: str, name: str, vocabulary: int = 200, codewords: int = CODEWORDS) -> DataFrame:
-    """item_id, f (dense) of a named feature over all parts."""
+def load(spark: SparkSession, sf_dir: str, name: str, vocabulary: int = 200, codewords: int = CODEWORDS, counts: bool = False) -> DataFrame:
+    """item_id, f (dense) of a named feature over all parts; ``counts``: words and metadata as they were counted."""
     if name == "meta":
         tokens = meta.meta_tokens(spark, sf_dir)
-        return dense(meta.meta_vectors(tokens, meta.meta_vocabulary(tokens, vocabulary), vocabulary))
+        return dense(meta.meta_vectors(tokens, meta.meta_vocabulary(tokens, vocabulary), vocabulary), counts)
     if name in ("word", "title"):
         parts = ("title",) if name == "title" else ("title", "description", "reviews")
         tokens = text.tokens_of(text.item_texts(spark, sf_dir), parts)
-        return dense(text.word_vectors(tokens, text.tfidf_vocabulary(tokens, vocabulary), vocabulary))
+        return dense(text.word_vectors(tokens, text.tfidf_vocabulary(tokens, vocabulary), vocabulary), counts)
     kind = "deep" if name.startswith("deep") else name
     desc = descriptors.descriptor_sets(spark, sf_dir).where(F.col("kind") == kind).select("item_id", "frame", signed_sqrt(F.col("vec")).alias("vec"))
     desc = materialize(desc, f"descriptors-{kind}")  # fits read it once a round

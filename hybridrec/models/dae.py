@@ -27,7 +27,7 @@ class DaeParams:
 
 
 def corrupted(x: np.ndarray, ids: np.ndarray, share: float, round_: int) -> np.ndarray:
-    """Zeroes a share of the entries by a hash of item, dimension and round."""
+    """Zeroes a share of the entries by a hash of item, dimension and round; every epoch of every fit has its own."""
     with np.errstate(over="ignore"):
         h = ids.astype(np.uint64)[:, None] * np.uint64(0x9E3779B97F4A7C15) + np.arange(x.shape[1], dtype=np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(round_)
         h = (h ^ (h >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
@@ -37,10 +37,10 @@ def corrupted(x: np.ndarray, ids: np.ndarray, share: float, round_: int) -> np.n
 def coupled_loss(p: DaeParams, lam_v: float, round_: int):
     """Reconstruction of the clean input from the corrupted one, and closeness of the middle code to the item's factor."""
 
-    def loss(layers, pdf):
+    def loss(layers, pdf, epoch: int = 0):
         x, y = np.array(pdf["f"].tolist(), float), np.array(pdf["v"].tolist(), float)
         middle, last = len(layers) // 2, len(layers)
-        acts = forward(layers, corrupted(x, pdf["item_id"].to_numpy(), p.corruption, round_), {middle - 1, last - 1})
+        acts = forward(layers, corrupted(x, pdf["item_id"].to_numpy(), p.corruption, 1_000_003 * round_ + epoch), {middle - 1, last - 1})
         if p.visible == "binary":
             prob = 1 / (1 + np.exp(-np.clip(acts[-1], -30, 30)))
             rec = -(x * np.log(prob + 1e-12) + (1 - x) * np.log(1 - prob + 1e-12)).sum()

@@ -6,6 +6,7 @@ the prior mean of an item's factor comes from.
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
@@ -13,7 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
 from hybridrec.functions import dot
-from hybridrec.linalg import gram, half_step, layout
+from hybridrec.linalg import gram, half_step, layout, summed, vector_sums
 from hybridrec.models import Model
 from hybridrec.models.init import hash_vectors
 from hybridrec.runtime import materialize
@@ -50,10 +51,9 @@ def content_sums(features: DataFrame, d: int, targets: DataFrame | None = None,
                 total += f.T @ (np.array(pdf["v"].tolist(), float) if width == k and "v" in pdf else f)
         yield pd.DataFrame({"r": range(d), "v": list(total)})
 
-    got = rows.mapInPandas(part, "r int, v array<double>").groupBy("r").agg(F.array(*[F.sum(F.col("v")[i]) for i in range(width)]).alias("v")).collect()
     out = np.zeros((d, width))
-    for r in got:
-        out[r["r"]] = r["v"]
+    for r, v in vector_sums(rows.mapInPandas(part, "r int, v array<double>"), "r", "v"):
+        out[r] = v
     return out
 
 
@@ -90,10 +90,9 @@ def solve_embedding(features: DataFrame, targets: DataFrame, lam_v: float, lam_e
                     total += f.T @ (f @ shared.value)
             yield pd.DataFrame({"r": range(d), "v": list(total)})
 
-        got = known.select("f").mapInPandas(part, "r int, v array<double>").groupBy("r").agg(F.array(*[F.sum(F.col("v")[i]) for i in range(k)]).alias("v")).collect()
         out = np.zeros((d, k))
-        for r in got:
-            out[r["r"]] = r["v"]
+        for r, v in vector_sums(known.select("f").mapInPandas(part, "r int, v array<double>"), "r", "v"):
+            out[r] = v
         return lam_v * out + lam_e * x
 
     x = np.zeros((d, k)) if start is None else start.copy()
@@ -127,7 +126,7 @@ def embed(features: DataFrame, e: np.ndarray) -> DataFrame:
 def embed_sparse(features: DataFrame, e_rows: DataFrame, k: int) -> DataFrame:
     """The same for sparse vectors over a table of rows (dim_id, e): work follows the non-zeros, and the matrix may exceed any memory."""
     flat = features.select(F.col("item_id").alias("id"), F.explode(F.arrays_zip("f.idx", "f.val")).alias("x")).select("id", F.col("x.idx").alias("dim_id"), F.col("x.val").alias("x"))
-    return flat.join(e_rows, "dim_id").groupBy("id").agg(F.array(*[F.sum(F.col("x") * F.col("e")[i]) for i in range(k)]).alias("v"))
+    return flat.join(e_rows, "dim_id").select("id", F.transform("e", lambda y: y * F.col("x")).alias("v")).groupBy("id").agg(summed("v").alias("v"))
 
 
 class ContentSide:
@@ -180,22 +179,25 @@ def offsets(h: DataFrame, content: DataFrame) -> DataFrame:
 
 
 def fit_confidence(train: DataFrame, side: ContentSide | None, p: EmfParams) -> Model:
-    """Alternating closed-form updates: users, items, content side."""
+    """Alternating closed-form updates: users, items, content side. ``history`` has the seconds of each iteration, with all it writes."""
     by_user, by_item = layout(train, "user_id", "item_id"), layout(train, "item_id", "user_id")
     h = materialize(hash_vectors(train.select("item_id"), "item_id", p.k, p.seed), "h0")
     items = train.select(F.col("item_id").alias("id")).distinct()
     w, content, history = None, None, []
+    n_users, n_items = train.select("user_id").distinct().count(), items.count()
     for i in range(p.iters):
-        w = materialize(half_step(by_user, h, p.k, p.lam_u, p.c_pos, p.c_zero, None, p.strategy), "w")
+        begun = time.perf_counter()
+        w = materialize(half_step(by_user, h, p.k, p.lam_u, p.c_pos, p.c_zero, None, p.strategy, size=n_items), "w")
         prior = None
         if content is not None:
             prior = content.join(items, "id", "left_semi")
-        h = materialize(half_step(by_item, w, p.k, p.lam_v, p.c_pos, p.c_zero, prior, p.strategy), "h")
+        h = materialize(half_step(by_item, w, p.k, p.lam_v, p.c_pos, p.c_zero, prior, p.strategy, size=n_users), "h")
         if side is not None:
             side.fit(h)
             content = materialize(side.transform(), "content")
+        history.append({"iteration": i, "seconds": time.perf_counter() - begun})
         if p.tol:
-            history.append({"iteration": i, "objective": objective(train, w, h, content.join(items, "id", "left_semi") if content is not None else None, p, side.penalty() if side else 0.0)})
+            history[-1].update({"objective": objective(train, w, h, content.join(items, "id", "left_semi") if content is not None else None, p, side.penalty() if side else 0.0)})
             if i and history[-2]["objective"] - history[-1]["objective"] < p.tol * abs(history[-2]["objective"]):
                 break
     return Model(w, h, content, history, {"params": p, "side": side})

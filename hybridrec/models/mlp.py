@@ -22,7 +22,7 @@ class NetParams:
     seed: int = 3
 
 
-def regression_loss(layers, pdf):
+def regression_loss(layers, pdf, epoch: int = 0):
     x, y = np.array(pdf["f"].tolist(), float), np.array(pdf["v"].tolist(), float)
     acts = forward(layers, x, {len(layers) - 1})
     gap = acts[-1] - y

@@ -6,7 +6,9 @@ from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame
+
+from hybridrec.linalg import vector_sums
 
 
 def init_layers(sizes: list[int], seed: int) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -48,29 +50,28 @@ def unflat(v: np.ndarray, like) -> list[tuple[np.ndarray, np.ndarray]]:
 
 
 def train_net(rows: DataFrame, layers, loss: Callable, epochs: int, rate: float, decay: float = 1e-4, chunk: int = 4096):
-    """Adam on full-batch gradients. ``loss(layers, pdf) -> (value, gradient parts)`` runs in the workers; a round sends the net out and
-    gradient chunks back, which are summed on the cluster, so results do not depend on partitioning beyond rounding."""
+    """Adam on full-batch gradients. ``loss(layers, pdf, epoch) -> (value, gradient parts)`` runs in the workers; a round sends the net out and
+    one gradient back, summed on the cluster in chunks, so results do not depend on partitioning beyond rounding."""
     v = flat(layers)
     m1, m2, history = np.zeros_like(v), np.zeros_like(v), []
     pieces = -(-len(v) // chunk)
     for t in range(1, epochs + 1):
-        shared = rows.sparkSession.sparkContext.broadcast(unflat(v, layers))
+        shared = rows.sparkSession.sparkContext.broadcast((unflat(v, layers), t))
 
         def part(batches, shared=shared):
             total, value, n = np.zeros(len(v)), 0.0, 0
             for pdf in batches:
                 if len(pdf):
-                    x, g = loss(shared.value, pdf)
+                    x, g = loss(shared.value[0], pdf, shared.value[1])
                     total, value, n = total + flat(g), value + x, n + len(pdf)
             padded = np.pad(total, (0, pieces * chunk - len(total))).reshape(pieces, chunk)
             yield pd.DataFrame({"piece": range(pieces), "loss": [value] + [0.0] * (pieces - 1), "n": [n] + [0] * (pieces - 1), "g": list(padded)})
 
         sums = rows.mapInPandas(part, "piece int, loss double, n long, g array<double>")
-        parts = sums.groupBy("piece").agg(F.sum("loss").alias("loss"), F.sum("n").alias("n"), F.collect_list("g").alias("g")).collect()  # tasks x pieces arrays of ``chunk``
         g, value, n = np.zeros(pieces * chunk), 0.0, 0
-        for r in parts:
-            g[r["piece"] * chunk : (r["piece"] + 1) * chunk] = np.sum(r["g"], 0)
-            value, n = value + r["loss"], n + r["n"]
+        for piece, lost, seen, own in vector_sums(sums, "piece", "g", "loss", "n"):
+            g[piece * chunk : (piece + 1) * chunk] = own
+            value, n = value + lost, n + seen
         g = g[: len(v)] / max(n, 1) + decay * v
         m1, m2 = 0.9 * m1 + 0.1 * g, 0.999 * m2 + 0.001 * g**2
         v = v - rate * (m1 / (1 - 0.9**t)) / (np.sqrt(m2 / (1 - 0.999**t)) + 1e-8)
