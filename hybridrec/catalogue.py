@@ -50,11 +50,11 @@ def query(sql: str | None = None):
 # ---- shared SQL pieces
 RATINGS = "ratings AS (SELECT o_custkey AS user_id, l_partkey AS item_id, CAST(max(ceil(l_quantity / 10)) AS INTEGER) AS stars FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2)"
 POS = f"{RATINGS}, pos AS (SELECT user_id, item_id FROM ratings WHERE stars = 5)"
-BLEND = """emb AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), en AS (SELECT COUNT(*) AS n FROM embeddings),
+BLEND = """emb AS MATERIALIZED (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), en AS (SELECT COUNT(*) AS n FROM embeddings),
 raw AS (SELECT p_partkey AS item_id, list_transform(list_zip(a.e, b.e), lambda z: z[1] + z[2]) AS s FROM part, en JOIN emb a ON a.vec_id = p_partkey % n JOIN emb b ON b.vec_id = (p_partkey + p_partkey // n + 1) % n),
-blend AS (SELECT item_id, list_transform(s, lambda x: x / sqrt(list_sum(list_transform(s, lambda y: y * y)))) AS f FROM raw)"""
+blend AS MATERIALIZED (SELECT item_id, list_transform(s, lambda x: x / sqrt(list_sum(list_transform(s, lambda y: y * y)))) AS f FROM raw)"""
 H = portable_hash_sql
-SPLIT = f"split AS (SELECT user_id, item_id, CASE WHEN {H('0', 'item_id', 7)} % 5 = 0 THEN 'out_test' WHEN {H('user_id', 'item_id', 11)} % 4 = 0 THEN 'in_test' ELSE 'train' END AS split FROM pos), train AS (SELECT user_id, item_id FROM split WHERE split = 'train'), test_in AS (SELECT user_id, item_id FROM split WHERE split = 'in_test' AND item_id IN (SELECT item_id FROM train)), test_out AS (SELECT user_id, item_id FROM split WHERE split = 'out_test')"
+SPLIT = f"split AS MATERIALIZED (SELECT user_id, item_id, CASE WHEN {H('0', 'item_id', 7)} % 5 = 0 THEN 'out_test' WHEN {H('user_id', 'item_id', 11)} % 4 = 0 THEN 'in_test' ELSE 'train' END AS split FROM pos), train AS (SELECT user_id, item_id FROM split WHERE split = 'train'), test_in AS (SELECT user_id, item_id FROM split WHERE split = 'in_test' AND item_id IN (SELECT item_id FROM train)), test_out AS (SELECT user_id, item_id FROM split WHERE split = 'out_test')"
 BASE = f"{POS}, {SPLIT}"
 
 
@@ -263,22 +263,19 @@ def concat_features(spark, d):
     return _dims(registry.concat({k: descriptors.slice_of(v, k) for k in ("audio", "scene")}))
 
 
-@query(f"""WITH {BASE}, {BLEND}, prof AS (SELECT user_id, dim, AVG(f[dim]) AS x FROM train JOIN blend USING (item_id), range(1, 65) t(dim) WHERE user_id < 40 GROUP BY 1, 2), un AS (SELECT user_id, dim, x / sqrt(SUM(x * x) OVER (PARTITION BY user_id)) AS x FROM prof),
+@query(f"""WITH {BASE}, {BLEND}, prof AS (SELECT user_id, dim, AVG(f[dim]) AS x FROM train JOIN blend USING (item_id), range(1, 65) t(dim) GROUP BY 1, 2), un AS (SELECT user_id, dim, x / sqrt(SUM(x * x) OVER (PARTITION BY user_id)) AS x FROM prof),
 sc AS (SELECT user_id, item_id, SUM(x * f[dim]) AS s FROM un, (SELECT DISTINCT item_id FROM test_out) JOIN blend USING (item_id) GROUP BY 1, 2) SELECT user_id, item_id, {rnd('s', 5)} AS score FROM sc QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY s DESC, item_id) <= 5""")
 def content_profile(spark, d):
     s = _split(spark, d)
-    users, items = simple.content_profile(sp.part(s, "train").where("user_id < 40"), descriptors.blend_vectors(spark, d))
+    users, items = simple.content_profile(sp.part(s, "train"), descriptors.blend_vectors(spark, d))
     pool = sp.part(s, "out_test").select(F.col("item_id").alias("id")).distinct()
     return recommend(users, items.join(pool, "id", "left_semi"), None, 5).select("user_id", "item_id", (F.round("score", 5) + F.lit(0.0)).alias("score"))
 
 
 @query()
 def content_profile_whole(spark, d):
-    """Lists of every user with a training positive; ``content_profile`` is the sample that its SQL follows."""
-    s = _split(spark, d)
-    users, items = simple.content_profile(sp.part(s, "train"), descriptors.blend_vectors(spark, d))
-    pool = sp.part(s, "out_test").select(F.col("item_id").alias("id")).distinct()
-    return recommend(users, items.join(pool, "id", "left_semi"), None, 5).select("user_id", "item_id", (F.round("score", 5) + F.lit(0.0)).alias("score"))
+    """The same lists: of every user with a training positive."""
+    return content_profile(spark, d)
 
 
 @query(f"WITH {BASE}, n AS (SELECT item_id, COUNT(*) AS n FROM train GROUP BY 1), c AS (SELECT a.item_id AS i, b.item_id AS j, COUNT(*) AS c FROM train a JOIN train b ON a.user_id = b.user_id AND a.item_id <> b.item_id GROUP BY 1, 2), s AS (SELECT i, j, c / sqrt(x.n * y.n) AS s FROM c JOIN n x ON x.item_id = i JOIN n y ON y.item_id = j) SELECT i, j, {rnd('s')} AS similarity FROM s QUALIFY row_number() OVER (PARTITION BY i ORDER BY ROUND(s, 12) DESC, j) <= 10")
@@ -306,16 +303,16 @@ RANK1 = EmfParams(k=1, lam_e=10.0, iters=2)
 
 def _rank1_sql(content: bool, lam_u: float, lam_v: float, lam_e: float = 10.0, iters: int = 2, seed: int = 17) -> str:
     """Chained tables of ``iters`` iterations with one dimension, where every solve is a division."""
-    parts = [f"h0 AS (SELECT item_id AS id, {start('item_id', seed)} AS v FROM (SELECT DISTINCT item_id FROM train))"]
+    parts = [f"h0 AS MATERIALIZED (SELECT item_id AS id, {start('item_id', seed)} AS v FROM (SELECT DISTINCT item_id FROM train))"]
     if content:
-        parts.append("ft AS (SELECT item_id AS id, f[1] AS f FROM blend WHERE item_id IN (SELECT item_id FROM train))")
+        parts.append("ft AS MATERIALIZED (SELECT item_id AS id, f[1] AS f FROM blend WHERE item_id IN (SELECT item_id FROM train))")
     for t in range(1, iters + 1):
         prior = f"{lam_v} * (f * (SELECT e FROM e{t - 1}))" if content and t > 1 else "0"
-        parts.append(f"w{t} AS (SELECT user_id AS id, SUM(v) / (0.01 * (SELECT SUM(v * v) FROM h{t - 1}) + 0.99 * SUM(v * v) + {lam_u}) AS v FROM train JOIN h{t - 1} ON item_id = id GROUP BY 1)")
+        parts.append(f"w{t} AS MATERIALIZED (SELECT user_id AS id, SUM(v) / (0.01 * (SELECT SUM(v * v) FROM h{t - 1}) + 0.99 * SUM(v * v) + {lam_u}) AS v FROM train JOIN h{t - 1} ON item_id = id GROUP BY 1)")
         join = "JOIN ft ON ft.id = item_id" if content else ""
-        parts.append(f"h{t} AS (SELECT item_id AS id, (SUM(w.v) + {'ANY_VALUE(' + prior + ')' if prior != '0' else '0'}) / (0.01 * (SELECT SUM(v * v) FROM w{t}) + 0.99 * SUM(w.v * w.v) + {lam_v}) AS v FROM train JOIN w{t} w ON user_id = w.id {join} GROUP BY 1)")
+        parts.append(f"h{t} AS MATERIALIZED (SELECT item_id AS id, (SUM(w.v) + {'ANY_VALUE(' + prior + ')' if prior != '0' else '0'}) / (0.01 * (SELECT SUM(v * v) FROM w{t}) + 0.99 * SUM(w.v * w.v) + {lam_v}) AS v FROM train JOIN w{t} w ON user_id = w.id {join} GROUP BY 1)")
         if content:
-            parts.append(f"e{t} AS (SELECT {lam_v} * SUM(f * v) / ({lam_v} * SUM(f * f) + {lam_e}) AS e FROM ft JOIN h{t} USING (id))")
+            parts.append(f"e{t} AS MATERIALIZED (SELECT {lam_v} * SUM(f * v) / ({lam_v} * SUM(f * f) + {lam_e}) AS e FROM ft JOIN h{t} USING (id))")
     return ", ".join(parts)
 
 
@@ -372,21 +369,27 @@ def predict_out(spark, d):
 
 
 @query(f"""WITH {BASE}, it AS (SELECT item_id FROM train GROUP BY 1), w AS (SELECT user_id AS id, {start('user_id', 23)} AS v FROM train GROUP BY 1), h AS (SELECT item_id AS id, {start('item_id', 24)} AS v FROM it),
-tri AS (SELECT t.user_id, t.item_id AS i, (SELECT MIN(j.item_id) FROM it j WHERE j.item_id > t.item_id AND NOT EXISTS (SELECT 1 FROM train x WHERE x.user_id = t.user_id AND x.item_id = j.item_id)) AS j FROM train t WHERE t.user_id % 10 = 0),
+no AS MATERIALIZED (SELECT item_id, row_number() OVER (ORDER BY item_id) AS no FROM it), runs AS (SELECT user_id, item_id, no, no - row_number() OVER (PARTITION BY user_id ORDER BY no) AS run FROM train JOIN no USING (item_id)),
+tri AS (SELECT r.user_id, r.item_id AS i, n.item_id AS j FROM (SELECT *, MAX(no) OVER (PARTITION BY user_id, run) AS last FROM runs) r JOIN no n ON n.no = last + 1),
 g AS (SELECT user_id, i, j, w.v AS w, a.v AS hi, b.v AS hj, 1 / (1 + exp(w.v * (a.v - b.v))) AS g FROM tri JOIN w ON user_id = w.id JOIN h a ON i = a.id JOIN h b ON j = b.id),
 u AS (SELECT user_id AS id, SUM(g * (hi - hj) - 0.0025 * w) AS g FROM g GROUP BY 1), p AS (SELECT id, SUM(g) AS g FROM (SELECT i AS id, g * w - 0.0025 * hi AS g FROM g UNION ALL SELECT j, -g * w - 0.00025 * hj FROM g) GROUP BY 1)
 SELECT 'user' AS side, w.id, {rnd('v + 0.05 * COALESCE(g, 0)', 7)} AS v FROM w LEFT JOIN u USING (id) UNION ALL SELECT 'item', h.id, {rnd('v + 0.05 * COALESCE(g, 0)', 7)} FROM h LEFT JOIN p USING (id)""")
 def bpr_rank1_step(spark, d):
-    """One gradient step on triples whose negative is the next item the user does not like."""
+    """One gradient step on triples whose negative is the next item the user does not like.
+
+    Items are numbered in order, bucket by bucket; a user's likes of consecutive numbers are a run, and the negative has the number after its end.
+    """
     from pyspark.sql import Window
 
     train = sp.part(_split(spark, d), "train")
     items = train.select("item_id").distinct()
-    mine = train.where("user_id % 10 = 0")
-    both = mine.select("user_id").distinct().crossJoin(items).join(mine.withColumn("liked", F.lit(True)), ["user_id", "item_id"], "left")
-    w = Window.partitionBy("user_id").orderBy("item_id").rowsBetween(1, Window.unboundedFollowing)
-    nxt = both.withColumn("j", F.first(F.when(F.col("liked").isNull(), F.col("item_id")), ignorenulls=True).over(w))
-    triples = nxt.where("liked and j is not null").select("user_id", F.col("item_id").alias("i"), "j")
+    bucket = F.floor(F.col("item_id") / 4096).alias("b")
+    sizes = items.groupBy(bucket).agg(F.count("*").alias("c"))
+    first = sizes.select("b", (F.sum("c").over(Window.orderBy("b")) - F.col("c")).alias("first"))  # a row for 4,096 items
+    no = materialize(items.select("item_id", bucket).join(first, "b").select("item_id", (F.col("first") + F.row_number().over(Window.partitionBy("b").orderBy("item_id"))).alias("no")), "numbers")
+    runs = train.join(no, "item_id").withColumn("run", F.col("no") - F.row_number().over(Window.partitionBy("user_id").orderBy("no")))
+    ends = runs.groupBy("user_id", "run").agg((F.max("no") + 1).alias("no"))
+    triples = runs.drop("no").join(ends, ["user_id", "run"]).join(no.withColumnRenamed("item_id", "j"), "no").select("user_id", F.col("item_id").alias("i"), "j")
     users = hash_vectors(train.select("user_id"), "user_id", 1, 23)
     h = hash_vectors(items, "item_id", 1, 24).withColumn("b", F.lit(0.0))
     w2, h2 = step(users, h, triples, BprParams(k=1))
@@ -426,7 +429,7 @@ _fit("wmf_fit", None, lambda w, f: w.fit("wmf"))
 _fit("mllib_fit", None, lambda w, f: fit_mllib(w.train, 8, iters=3))
 _fit("bpr_fit", None, lambda w, f: fit_bpr(w.train, BprParams(k=8, epochs=2)))
 _fit("content_bpr_fit", "deep_fv", lambda w, f: fit_content_bpr(w.train, f, BprParams(k=8, epochs=2)))
-_fit("topic_hybrid_fit", "meta", lambda w, f: fit_topic_hybrid(w.train, f, P8, 5))
+_fit("topic_hybrid_fit", None, lambda w, _: fit_topic_hybrid(w.train, w.counts("meta"), P8, 5))
 _fit("mlp_hybrid_fit", "audio", lambda w, f: fit_mlp_hybrid(w.train, f, P8, NetParams(epochs=5)))
 _fit("dae_hybrid_fit", "meta", lambda w, f: fit_dae_hybrid(w.train, f, P8, DaeParams(lam_n=1.0, epochs=5, visible="binary")))
 _fit("concat_fusion_fit", None, lambda w, _: early.fit_concat(w.train, {n: w.feature(n) for n in ("audio", "scene")}, P8))
@@ -493,16 +496,18 @@ def feature_chain_query(spark, d):
 Q["feature_chain"], SQL["feature_chain"] = Q.pop("feature_chain_query"), SQL.pop("feature_chain_query")
 _PARTS = {"audio": (1, 16), "scene": (17, 16), "motion_a": (33, 16)}
 _GPF = {"audio": 0.5, "scene": 0.25, "motion_a": 0.125}
-SCORES = f"sc AS (SELECT a.item_id AS user_id, b.item_id AS item_id, " + ", ".join(f"list_sum(list_transform(list_zip(a.f[{s}:{s + n - 1}], b.f[{s}:{s + n - 1}]), lambda z: z[1] * z[2])) AS {k}" for k, (s, n) in _PARTS.items()) + " FROM blend a, blend b WHERE a.item_id < 30 AND b.item_id BETWEEN 50 AND 149)"
+SCORES = f"sc AS (SELECT a.item_id AS user_id, b.item_id AS item_id, " + ", ".join(f"list_inner_product(a.{k}, b.{k}) AS {k}" for k in _PARTS) + " FROM part_vectors a, part_vectors b WHERE a.item_id % 50 = 0)"
+SCORES = "part_vectors AS MATERIALIZED (SELECT item_id, " + ", ".join(f"f[{s}:{s + n - 1}] AS {k}" for k, (s, n) in _PARTS.items()) + f" FROM blend), {SCORES}"
 _FUSED = " + ".join(f"{w} * {k}" for k, w in _GPF.items())
 
 
 def _scores(spark, d):
-    v = descriptors.blend_vectors(spark, d)
-    u = v.where("item_id < 30").select(F.col("item_id").alias("user_id"), F.col("f").alias("a"))  # thirty rows
-    pairs = v.where("item_id between 50 and 149").crossJoin(F.broadcast(u))
-    each = F.array(*[F.struct(F.lit(k).alias("feature"), dot(F.slice("a", s, n), F.slice("f", s, n)).alias("score")) for k, (s, n) in _PARTS.items()])
-    return pairs.select("user_id", "item_id", F.explode(each).alias("e")).select("e.feature", "user_id", "item_id", "e.score")
+    """feature, user_id, item_id, score: items whose id is divisible by 50 as queries against all items, in blocks."""
+    from functools import reduce as fold
+
+    v = materialize(descriptors.blend_vectors(spark, d), "blend")
+    own = {k: v.select(F.col("item_id").alias("id"), F.slice("f", s, n).alias("v")) for k, (s, n) in _PARTS.items()}
+    return fold(lambda a, b: a.unionByName(b), [all_scores(x.where("id % 50 = 0"), x).select(F.lit(k).alias("feature"), "user_id", "item_id", "score") for k, x in own.items()])
 
 
 def _gpf(spark):
@@ -633,7 +638,8 @@ def stream_sliding(spark, d):
 
 @query("WITH g AS (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 2 HOUR THEN 1 ELSE 0 END AS fresh FROM events), s AS (SELECT *, SUM(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS no FROM g) SELECT user_id, MIN(ts) AS start, MAX(ts) + INTERVAL 2 HOUR AS \"end\", COUNT(*) AS n FROM s GROUP BY user_id, no")
 def stream_session(spark, d):
-    out = windows.session(table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp")))
+    out = _stream(spark, d, lambda s: windows.session(windows.with_lateness(s)), "complete")
+    out = out.where(F.col("_batch") == out.agg(F.max("_batch")).collect()[0][0])
     return out.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), F.col("end").cast("timestamp_ntz").alias("end"), "n")
 
 
@@ -663,9 +669,27 @@ def stream_recent_items(spark, d):
 
 @query()
 def stream_fold_in(spark, d):
-    pos = interactions.events_positives(spark, d)
-    h = hash_vectors(pos.select("item_id"), "item_id", 4, 5)
-    return _dims(foldin.fold_in(pos, h, EmfParams(k=4)).withColumnsRenamed({"id": "item_id"}), "v").withColumnRenamed("item_id", "user_id")
+    """Purchases arrive as a stream; each batch solves its users' factors anew from all their purchases so far. The last ones of each user."""
+    from pyspark.sql import Window
+
+    root = os.path.join(shared_dir(spark), f"fold-in-{uuid.uuid4().hex}")
+    source.split_into_files(spark, table(spark, d, "events"), f"{root}/in")
+    h = materialize(hash_vectors(interactions.events_positives(spark, d).select("item_id"), "item_id", 4, 5), "items")
+    batches: list[int] = []
+
+    def history():
+        return spark.read.parquet(*[f"{root}/new/b={b}" for b in batches]).select("user_id", "item_id") if batches else None
+
+    def write(new, factors, batch):
+        factors.withColumn("batch", F.lit(batch)).write.mode("overwrite").parquet(f"{root}/out/b={batch}")
+        new.write.mode("overwrite").parquet(f"{root}/new/b={batch}")
+        if batch not in batches:
+            batches.append(batch)
+
+    bought = source.purchases(source.events(spark, f"{root}/in")).select("user_id", "item_id")
+    bought.writeStream.option("checkpointLocation", f"{root}/cp").trigger(availableNow=True).foreachBatch(foldin.fold_in_sink(h, EmfParams(k=4), history, write)).start().awaitTermination()
+    out = spark.read.parquet(f"{root}/out").withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy(F.desc("batch")))).where("r = 1")
+    return _dims(out.select(F.col("id").alias("item_id"), "v"), "v").withColumnRenamed("item_id", "user_id")
 
 
 def flagship(spark, sf_dir):

@@ -130,23 +130,19 @@ def join_asof(spark, d):
     return e.withColumn("clicked", last).where("event_type = 'purchase'").select(F.col("event_id").alias("bought"), "clicked")
 
 
-@op("WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings) SELECT a.vec_id AS user_id, b.vec_id AS item_id, ROUND(list_sum(list_transform(list_zip(a.v, b.v), lambda z: z[1] * z[2])), 6) + 0.0 AS score FROM e a CROSS JOIN e b WHERE a.vec_id < 20 AND b.vec_id BETWEEN 100 AND 299")
+@op("WITH e AS MATERIALIZED (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings) SELECT a.vec_id AS user_id, b.vec_id AS item_id, ROUND(list_inner_product(a.v, b.v), 6) + 0.0 AS score FROM e a CROSS JOIN e b WHERE a.vec_id % 50 = 0")
 def cross_scores(spark, d):
-    from hybridrec.functions import dot
+    """Every fiftieth vector against all rows, in blocks."""
+    from hybridrec.evaluation.topk import all_scores
 
-    e = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    a = e.where("vec_id < 20").select(F.col("vec_id").alias("user_id"), F.col("v").alias("x"))  # twenty rows
-    b = e.where("vec_id between 100 and 299").select(F.col("vec_id").alias("item_id"), F.col("v").alias("y"))
-    return b.crossJoin(F.broadcast(a)).select("user_id", "item_id", r6(dot(F.col("x"), F.col("y"))).alias("score"))
+    e = table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
+    return all_scores(e.where("id % 50 = 0"), e).withColumn("score", r6("score"))
 
 
 @op(None)
 def cross_scores_whole(spark, d):
-    """Every fiftieth vector against all rows, in blocks; ``op_cross_scores`` is the sample that its SQL follows."""
-    from hybridrec.evaluation.topk import all_scores
-
-    e = table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
-    return all_scores(e.where("id % 50 = 0"), e).withColumn("score", r6("score"))
+    """The same scores."""
+    return cross_scores(spark, d)
 
 
 _POS = "p AS (SELECT o_custkey AS user_id, l_partkey AS item_id FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2 HAVING max(ceil(l_quantity / 10)) = 5)"
@@ -337,7 +333,7 @@ def math(spark, d):
     return table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", r6(F.ln("l_extendedprice") + F.sqrt("l_quantity") + F.pow("l_discount", F.lit(2)) + F.exp("l_tax")).alias("x"), (F.floor("l_quantity") % 7).alias("m"), F.signum(c("l_discount") - 0.05).cast("tinyint").alias("s"), F.greatest("l_discount", "l_tax").alias("g"), portable_hash(c("l_orderkey"), c("l_linenumber"), 5).alias("h"))
 
 
-@op("WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings) SELECT vec_id, ROUND(sqrt(list_sum(list_transform(v, lambda x: x * x))), 6) + 0.0 AS norm, len(list_filter(v, lambda x: x > 0)) AS positive, ROUND(list_max(v), 6) + 0.0 AS top, ROUND(list_sum(v[1:8]), 6) + 0.0 AS head FROM e")
+@op("WITH e AS MATERIALIZED (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings) SELECT vec_id, ROUND(sqrt(list_sum(list_transform(v, lambda x: x * x))), 6) + 0.0 AS norm, len(list_filter(v, lambda x: x > 0)) AS positive, ROUND(list_max(v), 6) + 0.0 AS top, ROUND(list_sum(v[1:8]), 6) + 0.0 AS head FROM e")
 def array(spark, d):
     v = F.col("embedding").cast("array<double>")
     total = lambda a: F.aggregate(a, F.lit(0.0), lambda s, x: s + x)
