@@ -18,7 +18,7 @@ from hybridrec.evaluation.accuracy import accuracy_at, feature_chain
 from hybridrec.evaluation.topk import all_scores, best, recommend
 from hybridrec.features import descriptors, encode, meta, reduce, registry, text
 from hybridrec.functions import M, dot, portable_hash_sql, signed_sqrt
-from hybridrec.fusion import early, late
+from hybridrec.fusion import early, late, learned
 from hybridrec.linalg import gram
 from hybridrec.models import simple
 from hybridrec.models.bpr import BprParams, fit_bpr, fit_content_bpr, sample_triples, step
@@ -548,6 +548,33 @@ def fused_topk_whole(spark, d):
     return recommend(*_fused_vectors(spark, d), None, 10).select("user_id", "item_id", r6("score").alias("score"), F.col("rank").cast("bigint").alias("rank"))
 
 
+def _validation_points(spark, d, features=("meta", "audio", "scene")):
+    """Learning-to-rank rows on held-out training items from content profiles of a few features."""
+    w = x.Workload(spark, d, "quantity", encoded=False)
+    inner = materialize(sp.validation_cut(w.train, 0.25, "item"), "inner")
+    train, valid = (inner.where(F.col("inner") == c).select("user_id", "item_id") for c in ("train", "valid"))
+    from functools import reduce as fold
+
+    users, pool = valid.select(F.col("user_id").alias("id")).distinct(), valid.select(F.col("item_id").alias("id")).distinct()
+    scores = []
+    for f in features:
+        m = simple.profile_model(train, w.feature(f))
+        scores.append(all_scores(m.user_factors.join(users, "id", "left_semi"), m.content_latents.join(pool, "id", "left_semi")).withColumn("feature", F.lit(f)))
+    return materialize(learned.points(fold(lambda a, b: a.unionByName(b), scores), valid, list(features), 1), "points"), list(features)
+
+
+@query()
+def pointwise_weights(spark, d):
+    """Fusion weights of a linear hinge classifier on validation pairs."""
+    return learned.pointwise_weights(*_validation_points(spark, d))
+
+
+@query()
+def pairwise_weights(spark, d):
+    """Fusion weights of a logistic model on score differences of validation pairs."""
+    return learned.pairwise_weights(*_validation_points(spark, d))
+
+
 # ---- measures
 POPULAR = f"{BASE}, po AS (SELECT item_id, COUNT(*) AS n FROM train GROUP BY 1), us AS (SELECT DISTINCT user_id FROM test_in), li AS (SELECT user_id, item_id, n, row_number() OVER (PARTITION BY user_id ORDER BY n DESC, item_id) AS rank FROM us, po WHERE NOT EXISTS (SELECT 1 FROM train t WHERE t.user_id = us.user_id AND t.item_id = po.item_id) QUALIFY rank <= 30)"
 
@@ -584,6 +611,21 @@ def accuracy_rank1(spark, d):
     return accuracy_at(recommend(users, items, None, 30), test).withColumn("accuracy", r6("accuracy"))
 
 
+@query()
+def cross_validated_popularity(spark, d):
+    """Mean accuracy of popularity lists over the five divisions."""
+    from hybridrec.evaluation.cv import cross_validate
+
+    def one(split):
+        split = materialize(split, "fold")
+        train, test = sp.part(split, "train"), sp.part(split, "in_test")
+        users = test.select(F.col("user_id").alias("id"), F.array(F.lit(1.0)).alias("v")).distinct()
+        items = simple.popularity(train).select(F.col("item_id").alias("id"), F.array("score").alias("v"))
+        return accuracy_at(recommend(users, items, train, 30), test).withColumn("scenario", F.lit("in"))
+
+    return cross_validate(interactions.positives(spark, d, "quantity"), one)
+
+
 # ---- experiments
 @query()
 def x_single_feature_grid(spark, d):
