@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from hybridrec.llm import line_dedup, mixing, near_dedup, packing, quality
-from hybridrec.runtime import materialize
+from hybridrec.runtime import materialize, scratch
 from hybridrec.sources import table
 
 
@@ -25,7 +25,7 @@ def unique_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 #: All the good text there is, no document twice: the other domains are thinned to their shares of that, as far as they have so much.
-TARGETS = mixing.Mix(shares={"good": 0.9, "plain": 0.05, "toxic": 0.05}, size=None, most=1.0)
+TARGETS = mixing.Mix(shares={"good": 0.9, "plain": 0.05, "toxic": 0.05}, size=None, most=1.0, priors="labels")
 
 
 def target_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,7 +45,17 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """All stages, each written and read again; what a stage wrote on its way, and the stage before, is deleted as soon as it is done.
+
+    Null texts and texts without a word fail the first stage; rows that share a doc_id are judged each by its own text; extra columns travel along up to
+    the last stage; an empty table gives an empty result.
+    """
+    docs, last = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), name)
+        with scratch(spark) as used:
+            docs = materialize(stage(spark, docs, sf_dir), name)
+            done = used.pop()
+            if last:
+                used.append(last)
+        last = done
     return docs
