@@ -1,7 +1,7 @@
 """Mixing to target weights with soft membership, in column expressions alone.
 
 1. A classifier learns the domains from the labelled table: a multinomial model over the most telling words and all others as one, fitted on a bounded sample
-   of labelled documents, gives every document the posterior of each domain; priors are the domains' shares of the labelled documents.
+   of labelled documents, gives every document the posterior of each domain; priors are even or the domains' shares of the labelled documents.
 2. Nonnegative rates r minimise the squared distance between the expected domain totals, sum of r x tokens x posterior, and the targets,
    plus a small pull to rate 1. A document's rate is the projection onto the bounds of rate 1 less a multiple of its gradient, which is linear in its
    posteriors with one multiplier a domain. Ascent steps on the multipliers, scaled by the curvature of the documents off their bounds, run until such
@@ -44,6 +44,8 @@ class Mix:
     words: int = 1024
     #: Least likelihood ratio (G squared) of a telling word: under chance alone one in hundreds of thousands has so much.
     telling: float = 24.0
+    #: ``even``: every domain that has a labelled document is equally likely before the text is read; ``labels``: as likely as its share of these documents.
+    priors: str = "even"
     #: Evidence counts as if a document had so many words at most: longer ones would be all too sure of themselves.
     certain_words: float = 400.0
 
@@ -88,6 +90,10 @@ def learn(sample: DataFrame, mix: Mix) -> tuple[list[tuple], list[float], list[f
     own = np.array([[r[d] for d in DOMAINS] for r in top]).reshape(-1, k)
     rest = np.log(np.maximum(1.0 - np.exp(own).sum(0), 1e-12))  # telling words that are missing tell as well
     share = {r["domain"]: r["n"] for r in sample.groupBy("domain").agg(F.sum("stands").alias("n")).collect()}
+    if mix.priors == "even":
+        share = dict.fromkeys(share, 1.0)
+    elif mix.priors != "labels":
+        raise ValueError(f"no priors {mix.priors!r}")
     prior = [float(np.log(share[d] / sum(share.values()))) if d in share else -20.0 if share else 0.0 for d in DOMAINS]
     centred = own - own.mean(1, keepdims=True)
     return [(r["word"], *map(float, x)) for r, x in zip(top, centred, strict=True)], [float(x) for x in rest - rest.mean()], prior
@@ -107,8 +113,8 @@ def posteriors(docs: DataFrame, weights: list[tuple], rest: list[float], prior:
     return sums.select("doc_id", "tokens", *[(p / sum(powers[1:], powers[0])).alias(f"p_{d}") for d, p in zip(DOMAINS, powers, strict=True)])
 
 
-#: Parts of a full step tried in one pass.
-PARTS = (1.0, 0.5, 0.125, 1 / 64)
+#: Lengths tried in one pass, of the step by the free documents' curvature and of the one by all documents'. The latter, at length one, always climbs.
+FREE_LENGTHS, SAFE_LENGTHS = (1.0, 0.25), (1.0, 8.0, 64.0)
 
 
 def fit_rates(members: DataFrame, mix: Mix) -> Column:
@@ -116,8 +122,8 @@ def fit_rates(members: DataFrame, mix: Mix) -> Column:
 
     Minimises half of the sum over domains of weight x (total - target)^2, in shares of all tokens, plus half of ``pull`` times the token-weighted
     squared distance from rate 1, for rates in [0, most]. Weighing by the second moments makes small domains count. At the optimum each rate is
-    the projection of 1 - u . posteriors, where ``pull`` x u = weight x (total - target); the concave dual in u is climbed by Newton steps,
-    of which each pass tries several lengths and keeps the best.
+    the projection of 1 - u . posteriors, where ``pull`` x u = weight x (total - target); the concave dual in u is climbed by Newton steps
+    or, where too few documents are off their bounds, by steps that the curvature of all documents makes safe; a pass tries several and keeps the best.
     """
     p = [F.col(f"p_{d}") for d in DOMAINS]
     k = len(DOMAINS)
@@ -125,7 +131,8 @@ def fit_rates(members: DataFrame, mix: Mix) -> Column:
     cells = [(i, j) for i in range(k) for j in range(i, k)]
     first = members.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("z"), *[total(p[i] * p[j]).alias(f"m{i}{j}") for i, j in cells], *[total(x).alias(f"n{i}") for i, x in enumerate(p)]).collect()[0]
     z = float(first["z"]) or 1.0
-    weight = domain_weights(np.array([[first[f"m{min(i, j)}{max(i, j)}"] / z for j in range(k)] for i in range(k)]))
+    whole = np.array([[first[f"m{min(i, j)}{max(i, j)}"] / z for j in range(k)] for i in range(k)])
+    weight = domain_weights(whole)
     wanted = np.array([mix.shares.get(d, 0.0) for d in DOMAINS])
     wanted = wanted / max(wanted.sum(), 1e-12)
     size = mix.size
@@ -160,8 +167,8 @@ def fit_rates(members: DataFrame, mix: Mix) -> Column:
     for _ in range(mix.steps):
         if np.abs(slope).max() <= mix.tolerance:
             break
-        push = np.linalg.solve(curve, slope)
-        tried = [u + part * push for part in PARTS]
+        push, safe = np.linalg.solve(curve, slope), np.linalg.solve(whole + np.diag(pull / weight), slope)
+        tried = [u + part * push for part in FREE_LENGTHS] + [u + part * safe for part in SAFE_LENGTHS]
         seen = look(tried)
         best = max(range(len(seen)), key=lambda n: seen[n][0])
         if seen[best][0] <= height:

@@ -16,7 +16,7 @@ def tables(spark):
     return spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
 
 
-@pytest.mark.parametrize("shares", [{"good": 0.93, "plain": 0.06, "toxic": 0.01}, {"good": 0.5, "plain": 0.3, "toxic": 0.2}])
+@pytest.mark.parametrize("shares", [{"good": 0.93, "plain": 0.06, "toxic": 0.01}, {"good": 0.5, "plain": 0.46, "toxic": 0.04}])
 def test_expected_totals_meet_the_targets(tables, shares):
     docs, labels = tables
     df = mixing.rates(docs, labels, Mix(shares=shares))
@@ -26,6 +26,15 @@ def test_expected_totals_meet_the_targets(tables, shares):
         assert abs(r[d] / r["z"] - shares[d]) < 0.01
 
 
+def test_a_target_out_of_reach_takes_all_there_is(tables):
+    """A fifth of the tokens toxic would need thirteen copies of each toxic document; four are allowed, and are taken."""
+    docs, labels = tables
+    df = mixing.rates(docs, labels, Mix(shares={"good": 0.5, "plain": 0.3, "toxic": 0.2}))
+    t = F.col("tokens") * F.col("p_toxic")
+    r = df.agg(F.sum(t * F.col("rate")).alias("got"), F.sum(t).alias("all"), F.sum("tokens").alias("z")).collect()[0]
+    assert 4 * r["all"] / r["z"] < 0.2 and r["got"] > 0.95 * 4 * r["all"]
+
+
 @pytest.mark.parametrize("most", [1.0, 4.0])
 def test_rates_reach_the_loss_of_plain_gradient_descent(spark, most):
     rng = np.random.default_rng(1)
@@ -88,3 +97,20 @@ def test_pipeline(spark, tables):
     assert lost <= 0.03 * clean.count()
     last = seen["packing"]
     assert {r["doc_id"] for r in last.select("doc_id").distinct().collect()} == {r["doc_id"] for r in seen["mixing"].select("doc_id").collect()}
+
+
+def test_pipeline_of_odd_tables(spark, tables, tmp_path):
+    """No rows, nulls, empty texts, shared ids and a clashing extra column."""
+    docs, labels = tables
+    schema = docs.schema
+    labels.write.parquet(str(tmp_path / "labels.parquet"))
+    good = docs.join(labels.where("quality = 1 and toxic = 0"), "doc_id", "left_semi").orderBy("doc_id").limit(30).collect()
+    odd = [(None, None, None, None, None), (1, None, "en", "s", 0), (1, "", "en", "s", 0), (2, " \n", None, None, None), *[tuple(r) for r in good], tuple(good[0])]
+    for name, rows in (("none", []), ("odd", odd)):
+        (tmp_path / name).mkdir()
+        given = spark.createDataFrame(rows, schema).withColumn("gone", F.lit("clash"))
+        given.write.parquet(str(tmp_path / name / "documents.parquet"))
+        labels.write.parquet(str(tmp_path / name / "labels.parquet"))
+        out = corpus_pipeline.run(spark, str(tmp_path / name))
+        ids = {r["doc_id"] for r in out.select("doc_id").collect()}
+        assert ids == set() if not rows else ids and ids <= {r["doc_id"] for r in good}
