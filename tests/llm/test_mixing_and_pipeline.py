@@ -16,7 +16,7 @@ def tables(spark):
     return spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
 
 
-@pytest.mark.parametrize("shares", [{"good": 0.93, "plain": 0.06, "toxic": 0.01}, {"good": 0.5, "plain": 0.46, "toxic": 0.04}])
+@pytest.mark.parametrize("shares", [{"good": 0.93, "plain": 0.06, "toxic": 0.01}, {"good": 0.7, "plain": 0.26, "toxic": 0.04}])
 def test_expected_totals_meet_the_targets(tables, shares):
     docs, labels = tables
     df = mixing.rates(docs, labels, Mix(shares=shares))
