@@ -4,8 +4,11 @@ Words split into ``HEAD`` frequent ones, in ``CLASSES`` classes of equal size, a
 of their last two bytes. A token's probability is the softmax of its class given the words before it, times a
 softmax inside a head class or the smoothed frequency inside a tail class. Both softmaxes start at the
 corpus frequencies and add hashed weights of features of the history: last word, the word before it skipped over, and the
-pair. Counts cover every training document. Weights are trained by gradient updates in each of several data shards,
-over every training token, and averaged; scoring runs in numpy batches.
+pair, in which rare words stand for their class. Single words are hashed whole, so every word of the corpus has weights of its own but
+for collisions, and the hashed rows grow with the training tokens up to ``MOST_ROWS``. Counts cover every training document. Weights are trained by
+gradient updates in each of several data shards, over every training token, and averaged. A document's shard and its place there follow from
+its text and id alone, so scores do not depend on how the input is partitioned; shards grow in number and in
+size as the root of the tokens. Scoring runs in numpy batches.
 
 An unknown word has its tail class's mass of one unseen word, so log-probabilities are finite and unknown texts score low.
 
@@ -29,10 +32,11 @@ CLASSES, CLASS_WORDS, TAILS = 16, 64, 16
 HEAD = CLASSES * CLASS_WORDS
 #: Words whose counts are sent to the workers; all others are joined. A bound on what is broadcast, not on what is counted.
 KNOWN = 120_000
-CLASS_ROWS, WORD_ROWS = 1 << 15, 1 << 15
+#: Hashed rows of each weight table: a power of two near 16 times the root of the training tokens, within these. The upper one bounds what is broadcast.
+LEAST_ROWS, MOST_ROWS, BLOCK = 1 << 16, 1 << 18, 256
 BATCH, RATE = 4096, 0.5
-#: Documents of a shard for one local model, at least, and local models at most.
-SHARD_FILES, MOST_SHARDS = 4, 256
+#: There are as many shards as the root of the training tokens over this many: 8 for 80 million tokens, 4,000 for 20 trillion.
+SHARD_TOKENS = 1_200_000
 SCHEMA = "uid long, doc_id long, held_out boolean, n_tokens long, head_known long, head_base double, model double, word binary, times long"
 
 
@@ -121,8 +125,9 @@ class Weights:
         self.by_class, self.by_word = by_class, by_word
 
     @classmethod
-    def zero(cls):
-        return cls(np.zeros((CLASS_ROWS, CLASSES + TAILS), np.float32), np.zeros((WORD_ROWS, CLASS_WORDS), np.float32))
+    def zero(cls, tokens: int = 0):
+        rows = min(max(1 << round(np.log2(16 * max(tokens, 1) ** 0.5)), LEAST_ROWS), MOST_ROWS)
+        return cls(np.zeros((rows, CLASSES + TAILS), np.float32), np.zeros((rows, CLASS_WORDS), np.float32))
 
 
 _P = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
@@ -130,14 +135,20 @@ _P = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x
 
 def _hash(kind: int, a: np.ndarray, b, rows: int) -> np.ndarray:
     with np.errstate(over="ignore"):
-        h = (a.astype(np.uint64) + np.uint64(kind) * _P[2]) * _P[0] + np.asarray(b).astype(np.uint64) * _P[1]
+        h = (a.astype(np.uint64, copy=False) + np.uint64(kind) * _P[2]) * _P[0] + np.asarray(b).astype(np.uint64, copy=False) * _P[1]
         h = (h ^ (h >> np.uint64(29))) * _P[2]
     return (h >> np.uint64(40)).astype(np.int64) & (rows - 1)
 
 
-def _features(one: np.ndarray, two: np.ndarray, own_class: np.ndarray) -> tuple[list, list]:
-    """Rows of the class table and, given the class, of the word table, for a history of the last word and the one before."""
-    return [_hash(1, one, 0, CLASS_ROWS), _hash(2, two, 0, CLASS_ROWS), _hash(3, one, two, CLASS_ROWS)], [_hash(4, one, own_class, WORD_ROWS), _hash(5, two, own_class, WORD_ROWS)]
+def _class_rows(history: np.ndarray, rows: int) -> list[np.ndarray]:
+    """Rows of the class table for the last word, the one before, and the pair of both, rare ones by their class."""
+    one, two, near, far = history
+    return [_hash(1, one, 0, rows), _hash(2, two, 0, rows), _hash(3, near, far, rows)]
+
+
+def _word_rows(history: np.ndarray, own_class: np.ndarray, rows: int) -> list[np.ndarray]:
+    """Rows of the word table, given the class, for the last word and the one before."""
+    return [_hash(4, history[0], own_class, rows), _hash(5, history[1], own_class, rows)]
 
 
 def _softmax(logits: np.ndarray) -> np.ndarray:
@@ -147,23 +158,28 @@ def _softmax(logits: np.ndarray) -> np.ndarray:
     return logits
 
 
-def _tokens(text: bytes, ids: dict, known_context: np.ndarray, end: int) -> tuple[list, np.ndarray, np.ndarray]:
-    """Words, their ids (-1: not among the most frequent) with the end last, and their context ids."""
+def _tokens(text: bytes, ids: dict, known_context: np.ndarray, end: int) -> tuple[list, np.ndarray, np.ndarray, np.ndarray]:
+    """Words, their ids (-1: not among the most frequent) with the end last, their context ids, and a number for each whole word."""
     words = text.lower().split()
     get = ids.get
     own = np.array([get(w, -1) for w in words] + [end], np.int64)
     context = known_context[own]
+    whole = own
     if len(strange := np.flatnonzero(own < 0)):
-        context[strange] = [HEAD + _tail(words[i]) for i in strange.tolist()]
-    return words, own, context
+        rare = [words[i] for i in strange.tolist()]
+        whole = own.copy()
+        context[strange] = [HEAD + _tail(w) for w in rare]
+        whole[strange] = [zlib.crc32(w) + (1 << 32) for w in rare]
+    return words, own, context, whole
+
 
+def _history(contexts: list[np.ndarray], wholes: list[np.ndarray]) -> np.ndarray:
+    """Last and last but one word of each token, then their context ids; before a document stand two starts."""
 
-def _history(contexts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """Last and last but one context of each token; before a document stand two starts."""
-    start = HEAD + TAILS
-    one = np.concatenate([np.concatenate([[start], c[:-1]]) for c in contexts])
-    two = np.concatenate([np.concatenate([[start, start], c[:-2]])[: len(c)] for c in contexts])
-    return one, two
+    def before(parts, start, k):
+        return np.concatenate([np.concatenate([[start] * k, c[:-k]])[: len(c)] for c in parts])
+
+    return np.stack([before(wholes, 1 << 33, 1), before(wholes, 1 << 33, 2), before(contexts, HEAD + TAILS, 1), before(contexts, HEAD + TAILS, 2)]).astype(np.int64)
 
 
 def _class_of(context: np.ndarray) -> np.ndarray:
@@ -172,18 +188,21 @@ def _class_of(context: np.ndarray) -> np.ndarray:
 
 def _push(table: np.ndarray, rows: np.ndarray, grads: np.ndarray, rate: float) -> None:
     """table[row] += rate * mean-bounded sum of the gradients of each row."""
-    order = np.argsort(rows, kind="stable")
-    ranked = rows[order]
+    n, wide = len(rows), table.shape[1]
+    bits = n.bit_length()
+    keys = np.sort(rows << bits | np.arange(n))  # rows in order, with the places they come from
+    ranked, order = keys >> bits, keys & ((1 << bits) - 1)
     first = np.flatnonzero(np.concatenate([[True], ranked[1:] != ranked[:-1]]))
-    sums = np.add.reduceat(grads[order], first, axis=0)
-    n = np.diff(np.append(first, len(rows))).astype(np.float32)
-    table[ranked[first]] += sums * (rate / np.sqrt(n))[:, None] * 0.5
+    times = np.diff(np.append(first, n))
+    scale = np.empty(n, np.float32)
+    scale[order] = np.repeat(rate * 0.5 / np.sqrt(times), times)
+    np.add.at(table.reshape(-1), (rows[:, None] * wide + np.arange(wide)).reshape(-1), (grads * scale[:, None]).reshape(-1))
 
 
-def train_step(w: Weights, v: Vocabulary, context: np.ndarray, one: np.ndarray, two: np.ndarray, rate: float) -> None:
+def train_step(w: Weights, v: Vocabulary, context: np.ndarray, history: np.ndarray, rate: float) -> None:
     """One gradient update from a batch of tokens."""
     own_class = _class_of(context)
-    class_rows, _ = _features(one, two, own_class)
+    class_rows = _class_rows(history, len(w.by_class))
     logits = v.class_log + w.by_class[class_rows[0]]
     for r in class_rows[1:]:
         logits += w.by_class[r]
@@ -195,7 +214,7 @@ def train_step(w: Weights, v: Vocabulary, context: np.ndarray, one: np.ndarray,
     head = np.flatnonzero(context < HEAD)
     if len(head):
         c = own_class[head]
-        rows = [_hash(4, one[head], c, WORD_ROWS), _hash(5, two[head], c, WORD_ROWS)]
+        rows = _word_rows(history[:, head], c, len(w.by_word))
         q = _softmax(v.word_log[c] + w.by_word[rows[0]] + w.by_word[rows[1]])
         np.negative(q, out=q)
         q[np.arange(len(q)), context[head] % CLASS_WORDS] += 1
@@ -203,13 +222,13 @@ def train_step(w: Weights, v: Vocabulary, context: np.ndarray, one: np.ndarray,
             _push(w.by_word, r, q, rate)
 
 
-def log_probability(w: Weights, v: Vocabulary, context: np.ndarray, one: np.ndarray, two: np.ndarray) -> np.ndarray:
+def log_probability(w: Weights, v: Vocabulary, context: np.ndarray, history: np.ndarray) -> np.ndarray:
     """Natural log of each token's class, and of the word inside it for head words."""
     out = np.empty(len(context))
     for lo in range(0, len(context), BATCH):
-        c, a, b = context[lo : lo + BATCH], one[lo : lo + BATCH], two[lo : lo + BATCH]
+        c, h = context[lo : lo + BATCH], history[:, lo : lo + BATCH]
         own = _class_of(c)
-        rows, _ = _features(a, b, own)
+        rows = _class_rows(h, len(w.by_class))
         logits = v.class_log + w.by_class[rows[0]]
         for r in rows[1:]:
             logits += w.by_class[r]
@@ -218,7 +237,8 @@ def log_probability(w: Weights, v: Vocabulary, context: np.ndarray, one: np.ndar
         head = np.flatnonzero(c < HEAD)
         if len(head):
             k = own[head]
-            inner = v.word_log[k] + w.by_word[_hash(4, a[head], k, WORD_ROWS)] + w.by_word[_hash(5, b[head], k, WORD_ROWS)]
+            near, far = _word_rows(h[:, head], k, len(w.by_word))
+            inner = v.word_log[k] + w.by_word[near] + w.by_word[far]
             inner -= inner.max(1, keepdims=True)
             part[head] += inner[np.arange(len(head)), c[head] % CLASS_WORDS] - np.log(np.exp(inner).sum(1))
         out[lo : lo + BATCH] = part
@@ -238,54 +258,67 @@ def _groups(batch, v: Vocabulary, column: int, most: int = 1 << 17):
         yield held
 
 
+def local_model(batches, v: Vocabulary) -> tuple[Weights, int]:
+    """Weights after one pass of gradient updates over all tokens of Arrow batches of texts, and how many tokens these were."""
+    w, seen = Weights.zero(v.total), 0
+    for batch in batches:
+        for group in _groups(batch, v, 0):
+            context = np.concatenate([g[3] for g in group])
+            history = _history([g[3] for g in group], [g[4] for g in group])
+            # tokens of all the group's documents are mixed, else one document would fill a batch
+            order = np.argsort(_hash(9, np.arange(len(context)), len(context), 1 << 24), kind="stable")
+            for lo in range(0, len(order), BATCH):
+                at = order[lo : lo + BATCH]
+                train_step(w, v, context[at], history[:, at], RATE / (1 + seen / 4_000_000))
+                seen += len(at)
+    return w, seen
+
+
 def train(docs: DataFrame, v: Vocabulary) -> Weights:
     """Average of local models, each trained by gradient updates over its shard's every token."""
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(v)
-    texts = docs.select("text")
-    shards = min(MOST_SHARDS, max(1, -(-texts.rdd.getNumPartitions() // SHARD_FILES)))
+    shared = docs.sparkSession.sparkContext.broadcast(v)
+    shards = max(1, round((v.total / SHARD_TOKENS) ** 0.5))
 
     def run(batches):
-        v, w, seen = shared.value, Weights.zero(), 0
-        for batch in batches:
-            for group in _groups(batch, v, 0):
-                context = np.concatenate([g[3] for g in group])
-                one, two = _history([g[3] for g in group])
-                # tokens of all the group's documents are mixed, else one document would fill a batch
-                order = np.argsort(_hash(9, np.arange(len(context)), len(context), 1 << 24), kind="stable")
-                for lo in range(0, len(order), BATCH):
-                    at = order[lo : lo + BATCH]
-                    train_step(w, v, context[at], one[at], two[at], RATE / (1 + seen / 4_000_000))
-                    seen += len(at)
-        if seen:
-            yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int32()), pa.array([0], pa.int32()), pa.array([seen], pa.int64()), pa.array([b""], pa.binary())], names=["part", "row", "seen", "w"])
-            for part, table in enumerate((w.by_class, w.by_word)):
-                used = np.flatnonzero(np.abs(table).max(1) > 1e-4)
-                for lo in range(0, len(used), 8192):
-                    at = used[lo : lo + 8192]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), part, np.int32)), pa.array(at.astype(np.int32)), pa.array(np.full(len(at), seen, np.int64)), pa.array([x.tobytes() for x in table[at].astype(np.float16)], pa.binary())], names=["part", "row", "seen", "w"])
-
-    local = texts.coalesce(shards).mapInArrow(run, "part int, row int, seen long, w binary")
-    local = materialize(local, "local-models")
+        w, seen = local_model(batches, shared.value)
+        for part, table in enumerate((w.by_class, w.by_word) if seen else ()):
+            blocks = table.astype(np.float16).reshape(len(table) // BLOCK, -1)
+            for lo in range(0, len(blocks), 64):
+                n = len(some := blocks[lo : lo + 64])
+                yield pa.RecordBatch.from_arrays([pa.array([part] * n, pa.int32()), pa.array(range(lo, lo + n), pa.int32()), pa.array([seen] * n, pa.int64()), pa.array([x.tobytes() for x in some], pa.binary())], names=["part", "block", "seen", "w"])
+
+    own = F.xxhash64("text", F.col("doc_id").cast("string"))
+    dealt = docs.select("text", own.alias("own")).repartition(shards, "own").sortWithinPartitions("own", "text").select("text")
+    local = materialize(dealt.mapInArrow(run, "part int, block int, seen long, w binary"), "local-models")
+    total = local.where("part = 0 and block = 0").agg(F.sum("seen")).collect()[0][0] or 1
 
     def average(batches):
-        # rows of one (part, row) are together: sums over shards weighted by tokens
-        sums: dict = {}
+        # the rows of a block follow each other, so one sum is held at a time
+        at, held = None, None
         for batch in batches:
-            for part, row, seen, raw in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                x = np.frombuffer(raw, np.float16).astype(np.float32) * seen
-                sums[part, row] = sums[part, row] + x if (part, row) in sums else x
-        keys = list(sums)
-        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int32()), pa.array([k[1] for k in keys], pa.int32()), pa.array([sums[k].astype(np.float32).tobytes() for k in keys], pa.binary())], names=["part", "row", "w"])
-
-    total = local.where("part < 0").agg(F.sum("seen")).collect()[0][0] or 1
-    mean = local.where("part >= 0").repartition(F.pmod("row", F.lit(64))).mapInArrow(average, "part int, row int, w binary")
-    w = Weights.zero()
-    for r in mean.collect():  # CLASS_ROWS + WORD_ROWS rows at most
-        (w.by_class, w.by_word)[r["part"]][r["row"]] = np.frombuffer(r["w"], np.float32) / total
+            for part, block, seen, raw in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                x = np.frombuffer(raw, np.float16).astype(np.float64) * (seen / total)
+                if (part, block) == at:
+                    held += x
+                    continue
+                if at:
+                    yield _block(at, held)
+                at, held = (part, block), x
+        if at:
+            yield _block(at, held)
+
+    mean = local.repartition("part", "block").sortWithinPartitions("part", "block", "seen", "w").mapInArrow(average, "part int, block int, w binary")
+    w = Weights.zero(v.total)
+    tables = [x.reshape(len(x) // BLOCK, -1) for x in (w.by_class, w.by_word)]
+    for r in mean.collect():  # 2 MOST_ROWS / BLOCK rows at most
+        tables[r["part"]][r["block"]] = np.frombuffer(r["w"], np.float16)
     return w
 
 
+def _block(at: tuple[int, int], held: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([at[0]], pa.int32()), pa.array([at[1]], pa.int32()), pa.array([held.astype(np.float16).tobytes()], pa.binary())], names=["part", "block", "w"])
+
+
 def score(docs: DataFrame, v: Vocabulary, w: Weights, counts: DataFrame) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     shared = docs.sparkSession.sparkContext.broadcast((v, w))
@@ -296,10 +329,10 @@ def score(docs: DataFrame, v: Vocabulary, w: Weights, counts: DataFrame) -> Data
         for batch in batches:
             uid, doc, held = (batch.column(i).to_pylist() for i in (0, 1, 2))
             for group in _groups(batch, v, 3):
-                one, two = _history([g[3] for g in group])
-                logs = log_probability(w, v, np.concatenate([g[3] for g in group]), one, two) / np.log(10) if v.total else np.zeros(len(one))
-                rows, at = [], 0
-                for i, words, own, context in group:
+                all_ = np.concatenate([g[3] for g in group])
+                logs = log_probability(w, v, all_, _history([g[3] for g in group], [g[4] for g in group])) / np.log(10) if v.total else np.zeros(len(all_))
+                rows, owner, word, count, at = [], [], [], [], 0
+                for i, words, own, context, _ in group:
                     n = len(own)
                     known = own >= 0
                     c = v.counts[own[known]].astype(float) if v.total else np.zeros(0)
@@ -317,8 +350,13 @@ def score(docs: DataFrame, v: Vocabulary, w: Weights, counts: DataFrame) -> Data
                     times: dict = {}
                     for j in np.flatnonzero(~known).tolist():
                         times[words[j]] = times.get(words[j], 0) + 1
-                    rows += [(uid[i], None, None, None, None, None, None, x, t) for x, t in times.items()]
+                    owner += [uid[i]] * len(times)
+                    word += times
+                    count += times.values()
                 yield _record(rows)
+                if word:
+                    given = {"uid": owner, "word": word, "times": count}
+                    yield pa.RecordBatch.from_arrays([pa.array(given[f.name], f.type) if f.name in given else pa.nulls(len(word), f.type) for f in _FIELDS], schema=_FIELDS)
 
     named = docs.select(F.monotonically_increasing_id().alias("uid"), F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id"), 7, 2).alias("held_out"), "text")
     parts = named.mapInArrow(run, SCHEMA)

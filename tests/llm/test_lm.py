@@ -59,16 +59,39 @@ def test_probabilities_sum_to_one():
     w = lm.Weights.zero()
     rng = np.random.default_rng(0)
     context = rng.integers(0, lm.HEAD + lm.TAILS, 5000)
-    one, two = lm._history([context])
-    before = lm.log_probability(w, v, context, one, two).sum()
+    history = lm._history([context], [context])
+    before = lm.log_probability(w, v, context, history).sum()
     for _ in range(5):
-        lm.train_step(w, v, context, one, two, 0.5)
-    assert lm.log_probability(w, v, context, one, two).sum() > before
+        lm.train_step(w, v, context, history, 0.5)
+    assert lm.log_probability(w, v, context, history).sum() > before
     every = np.arange(lm.HEAD + lm.TAILS)
-    p = np.exp(lm.log_probability(w, v, every, np.full(len(every), 7), np.full(len(every), 9)))
+    p = np.exp(lm.log_probability(w, v, every, np.repeat([[7], [9], [7], [9]], len(every), axis=1)))
     assert abs(p.sum() - 1) < 1e-3
 
 
+def test_gradients_of_equal_rows_add_up():
+    rng = np.random.default_rng(1)
+    rows, grads = rng.integers(0, 50, 4096), rng.standard_normal((4096, 8)).astype(np.float32)
+    table, want = np.zeros((64, 8), np.float32), np.zeros((64, 8))
+    lm._push(table, rows, grads, 0.5)
+    for r in range(50):
+        want[r] = grads[rows == r].sum(0) * 0.25 / np.sqrt((rows == r).sum())
+    assert np.allclose(table, want, atol=1e-4)
+
+
+def test_model_grows_with_the_tokens():
+    small, large = lm.Weights.zero(20_000_000), lm.Weights.zero(80_000_000)
+    assert len(large.by_class) == len(large.by_word) == 2 * len(small.by_class)
+
+
+def test_scores_do_not_depend_on_partitions(spark, monkeypatch):
+    monkeypatch.setattr(lm, "SHARD_TOKENS", 20_000)
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    two, seven = ({r["doc_id"]: r["score"] for r in lm.fit_and_score(docs.repartition(n)).collect()} for n in (2, 7))
+    assert two.keys() == seven.keys()
+    assert all(abs(two[d] - seven[d]) < 1e-6 * abs(two[d]) for d in two)
+
+
 def test_odd_tables(spark):
     empty = spark.createDataFrame([], "doc_id long, text string")
     assert lm.fit_and_score(empty).count() == 0
