@@ -196,7 +196,10 @@ def _push(table: np.ndarray, rows: np.ndarray, grads: np.ndarray, rate: float) -
     times = np.diff(np.append(first, n))
     scale = np.empty(n, np.float32)
     scale[order] = np.repeat(rate * 0.5 / np.sqrt(times), times)
-    np.add.at(table.reshape(-1), (rows[:, None] * wide + np.arange(wide)).reshape(-1), (grads * scale[:, None]).reshape(-1))
+    # what came through a broadcast carries a dtype object of its own, and add.at is ten times slower unless both sides share one
+    parts = np.empty((n, wide), table.dtype)
+    np.multiply(grads, scale[:, None], out=parts)
+    np.add.at(table.reshape(-1), (rows[:, None] * wide + np.arange(wide)).reshape(-1), parts.reshape(-1))
 
 
 def train_step(w: Weights, v: Vocabulary, context: np.ndarray, history: np.ndarray, rate: float) -> None:
@@ -289,8 +292,8 @@ def train(docs: DataFrame, v: Vocabulary) -> Weights:
 
     own = F.xxhash64("text", F.col("doc_id").cast("string"))
     dealt = docs.select("text", own.alias("own")).repartition(shards, "own").sortWithinPartitions("own", "text").select("text")
-    local = materialize(dealt.mapInArrow(run, "part int, block int, seen long, w binary"), "local-models")
-    total = local.where("part = 0 and block = 0").agg(F.sum("seen")).collect()[0][0] or 1
+    local = dealt.mapInArrow(run, "part int, block int, seen long, w binary")
+    total = v.total
 
     def average(batches):
         # the rows of a block follow each other, so one sum is held at a time
