@@ -20,6 +20,7 @@ training documents every token has probability 1.
 from __future__ import annotations
 
 import zlib
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -248,10 +249,10 @@ def log_probability(w: Weights, v: Vocabulary, context: np.ndarray, history: np.
     return out
 
 
-def _groups(batch, v: Vocabulary, column: int, most: int = 1 << 17):
-    """Documents of an Arrow batch in groups of so many tokens."""
+def _groups(texts, v: Vocabulary, most: int = 1 << 17):
+    """Numbered documents in groups of so many tokens."""
     held, size = [], 0
-    for i, text in enumerate(byte_texts(batch.column(column))):
+    for i, text in enumerate(texts):
         held.append((i, *_tokens(text, v.ids, v.context, v.end)))
         size += len(held[-1][3])
         if size >= most:
@@ -261,37 +262,59 @@ def _groups(batch, v: Vocabulary, column: int, most: int = 1 << 17):
         yield held
 
 
-def local_model(batches, v: Vocabulary) -> tuple[Weights, int]:
-    """Weights after one pass of gradient updates over all tokens of Arrow batches of texts, and how many tokens these were."""
+def local_model(texts, v: Vocabulary) -> tuple[Weights, int]:
+    """Weights after one pass of gradient updates over all tokens of the texts, and how many tokens these were."""
     w, seen = Weights.zero(v.total), 0
-    for batch in batches:
-        for group in _groups(batch, v, 0):
-            context = np.concatenate([g[3] for g in group])
-            history = _history([g[3] for g in group], [g[4] for g in group])
-            # tokens of all the group's documents are mixed, else one document would fill a batch
-            order = np.argsort(_hash(9, np.arange(len(context)), len(context), 1 << 24), kind="stable")
-            for lo in range(0, len(order), BATCH):
-                at = order[lo : lo + BATCH]
-                train_step(w, v, context[at], history[:, at], RATE / (1 + seen / 4_000_000))
-                seen += len(at)
+    for group in _groups(texts, v):
+        context = np.concatenate([g[3] for g in group])
+        history = _history([g[3] for g in group], [g[4] for g in group])
+        # tokens of all the group's documents are mixed, else one document would fill a batch
+        order = np.argsort(_hash(9, np.arange(len(context)), len(context), 1 << 24), kind="stable")
+        for lo in range(0, len(order), BATCH):
+            at = order[lo : lo + BATCH]
+            train_step(w, v, context[at], history[:, at], RATE / (1 + seen / 4_000_000))
+            seen += len(at)
     return w, seen
 
 
+def _by_shard(batches):
+    """(shard, texts) of each run of rows of one shard in Arrow batches."""
+    for batch in batches:
+        shard = batch.column(0).to_numpy()
+        edges = [0, *(np.flatnonzero(np.diff(shard)) + 1).tolist(), len(shard)]
+        for lo, hi in zip(edges, edges[1:]):
+            if hi > lo:
+                yield int(shard[lo]), byte_texts(batch.column(1).slice(lo, hi - lo))
+
+
+def _places(spark, n: int) -> list[int]:
+    """A number for each of n shards, such that hash partitioning sends them to n different partitions. Where it does not, shards share a task and nothing else."""
+    at = F.pmod(F.hash("id"), F.lit(n))
+    found = {r["at"]: r["id"] for r in spark.range(32 * n).groupBy(at.alias("at")).agg(F.min("id").alias("id")).collect()}  # n rows at most
+    return [found.get(k, k) for k in range(n)]
+
+
 def train(docs: DataFrame, v: Vocabulary) -> Weights:
-    """Average of local models, each trained by gradient updates over its shard's every token."""
+    """Average of local models, each trained by gradient updates over its shard's every token.
+
+    There is one model a shard, however many partitions the shards lie in, so what is exchanged does not grow with the partitions.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(v)
     shards = max(1, round((v.total / SHARD_TOKENS) ** 0.5))
 
     def run(batches):
-        w, seen = local_model(batches, shared.value)
-        for part, table in enumerate((w.by_class, w.by_word) if seen else ()):
-            blocks = table.astype(np.float16).reshape(len(table) // BLOCK, -1)
-            for lo in range(0, len(blocks), 64):
-                n = len(some := blocks[lo : lo + 64])
-                yield pa.RecordBatch.from_arrays([pa.array([part] * n, pa.int32()), pa.array(range(lo, lo + n), pa.int32()), pa.array([seen] * n, pa.int64()), pa.array([x.tobytes() for x in some], pa.binary())], names=["part", "block", "seen", "w"])
+        for _, own in groupby(_by_shard(batches), key=lambda x: x[0]):
+            w, seen = local_model((text for _, texts in own for text in texts), shared.value)
+            for part, table in enumerate((w.by_class, w.by_word) if seen else ()):
+                blocks = table.astype(np.float16).reshape(len(table) // BLOCK, -1)
+                for lo in range(0, len(blocks), 64):
+                    n = len(some := blocks[lo : lo + 64])
+                    yield pa.RecordBatch.from_arrays([pa.array([part] * n, pa.int32()), pa.array(range(lo, lo + n), pa.int32()), pa.array([seen] * n, pa.int64()), pa.array([x.tobytes() for x in some], pa.binary())], names=["part", "block", "seen", "w"])
 
     own = F.xxhash64("text", F.col("doc_id").cast("string"))
-    dealt = docs.select("text", own.alias("own")).repartition(shards, "own").sortWithinPartitions("own", "text").select("text")
+    shard = F.pmod(own, F.lit(shards)).cast("int")
+    place = F.element_at(F.array(*map(F.lit, _places(docs.sparkSession, shards))), shard + 1)
+    dealt = docs.select("text", own.alias("own"), shard.alias("shard"), place.alias("place")).repartition(shards, "place").sortWithinPartitions("shard", "own", "text").select("shard", "text")
     local = dealt.mapInArrow(run, "part int, block int, seen long, w binary")
     total = v.total
 
@@ -324,14 +347,16 @@ def _block(at: tuple[int, int], held: np.ndarray) -> pa.RecordBatch:
 
 def score(docs: DataFrame, v: Vocabulary, w: Weights, counts: DataFrame) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
-    shared = docs.sparkSession.sparkContext.broadcast((v, w))
+    # weights are averaged in half precision, so this rounds nothing that training made
+    shared = docs.sparkSession.sparkContext.broadcast((v, w.by_class.astype(np.float16), w.by_word.astype(np.float16)))
 
     def run(batches):
-        v, w = shared.value
+        v, *tables = shared.value
+        w = Weights(*(x.astype(np.float32) for x in tables))
         unseen = v.total + v.distinct + 1
         for batch in batches:
             uid, doc, held = (batch.column(i).to_pylist() for i in (0, 1, 2))
-            for group in _groups(batch, v, 3):
+            for group in _groups(byte_texts(batch.column(3)), v):
                 all_ = np.concatenate([g[3] for g in group])
                 logs = log_probability(w, v, all_, _history([g[3] for g in group], [g[4] for g in group])) / np.log(10) if v.total else np.zeros(len(all_))
                 rows, owner, word, count, at = [], [], [], [], 0

@@ -92,6 +92,24 @@ def test_scores_do_not_depend_on_partitions(spark, monkeypatch):
     assert all(abs(two[d] - seven[d]) < 1e-6 * abs(two[d]) for d in two)
 
 
+def test_scores_do_not_depend_on_where_shards_lie(spark, monkeypatch):
+    monkeypatch.setattr(lm, "SHARD_TOKENS", 20_000)
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    apart = {r["doc_id"]: r["score"] for r in lm.fit_and_score(docs).collect()}
+    monkeypatch.setattr(lm, "_places", lambda _, n: [0] * n)
+    together = {r["doc_id"]: r["score"] for r in lm.fit_and_score(docs).collect()}
+    assert apart.keys() == together.keys()
+    assert all(abs(apart[d] - together[d]) < 1e-6 * abs(apart[d]) for d in apart)
+
+
+def test_places_differ(spark):
+    for n in (1, 3, 50):
+        places = lm._places(spark, n)
+        assert len(set(places)) == n
+        got = spark.createDataFrame([(p,) for p in places], "p long").repartition(n, "p").select(F.spark_partition_id()).distinct()
+        assert got.count() == n
+
+
 def test_odd_tables(spark):
     empty = spark.createDataFrame([], "doc_id long, text string")
     assert lm.fit_and_score(empty).count() == 0
