@@ -152,10 +152,32 @@ def _word_rows(history: np.ndarray, own_class: np.ndarray, rows: int) -> list[np
     return [_hash(4, history[0], own_class, rows), _hash(5, history[1], own_class, rows)]
 
 
+def _gathered(base: np.ndarray, at: np.ndarray | None, table: np.ndarray, rows: list[np.ndarray]) -> np.ndarray:
+    """base (its rows at ``at``, if given) plus the table's rows, without a copy for each sum."""
+    out = np.take(table, rows[0], axis=0)
+    out += base if at is None else np.take(base, at, axis=0)
+    for r in rows[1:]:
+        out += np.take(table, r, axis=0)
+    return out
+
+
+def _lower(logits: np.ndarray) -> None:
+    """Subtract each row's largest value. Halves are compared as a whole: reducing short rows one by one is slower."""
+    most = logits
+    while most.shape[1] > 1 and most.shape[1] % 2 == 0:
+        half = most.shape[1] // 2
+        most = np.maximum(most[:, :half], most[:, half:])
+    logits -= most.max(1, keepdims=True)
+
+
+def _sums(x: np.ndarray) -> np.ndarray:
+    return x @ np.ones(x.shape[1], x.dtype)
+
+
 def _softmax(logits: np.ndarray) -> np.ndarray:
-    logits -= logits.max(1, keepdims=True)
+    _lower(logits)
     np.exp(logits, out=logits)
-    logits /= logits.sum(1, keepdims=True)
+    logits *= (1 / _sums(logits))[:, None]
     return logits
 
 
@@ -188,7 +210,7 @@ def _class_of(context: np.ndarray) -> np.ndarray:
 
 
 def _push(table: np.ndarray, rows: np.ndarray, grads: np.ndarray, rate: float) -> None:
-    """table[row] += rate * mean-bounded sum of the gradients of each row."""
+    """table[row] += rate * mean-bounded sum of the gradients of each row, for a table of an even number of columns."""
     n, wide = len(rows), table.shape[1]
     bits = n.bit_length()
     keys = np.sort(rows << bits | np.arange(n))  # rows in order, with the places they come from
@@ -200,17 +222,16 @@ def _push(table: np.ndarray, rows: np.ndarray, grads: np.ndarray, rate: float) -
     # what came through a broadcast carries a dtype object of its own, and add.at is ten times slower unless both sides share one
     parts = np.empty((n, wide), table.dtype)
     np.multiply(grads, scale[:, None], out=parts)
-    np.add.at(table.reshape(-1), (rows[:, None] * wide + np.arange(wide)).reshape(-1), parts.reshape(-1))
+    # two columns at a time, as the parts of a complex number: half as many places to add at
+    pairs = wide // 2
+    np.add.at(table.reshape(-1).view(np.complex64), (rows[:, None] * pairs + np.arange(pairs)).reshape(-1), parts.reshape(-1).view(np.complex64))
 
 
 def train_step(w: Weights, v: Vocabulary, context: np.ndarray, history: np.ndarray, rate: float) -> None:
     """One gradient update from a batch of tokens."""
     own_class = _class_of(context)
     class_rows = _class_rows(history, len(w.by_class))
-    logits = v.class_log + w.by_class[class_rows[0]]
-    for r in class_rows[1:]:
-        logits += w.by_class[r]
-    p = _softmax(logits)
+    p = _softmax(_gathered(v.class_log, None, w.by_class, class_rows))
     np.negative(p, out=p)
     p[np.arange(len(p)), own_class] += 1
     for r in class_rows:
@@ -219,7 +240,7 @@ def train_step(w: Weights, v: Vocabulary, context: np.ndarray, history: np.ndarr
     if len(head):
         c = own_class[head]
         rows = _word_rows(history[:, head], c, len(w.by_word))
-        q = _softmax(v.word_log[c] + w.by_word[rows[0]] + w.by_word[rows[1]])
+        q = _softmax(_gathered(v.word_log, c, w.by_word, rows))
         np.negative(q, out=q)
         q[np.arange(len(q)), context[head] % CLASS_WORDS] += 1
         for r in rows:
@@ -232,19 +253,17 @@ def log_probability(w: Weights, v: Vocabulary, context: np.ndarray, history: np.
     for lo in range(0, len(context), BATCH):
         c, h = context[lo : lo + BATCH], history[:, lo : lo + BATCH]
         own = _class_of(c)
-        rows = _class_rows(h, len(w.by_class))
-        logits = v.class_log + w.by_class[rows[0]]
-        for r in rows[1:]:
-            logits += w.by_class[r]
-        logits -= logits.max(1, keepdims=True)
-        part = logits[np.arange(len(c)), own] - np.log(np.exp(logits).sum(1))
+        logits = _gathered(v.class_log, None, w.by_class, _class_rows(h, len(w.by_class)))
+        _lower(logits)
+        part = logits[np.arange(len(c)), own]
+        part -= np.log(_sums(np.exp(logits, out=logits)))
         head = np.flatnonzero(c < HEAD)
         if len(head):
             k = own[head]
-            near, far = _word_rows(h[:, head], k, len(w.by_word))
-            inner = v.word_log[k] + w.by_word[near] + w.by_word[far]
-            inner -= inner.max(1, keepdims=True)
-            part[head] += inner[np.arange(len(head)), c[head] % CLASS_WORDS] - np.log(np.exp(inner).sum(1))
+            inner = _gathered(v.word_log, k, w.by_word, _word_rows(h[:, head], k, len(w.by_word)))
+            _lower(inner)
+            part[head] += inner[np.arange(len(head)), c[head] % CLASS_WORDS]
+            part[head] -= np.log(_sums(np.exp(inner, out=inner)))
         out[lo : lo + BATCH] = part
     return out
 
