@@ -85,14 +85,21 @@ class Memo:
 
     Two generations: when the young one is full it replaces the old one, so what recurs stays and
     memory is at most twice ``size`` entries, of ``longest`` characters at most, whatever the input: longer words are
-    filled in anew each time and forgotten with the mapping that is returned.
+    filled in anew each time and forgotten with the mapping that is returned. A worker that serves one stage after another keeps
+    the words of one memory only: the memory last asked empties the one before.
     """
 
+    _filled: Memo | None = None
+
     def __init__(self, fill, size: int = 400_000, longest: int = 64):
         self.fill, self.size, self.longest, self.young, self.old = fill, size, longest, {}, {}
 
     def load(self, words: list) -> dict:
         """A mapping that holds every one of ``words``."""
+        if Memo._filled is not self:
+            if Memo._filled is not None:
+                Memo._filled.young, Memo._filled.old = {}, {}
+            Memo._filled = self
         young = self.young
         missing = set(words).difference(young)
         if missing:
