@@ -35,7 +35,7 @@ class Lines:
     exact_chars: int = 20
     near_chars: int = 40
     #: Lines of one length that may share a segment before it counts as crowded, and lines of a block there.
-    crowd: int = 32
+    crowd: int = 8
     block: int = 64
 
 

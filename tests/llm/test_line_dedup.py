@@ -117,3 +117,21 @@ def test_odd_tables(spark):
     assert line_dedup.decisions(empty).count() == line_dedup.digest(empty).count() == line_dedup.keep(empty).count() == 0
     same = spark.createDataFrame([(1, "a line of more than twenty characters")] * 3, "doc_id long, text string")
     assert [r["n_kept"] for r in line_dedup.digest(same).collect()] == [1, 1, 1]
+
+
+def test_a_shared_segment_makes_few_pairs(spark, monkeypatch):
+    from hybridrec.llm import line_dedup
+
+    counts = {}
+    real = line_dedup.materialize
+
+    def kept(df, name):
+        out = real(df, name)
+        counts[name] = out.count() if name == "line-pairs" else None
+        return out
+
+    monkeypatch.setattr(line_dedup, "materialize", kept)
+    tail = lambda i: "".join(chr(97 + (i * 7 + j * (i + 3)) % 26) for j in range(40))
+    docs = spark.createDataFrame([(i, "a form that begins so " + tail(i)) for i in range(30)], "doc_id long, text string")
+    line_dedup.decisions(docs).collect()
+    assert counts["line-pairs"] <= 8 * 30
